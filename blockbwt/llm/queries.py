@@ -7,6 +7,7 @@ from importlib import import_module
 #: Query: the module that has it.
 _WHERE = {
     "op1_token_output": "token_output",
+    "op2_byte_bpe": "byte_bpe",
 }
 
 
