@@ -8,6 +8,8 @@ from importlib import import_module
 _WHERE = {
     "op1_token_output": "token_output",
     "op2_byte_bpe": "byte_bpe",
+    "op6_merkle": "merkle",
+    "op10_mixing": "mixing",
 }
 
 
