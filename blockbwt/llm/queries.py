@@ -9,6 +9,7 @@ _WHERE = {
     "op1_token_output": "token_output",
     "op2_byte_bpe": "byte_bpe",
     "op6_merkle": "merkle",
+    "op8_language_id": "language_id",
     "op9_lsh_forest": "lsh_forest",
     "op10_mixing": "mixing",
 }
