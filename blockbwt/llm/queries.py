@@ -8,6 +8,7 @@ from importlib import import_module
 _WHERE = {
     "op1_token_output": "token_output",
     "op2_byte_bpe": "byte_bpe",
+    "op3_brown_lm": "brown_lm",
     "op6_merkle": "merkle",
     "op8_language_id": "language_id",
     "op9_lsh_forest": "lsh_forest",
