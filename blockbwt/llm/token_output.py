@@ -18,9 +18,9 @@ from __future__ import annotations
 import os
 import re
 import zlib
-from array import array
+from collections import defaultdict
 from collections.abc import Iterator
-from itertools import chain
+from itertools import islice
 
 import numpy as np
 import pyarrow as pa
@@ -48,15 +48,23 @@ class PieceEncoder:
     changes no result.
     """
 
-    def __init__(self, vocabulary: str, max_pieces: int = 300_000):
+    def __init__(self, vocabulary: str, max_pieces: int = 1_000_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(vocabulary)
         self.tokenizer.encode_special_tokens = True
-        self.wide = self.tokenizer.get_vocab_size() > 1 << 16
-        self.code = "I" if self.wide else "H"
-        self.max_pieces, self.first, self.after_space = max_pieces, {}, {}
+        names = self.tokenizer.get_vocab()
+        self.kind = np.dtype("<u4" if max(names.values()) >> 16 else "<u2")
+        self.sizes = np.zeros(max(names.values()) + 1, np.int64)
+        self.sizes[list(names.values())] = list(map(len, names))  # a character of a byte-level token is a byte
+        self.max_pieces = max_pieces
+        self._forget()
+
+    def _forget(self) -> None:
+        self.place: dict[str, int] = defaultdict()
+        self.place.default_factory = self.place.__len__
+        self.ids: list[bytes] = []
 
     @classmethod
     def of(cls, vocabulary: str) -> PieceEncoder:
@@ -64,22 +72,38 @@ class PieceEncoder:
             _encoders[vocabulary] = cls(vocabulary)
         return _encoders[vocabulary]
 
-    def _learn(self, known: dict[str, bytes], pieces: set[str], lead: str) -> None:
-        new = list(pieces - known.keys())
-        for at in range(0, len(new), 20_000):
-            some = new[at : at + 20_000]
-            done = self.tokenizer.encode_batch_fast([lead + x for x in some], add_special_tokens=False)
-            known.update(zip(some, [array(self.code, e.ids).tobytes() for e in done]))
+    def _whole(self, texts: list[str]) -> list[np.ndarray]:
+        return [np.asarray(e.ids, self.kind) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
+
+    def _learn(self, pieces: list[str]) -> None:
+        """Pieces that follow a space. Those that neither begin nor end with white space are encoded many in a text, and told apart by the bytes of their tokens."""
+        ids: list[bytes] = [b""] * len(pieces)
+        plain = [i for i, x in enumerate(pieces) if x and not x[0].isspace() and not x[-1].isspace()]
+        alone = [i for i, x in enumerate(pieces) if not x or x[0].isspace() or x[-1].isspace()]
+        for at in range(0, len(plain), 20_000):
+            runs = [plain[k : k + 250] for k in range(at, min(at + 20_000, len(plain)), 250)]
+            for run, got in zip(runs, self._whole([" " + " ".join([pieces[i] for i in run]) for run in runs])):
+                ends = np.cumsum([len(pieces[i].encode()) + 1 for i in run])
+                cuts = np.searchsorted(np.cumsum(self.sizes[got]), ends) + 1
+                raw, a = got.tobytes(), 0
+                for i, b in zip(run, (cuts * self.kind.itemsize).tolist()):
+                    ids[i] = raw[a:b]
+                    a = b
+        for i, got in zip(alone, self._whole([" " + pieces[i] for i in alone])):
+            ids[i] = got.tobytes()
+        self.ids += ids
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """The ids of each text, little-endian, two or four bytes each."""
-        if len(self.first) + len(self.after_space) > self.max_pieces:
-            self.first, self.after_space = {}, {}
+        if len(self.ids) > self.max_pieces:
+            self._forget()
         split = [_AT_SPACE.split(x) if _BLANKS.search(x) else x.split(" ") for x in texts]
-        self._learn(self.first, {x[0] for x in split}, "")
-        self._learn(self.after_space, set(chain.from_iterable(x[1:] for x in split)), " ")
-        first, get = self.first, self.after_space.__getitem__
-        return [first[x[0]] + b"".join(map(get, x[1:])) for x in split]
+        place = self.place.__getitem__
+        places = [list(map(place, x[1:])) for x in split]
+        if len(self.place) > len(self.ids):
+            self._learn(list(islice(self.place, len(self.ids), None)))
+        get = self.ids.__getitem__
+        return [first.tobytes() + b"".join(map(get, x)) for first, x in zip(self._whole([x[0] for x in split]), places)]
 
 
 def _groups(batch: list[str], most: int = 1 << 21) -> Iterator[list[str]]:
@@ -100,7 +124,7 @@ def write_segments(df: DataFrame, path: str, vocabulary: str, doc_id: str = "doc
 
     def encode(batches):
         encoder, part, seq, base = PieceEncoder.of(vocabulary), TaskContext.get().partitionId(), 0, 0
-        kind = np.dtype("<u4" if encoder.wide else "<u2")
+        kind = encoder.kind
         end = int(end_id).to_bytes(kind.itemsize, "little")
         docs, parts, lens = [], [], []
 
