@@ -3,8 +3,8 @@
 A text is cut at line ends into paragraphs, and a paragraph between words whose
 last and first letters are of stated classes (about one place in five), so cuts
 move with the content and an edit changes only the leaves it touches. Leaves are
-hashed; a section is a run of leaves that ends at a leaf whose hash begins with
-0 (about one in 16); a section's node hashes its leaves, the root hashes the
+hashed; a section is a run of leaves that ends at a leaf whose hash 16 divides
+(about one in 16); a section's node hashes its leaves, the root hashes the
 sections. The fingerprint is the root and the leaves by section: equal texts
 have equal roots, and where sections differ, their leaves locate the edit
 (`locate`). Likeness is the Jaccard coefficient of the two sets of leaves.
@@ -26,36 +26,27 @@ from pyspark.sql import functions as F
 
 from . import common
 
-DIGITS = 12
+DIGITS = 16
+_CUT = r"(?<=\n)|(?<=[aeiouns.,] )(?=[a-dr-t])"
 
 
 def leaves(text: Column) -> Column:
-    """Hash of each leaf in order, as hex."""
-    parts = F.split(text, r"(?<=\n)|(?<=[aeiouns.,] )(?=[a-dr-t])")
-    return F.transform(parts, lambda x: F.substring(F.md5(x.cast("binary")), 1, DIGITS))
-
-
-def _closes(leaf: Column) -> Column:
-    """Whether a leaf is its section's last."""
-    return F.substring(leaf, 1, 1) == "0"
-
-
-def sections(leaf: Column) -> Column:
-    """Leaves grouped by section, as strings of hex."""
-    marked = F.transform(leaf, lambda x: F.when(_closes(x), F.concat(x, F.lit("/"))).otherwise(F.concat(x, F.lit("."))))
-    return F.split(F.regexp_replace(F.array_join(marked, ""), "/$", ""), "/")
+    """The 64-bit hash of each leaf in order."""
+    return F.transform(F.split(text, _CUT), lambda x: F.xxhash64(x))
 
 
 def fingerprint(leaf: Column) -> Column:
     """root:section=leaf.leaf.../section=..."""
-    node = F.transform(sections(leaf), lambda s: F.concat(F.substring(F.md5(s.cast("binary")), 1, DIGITS), F.lit("="), s))
-    body = F.array_join(node, "/")
-    root = F.sha2(F.array_join(F.transform(node, lambda x: F.substring(x, 1, DIGITS)), "").cast("binary"), 256)
-    return F.concat(root, F.lit(":"), body)
+    name = lambda x: F.lpad(F.lower(F.hex(x)), DIGITS, "0")
+    marked = F.transform(leaf, lambda x: F.concat(name(x), F.when(F.pmod(x, F.lit(16)) == 0, "/").otherwise(".")))
+    groups = F.split(F.regexp_replace(F.array_join(marked, ""), "[./]$", ""), "/")
+    node = F.transform(groups, lambda x: F.concat(name(F.xxhash64(x)), F.lit("="), x))
+    root = F.sha2(F.array_join(node, "/").cast("binary"), 256)
+    return F.concat(root, F.lit(":"), F.array_join(node, "/"))
 
 
 def leaves_of(fingerprint: Column) -> Column:
-    """The leaves that a fingerprint holds."""
+    """The leaves that a fingerprint holds, in hex."""
     body = F.regexp_replace(F.substring_index(fingerprint, ":", -1), f"(^|/)[0-9a-f]{{{DIGITS}}}=", "$1")
     return F.array_remove(F.split(body, "[./]"), "")
 
@@ -101,7 +92,7 @@ def edits(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFram
     """(doc_id, n_chars, edited, fingerprint, edited_fingerprint, near_edited, near_next) of each document and of its edit by the next one."""
     body = F.coalesce(F.col(text), F.lit(""))
     given_id = F.col(doc_id).cast("long")
-    keyed = df.select(given_id.alias("doc_id"), *_key(given_id), F.xxhash64(body).alias("h"), body.alias("text"))
+    keyed = df.select(*_key(given_id), F.xxhash64(body).alias("h"), body.alias("text"))
     keys = df.select(given_id.alias("doc_id"), F.xxhash64(body).alias("h"), F.length(body).cast("long").alias("n")).distinct()
     near = common.materialise(neighbours(keys), "neighbours")
     # what a document owes to the one before it
@@ -109,7 +100,7 @@ def edits(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFram
     once = Window.partitionBy("d", "z", "h").orderBy(F.lit(0))
     own = keyed.withColumn("_before", F.lag(F.lit(1)).over(once)).where("_before is null").drop("_before")
     given = own.join(owes, ["d", "z", "h"]).select(F.col("to_d").alias("d"), F.col("to_z").alias("z"), F.col("to_h").alias("h"), F.expr("substring(text, 1, cast(k as int))").alias("given"), leaves(F.col("text")).alias("next_leaf"))
-    both = own.join(given, ["d", "z", "h"]).select("doc_id", "text", "given", "next_leaf", leaves(F.col("text")).alias("leaf"), F.length("text").cast("long").alias("n_chars"))
+    both = own.join(given, ["d", "z", "h"]).select(F.when(~F.col("z"), F.col("d")).alias("doc_id"), "text", "given", "next_leaf", leaves(F.col("text")).alias("leaf"), F.length("text").cast("long").alias("n_chars"))
     edited = F.concat(F.expr("substring(text, 1, cast(n_chars - floor(n_chars / 3) as int))"), F.col("given"))
     done = both.withColumn("edited", edited).withColumn("edited_leaf", leaves(F.col("edited")))
     return done.select("doc_id", "n_chars", "edited", fingerprint(F.col("leaf")).alias("fingerprint"), fingerprint(F.col("edited_leaf")).alias("edited_fingerprint"), likeness(F.col("leaf"), F.col("edited_leaf")).alias("near_edited"), likeness(F.col("leaf"), F.col("next_leaf")).alias("near_next"))
