@@ -9,7 +9,10 @@ _WHERE = {
     "op1_token_output": "token_output",
     "op2_byte_bpe": "byte_bpe",
     "op3_brown_lm": "brown_lm",
+    "op4_cover_tree": "cover_tree",
+    "op5_license_scan": "license_scan",
     "op6_merkle": "merkle",
+    "op7_chat_format": "chat_format",
     "op8_language_id": "language_id",
     "op9_lsh_forest": "lsh_forest",
     "op10_mixing": "mixing",
@@ -22,4 +25,4 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {}
+    return {name: import_module(f"{__package__}.{_WHERE[name]}").SQL for name in ("op4_cover_tree", "op7_chat_format")}
