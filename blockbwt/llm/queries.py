@@ -21,8 +21,12 @@ _WHERE = {
 
 def queries() -> dict:
     found = {name: getattr(import_module(f"{__package__}.{module}"), name) for name, module in _WHERE.items()}
+    found["pipeline"] = import_module("corpus_pipeline").run
     return found
 
 
 def oracle_sql() -> dict[str, str]:
-    return {name: import_module(f"{__package__}.{_WHERE[name]}").SQL for name in ("op4_cover_tree", "op7_chat_format")}
+    found = {name: import_module(f"{__package__}.{_WHERE[name]}").SQL for name in ("op4_cover_tree", "op7_chat_format")}
+    if import_module("corpus_pipeline").ORACLE_SQL is not None:
+        found["pipeline"] = import_module("corpus_pipeline").ORACLE_SQL
+    return found
