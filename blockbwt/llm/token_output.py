@@ -126,7 +126,7 @@ def write_segments(df: DataFrame, path: str, vocabulary: str, doc_id: str = "doc
         encoder, part, seq, base = PieceEncoder.of(vocabulary), TaskContext.get().partitionId(), 0, 0
         kind = encoder.kind
         end = int(end_id).to_bytes(kind.itemsize, "little")
-        docs, parts, lens = [], [], []
+        docs, parts, lens, held = [], [], [], 0
 
         def segment():
             nonlocal seq, base
@@ -134,8 +134,8 @@ def write_segments(df: DataFrame, path: str, vocabulary: str, doc_id: str = "doc
             bounds = np.concatenate([[0], np.cumsum(np.asarray(lens, np.int64))])
             row = {"part": part, "seq": seq, "base": base, "n_docs": len(docs), "n_tokens": int(bounds[-1]), "width": kind.itemsize, "n_null": nulls, "doc_ids": EliasFano.encode(docs[nulls:]).to_bytes(), "bounds": EliasFano.encode(bounds).to_bytes(), "ids": b"".join(parts)}
             seq, base = seq + 1, base + row["n_tokens"]
-            for held in (docs, parts, lens):
-                held.clear()
+            for x in (docs, parts, lens):
+                x.clear()
             return pa.RecordBatch.from_pylist([row], schema)
 
         for batch in batches:
@@ -145,8 +145,10 @@ def write_segments(df: DataFrame, path: str, vocabulary: str, doc_id: str = "doc
                     docs.append(next(ids))
                     parts += (got, end)
                     lens.append(len(got) // kind.itemsize + 1)
-                if sum(lens) >= segment_tokens:
-                    yield segment()
+                    held += lens[-1]
+                    if held >= segment_tokens:
+                        yield segment()
+                        held = 0
         if docs:
             yield segment()
 
