@@ -4,18 +4,17 @@ Documents with equal shingle sets are one node. A node has TREES signatures of
 DEPTH components; each tree sorts the nodes by theirs. Nodes that agree on the
 first MIN_DEPTH components of a tree form a region.
 
-1. Neighbours in a tree's order, within a region, share its longest prefixes:
-   they are the first candidates, at most one a node and tree. They're verified
-   on full sets, and the links joined to components.
+1. Neighbours in a tree's order, within a region, share its longest prefixes, as
+   deep as each place of the order has them: they are the first candidates, one
+   a node and tree. They're verified on full sets, and the links joined to
+   components.
 2. A region whose nodes are all of one component is done, however large. In the
-   others the depth grows until at most LEAF nodes share the prefix, and pairs
-   of different components there are the next candidates.
-3. A region that had to grow deeper may have parted a pair in every tree. Its
-   nodes go through an exact join on their rarest shingles (a pair at or above
-   the threshold shares one of the rarest (1 - threshold) of either), again
-   only across components.
-
-A pair at 0.75 that isn't in such a region is missed by TREES = 20 trees of
+   others of at most LEAF nodes every pair of different components is verified.
+3. The nodes of larger ones go through an exact join on their rarest shingles (a
+   pair at or above the threshold shares one of the rarest (1 - threshold) of
+   either), again only across components, and by blocks of nodes, not by pairs.
+
+A pair at 0.75 is missed by TREES = 20 trees of
 MIN_DEPTH = 3 with probability (1 - 0.75 ** 3) ** 20 = 2e-5, one at 0.8 with
 6e-7. Links are whatever full sets say; nothing else makes one.
 
@@ -35,7 +34,9 @@ from pyspark.sql import functions as F
 from . import common
 
 WORDS, THRESHOLD = 5, (75, 100)
-TREES, DEPTH, MIN_DEPTH, LEAF = 20, 8, 3, 32
+TREES, DEPTH, MIN_DEPTH, LEAF = 20, 8, 3, 12
+#: Nodes that a block holds and that one comparison takes, about.
+BLOCK, ASKING = 512, 2048
 _STORE = 400_000
 
 _SEEDS = np.random.default_rng(90_001)
@@ -177,22 +178,62 @@ def _prefix(depth: int):
     return F.substring("key", 1, 2 * depth)
 
 
+def _compare(members: pa.Table, asking: pa.Table) -> pa.Table:
+    """Links between the asking nodes and the block's members of other components: one for each node and component at most."""
+    nodes, roots = members["node"].to_pylist(), members["root"].to_pylist()
+    sets = [np.frombuffer(x, np.uint64) for x in members["shingles"].to_pylist()]
+    lens = np.array([len(x) for x in sets], np.int64)
+    flat, owner = (np.concatenate(sets), np.repeat(np.arange(len(sets)), lens)) if sets else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+    order = np.argsort(flat, kind="stable")
+    flat, owner = flat[order], owner[order]
+    left, right = [], []
+    for node, root, blob in zip(asking["node"].to_pylist(), asking["root"].to_pylist(), asking["shingles"].to_pylist()):
+        x = np.frombuffer(blob, np.uint64)
+        lo = np.searchsorted(flat, x)
+        n = np.searchsorted(flat, x, side="right") - lo
+        ends = np.cumsum(n)
+        at = np.arange(ends[-1]) + np.repeat(lo - (ends - n), n)
+        shared = np.bincount(owner[at], minlength=len(sets))
+        found = set()
+        for i in np.flatnonzero(THRESHOLD[1] * shared >= THRESHOLD[0] * (len(x) + lens - shared)).tolist():
+            if roots[i] != root and roots[i] not in found:
+                found.add(roots[i])
+                left.append(min(node, nodes[i]))
+                right.append(max(node, nodes[i]))
+    return pa.table({"a": pa.array(left, pa.binary()), "b": pa.array(right, pa.binary())})
+
+
 def _rest(nodes: DataFrame, sets: DataFrame) -> DataFrame:
-    """Every pair of `nodes` (node, root) of different components that shares one of its rarest shingles, as (a, b)."""
-    each = sets.join(nodes, "node").select("node", "root", F.octet_length("shingles").alias("n"), F.posexplode(F.expr("transform(sequence(0, cast(octet_length(shingles) div 8 as int) - 1), i -> substring(shingles, 8 * i + 1, 8))")).alias("i", "s"))
-    each = common.materialise(each.select("node", "root", (F.col("n") / 8).cast("int").alias("n"), "s"), "shingles")
-    counts = each.groupBy("s").agg(F.count(F.lit(1)).alias("df"))
-    rank = F.row_number().over(Window.partitionBy("node").orderBy("df", "s"))
+    """Links (a, b) between `nodes` (node, root, anchor) of different components: a node is compared with the blocks that have one of its rarest shingles.
+
+    Blocks hold about BLOCK nodes of one family (the same anchor), so a node
+    meets a large family a few times, not once for each member; and the
+    component that most holders of a shingle belong to asks nothing of itself.
+    """
+    many = nodes.groupBy("anchor").agg(F.count(F.lit(1)).alias("c"))
+    salt = F.pmod(F.xxhash64("node"), F.ceil(F.col("c") / BLOCK))
+    members = common.materialise(nodes.join(many, "anchor").select("node", "root", F.xxhash64("anchor", salt).alias("block")), "members")
+    tokens = F.expr("transform(sequence(0, cast(octet_length(shingles) div 8 as int) - 1), i -> substring(shingles, 8 * i + 1, 8))")
+    each = sets.join(members, "node").select("node", "root", "block", F.expr("cast(octet_length(shingles) div 8 as int)").alias("n"), F.explode(tokens).alias("s"))
+    each = common.materialise(each, "shingles")
+    counts = each.groupBy("s").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    # shingles of one holder alone come first in a prefix and find nobody
+    alone = each.groupBy("node").agg(F.first("n").alias("size")).join(each.join(counts, "s", "left_semi").groupBy("node").agg(F.count(F.lit(1)).alias("held")), "node")
+    ranked = each.join(counts, "s").join(alone.select("node", (F.col("size") - F.col("held")).alias("skip")), "node")
+    rank = F.row_number().over(Window.partitionBy("node").orderBy("df", "s")) + F.col("skip")
     longest = F.col("n") - F.ceil(F.col("n") * THRESHOLD[0] / float(THRESHOLD[1]) - 1e-9) + 1
-    rare = common.materialise(each.join(counts.where("df > 1"), "s", "left").withColumn("df", F.coalesce("df", F.lit(1))).withColumn("k", rank).where(F.col("k") <= longest).where("df > 1").select("s", "node", "root", "n"), "rare")
-    # the component that most rows of a shingle have needs no join with itself
+    rare = common.materialise(ranked.withColumn("k", rank).where(F.col("k") <= longest).select("s", "node", "root", "block"), "rare")
     by_root = rare.groupBy("s", "root").agg(F.count(F.lit(1)).alias("c"))
-    most = by_root.groupBy("s").agg(F.max(F.struct("c", "root")).alias("most"), F.count(F.lit(1)).alias("roots")).where("roots > 1").select("s", F.col("most.root").alias("major"))
-    mixed = rare.join(most, "s")
-    minor = mixed.where("root <> major").select("s", F.col("node").alias("a"), F.col("root").alias("ra"), F.col("n").alias("na"))
-    every = mixed.select("s", F.col("node").alias("b"), F.col("root").alias("rb"), F.col("n").alias("nb"))
-    fits = THRESHOLD[1] * F.least("na", "nb") >= THRESHOLD[0] * F.greatest("na", "nb")
-    return minor.join(every, "s").where((F.col("ra") != F.col("rb")) & fits).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+    mixed = by_root.groupBy("s").agg(F.max_by("root", F.struct("c", "root")).alias("major"), F.count(F.lit(1)).alias("roots")).where("roots > 1").select("s", "major")
+    minor = rare.join(mixed, "s").where("root <> major").select("s", "node")
+    holders = rare.select("s", "block").distinct()
+    asked = common.materialise(minor.join(holders, "s").select("node", "block").distinct(), "asked")
+    portions = asked.groupBy("block").agg(F.ceil(F.count(F.lit(1)) / ASKING).alias("k"))
+    full = sets.join(members.select("node", "root", F.col("block").alias("own")), "node")
+    left = full.withColumnRenamed("own", "block").join(portions, "block").select("block", F.explode(F.sequence(F.lit(0).cast("long"), F.col("k") - 1)).alias("portion"), "node", "root", "shingles")
+    right = asked.join(portions, "block").join(full.drop("own"), "node").select("block", F.pmod(F.xxhash64(F.lit(3), "node"), F.col("k")).alias("portion"), "node", "root", "shingles")
+    right = common.materialise(right, "asking")
+    return left.groupBy("block", "portion").cogroup(right.groupBy("block", "portion")).applyInArrow(_compare, "a binary, b binary").distinct()
 
 
 def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
@@ -218,19 +259,13 @@ def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -
     placed = regions.select("region", "key", "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     state = regions.select("region", "node").join(roots, "node", "left").groupBy("region").agg(F.min(F.coalesce("root", "node")).alias("lo"), F.max(F.coalesce("root", "node")).alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi").select("region", "n")
     open_rows = common.materialise(placed.join(state, "region").select("region", "key", "node", "root", "n"), "open")
-    deeper = open_rows.where(F.col("n") > LEAF)
-    for d in range(DEPTH, MIN_DEPTH, -1):
-        deeper = deeper.withColumn(f"n{d}", F.count(F.lit(1)).over(Window.partitionBy("region", _prefix(d))))
-    grown = F.coalesce(*[F.when(F.col(f"n{d}") <= LEAF, F.lit(d)) for d in range(MIN_DEPTH + 1, DEPTH + 1)])
-    deeper = deeper.withColumn("depth", grown).select("region", "key", "node", "root", "depth")
-    leaves = open_rows.where(F.col("n") <= LEAF).select("region", "key", "node", "root", F.lit(MIN_DEPTH).alias("depth")).unionByName(deeper.where("depth is not null"))
-    leaves = leaves.select(F.xxhash64("region", "depth", F.expr("substring(key, 1, 2 * depth)")).alias("leaf"), "node", "root")
-    left, right = leaves.select("leaf", F.col("node").alias("a"), F.col("root").alias("ra")), leaves.select("leaf", F.col("node").alias("b"), F.col("root").alias("rb"))
-    more = left.join(right, "leaf").where("a < b and ra <> rb").select("a", "b").distinct()
-    parted = common.materialise(deeper.select("node", "root").distinct(), "parted")
-    if not parted.isEmpty():
-        more = more.unionByName(_rest(parted, sets)).distinct()
+    small = open_rows.where(F.col("n") <= LEAF)
+    left, right = small.select("region", F.col("node").alias("a"), F.col("root").alias("ra")), small.select("region", F.col("node").alias("b"), F.col("root").alias("rb"))
+    more = left.join(right, "region").where("a < b and ra <> rb").select("a", "b").distinct()
     links2 = common.materialise(verify(more.join(near, ["a", "b"], "left_anti"), sets), "links")
+    large = common.materialise(open_rows.where(F.col("n") > LEAF).groupBy("node").agg(F.first("root").alias("root"), F.min("region").alias("anchor")), "large")
+    if not large.isEmpty():
+        links2 = links2.unionByName(common.materialise(_rest(large, sets), "links"))
     final = roots if links2.isEmpty() else common.materialise(components(links.unionByName(links2)), "roots")
     return _answer(docs, nodes, final)
 
