@@ -226,18 +226,38 @@ class Clusters:
 
 
 def cluster(vocabulary: DataFrame, classes: int = CLASSES, head: int = HEAD, passes: int = PASSES) -> Clusters:
+    def octaves(counts: np.ndarray) -> np.ndarray:
+        return np.minimum(511, 8 * np.log2(counts)).astype(np.int64)
+
+    def sizes(batches):
+        """Words by the eighth of an octave of their counts."""
+        n = np.zeros(512)
+        for batch in batches:
+            for x in batch.column(0).to_pylist():
+                n += np.bincount(octaves(unpack_array(x, np.int64)), minlength=512)
+        yield pa.RecordBatch.from_arrays([pa.array([n.tobytes()], pa.binary())], names=["n"])
+
+    words_in = _total(vocabulary.select("counts").mapInArrow(sizes, "n binary"), "n", np.float64)
+    above = np.cumsum(words_in[::-1])[::-1]
+    least = int((above > head).sum())  # from this octave on all words fit, and of the one below a share
+    share = (head - (above[least] if least < 512 else 0)) / words_in[least - 1] if least else 0.0
+
     def top(batches):
-        """The part's most frequent words, as candidates for the head."""
+        """The most frequent words' rows: about `head` from all parts together."""
         for batch in batches:
             for x in batch.to_pylist():
                 words, counts = unpack_words(x["words"]), unpack_array(x["counts"], np.int64)
                 length, context, n = _matrix(x)
                 ends = np.cumsum(length, dtype=np.int64)
-                for i in np.argsort(-counts, kind="stable")[:head].tolist():
+                of = octaves(counts)
+                for i in np.flatnonzero(of >= least - 1).tolist():
+                    if words[i] == END or of[i] < least and zlib.crc32(words[i]) >= share * (1 << 32):
+                        continue
                     a, b = ends[i] - length[i], ends[i]
                     yield pa.RecordBatch.from_arrays([pa.array([words[i]], pa.binary()), pa.array([int(counts[i])], pa.int64()), pa.array([context[a:b].tobytes()], pa.binary()), pa.array([n[a:b].astype(np.uint64).tobytes()], pa.binary())], names=["word", "n", "contexts", "sums"])
 
-    found = vocabulary.mapInArrow(top, "word binary, n long, contexts binary, sums binary").where(F.col("word") != F.lit(END)).orderBy(F.col("n").desc(), "word").limit(head).collect()
+    found = vocabulary.mapInArrow(top, "word binary, n long, contexts binary, sums binary").collect()
+    found.sort(key=lambda x: (-x.n, bytes(x.word)))
     rows = np.zeros((len(found), CONTEXTS))
     for r, x in zip(rows, found):
         r[np.frombuffer(x.contexts, np.uint16)] = np.frombuffer(x.sums, np.uint64)
@@ -257,11 +277,11 @@ def cluster(vocabulary: DataFrame, classes: int = CLASSES, head: int = HEAD, pas
                     new += np.bincount(each * CONTEXTS + context, n, (classes + 1) * CONTEXTS).reshape(-1, CONTEXTS)[1:]
             yield pa.RecordBatch.from_arrays([pa.array([new.tobytes()], pa.binary())], names=["table"])
 
-        table = _total(vocabulary.mapInArrow(move, "table binary"), "table", np.float64).reshape(classes, CONTEXTS)
+        table = _total(vocabulary.mapInArrow(move, "table binary"), "table", np.float64, classes * CONTEXTS).reshape(classes, CONTEXTS)
     return Clusters(table)
 
 
-def _total(tables: DataFrame, column: str, dtype) -> np.ndarray:
+def _total(tables: DataFrame, column: str, dtype, size: int = 512) -> np.ndarray:
     """The sum of arrays of one fixed size: eight tasks first, then the driver."""
 
     def add(batches):
@@ -273,7 +293,8 @@ def _total(tables: DataFrame, column: str, dtype) -> np.ndarray:
         if total is not None:
             yield pa.RecordBatch.from_arrays([pa.array([total.tobytes()], pa.binary())], names=["total"])
 
-    return np.sum([np.frombuffer(x.total, dtype) for x in tables.select(column).repartition(8).mapInArrow(add, "total binary").collect()], axis=0)
+    found = tables.select(column).repartition(8).mapInArrow(add, "total binary").collect()
+    return np.sum([np.frombuffer(x.total, dtype) for x in found], axis=0) if found else np.zeros(size, dtype)
 
 
 class Smoothed:
@@ -392,7 +413,7 @@ def score(df: DataFrame, held_out: Column, doc_id: str = "doc_id", text: str = "
                 n += np.bincount(sent.value.classes(unpack_words(x["words"]), *_matrix(x)), unpack_array(x["counts"], np.int64), classes + 1)
         yield pa.RecordBatch.from_arrays([pa.array([n.tobytes()], pa.binary())], names=["n"])
 
-    class_tokens = _total(vocabulary.mapInArrow(mass, "n binary"), "n", np.float64)
+    class_tokens = _total(vocabulary.mapInArrow(mass, "n binary"), "n", np.float64, classes + 1)
     sent_tokens = spark.sparkContext.broadcast(class_tokens)
     asked = chunks.select("chunk", "parts", "words").mapInArrow(_asked, "chunk long, part int, words binary")
     answers = vocabulary.groupBy("part").cogroup(asked.groupBy("part")).applyInArrow(_answers(sent, sent_tokens, classes), "chunk long, part int, classes binary, counts binary")
