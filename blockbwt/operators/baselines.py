@@ -11,7 +11,7 @@ from blockbwt.functions.words import Packing
 from blockbwt.storage import materialise
 
 from .collection import StringCollection, ordered_ranks, previous, suffixes
-from .construct import bwt_build
+from .construct import bwt_build, packed_suffixes, word_keys
 from .incremental import CapacityError, smaller_in
 from .sorters import by_arrow
 from .splitters import size_table, with_base
@@ -129,8 +129,8 @@ def bwt_local(coll: StringCollection, max_rows: int = 2_000_000) -> DataFrame:
     if rows > max_rows:
         raise CapacityError(f"{rows} suffixes; one task takes {max_rows}")
     packing = Packing(coll.symbols())
-    keys = packing.keys(packing.packed(F.col("s")), F.col("pos"), coll.longest(), F.length("s") - F.col("pos"))
-    listed = suffixes(coll).select(F.lit(0).alias("small_range"), F.lit(0).cast("long").alias("start"), "sid", "pos", previous().alias("sym"), *keys)
+    keys = word_keys(coll, packing)
+    listed = packed_suffixes(coll, packing).select(F.lit(0).alias("small_range"), F.lit(0).cast("long").alias("start"), "sid", "pos", previous().alias("sym"), *keys)
     return by_arrow(listed, "index").select(F.col("rank").alias("bwt_pos"), "sid", "pos", "sym")
 
 

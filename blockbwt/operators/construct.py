@@ -36,6 +36,15 @@ def make_plan(coll: StringCollection, budget: Budget) -> DataFrame:
     return materialise(plan_ranges(with_base(sizes), budget), "plan")
 
 
+def packed_suffixes(coll: StringCollection, packing: Packing) -> DataFrame:
+    """(sid, s, packed, pos): strings are packed before they're exploded, so once each."""
+    return coll.df.select("sid", "s", packing.packed(F.col("s")).alias("packed")).select("sid", "s", "packed", F.explode(positions()).alias("pos"))
+
+
+def word_keys(coll: StringCollection, packing: Packing) -> list:
+    return packing.keys(F.col("packed"), F.col("pos"), coll.longest(), F.length("s") - F.col("pos"))
+
+
 class _Listing:
     """Lists the suffixes of rounds of a plan with their sort keys."""
 
@@ -53,10 +62,9 @@ class _Listing:
     def rows(self, where=None) -> DataFrame:
         """(small_range, start, base, huge, sid, pos, sym, keys): filtered to the buckets wanted before any key is made."""
         plan = self.keyed if where is None else self.keyed.where(where)
-        packed = [self.packing.packed(F.col("s")).alias("packed")] if self.packing else []
-        each = self.coll.df.select("sid", "s", *packed, F.explode(positions()).alias("pos"))
+        each = packed_suffixes(self.coll, self.packing) if self.packing else suffixes(self.coll)
         placed = assign_bucket(each, plan, self.depths, self.small, ["small_range", "start", "base", "huge"])
-        keys = self.packing.keys(F.col("packed"), F.col("pos"), self.coll.longest(), F.length("s") - F.col("pos")) if self.packing else [utf8_key(F.col("s"), F.col("pos")).alias("w0")]
+        keys = word_keys(self.coll, self.packing) if self.packing else [utf8_key(F.col("s"), F.col("pos")).alias("w0")]
         return placed.select("small_range", "start", "base", "huge", "sid", "pos", previous().alias("sym"), *keys)
 
     def sorted(self, where=None) -> DataFrame:
@@ -112,16 +120,16 @@ def bwt_rounds(coll: StringCollection, budget: Budget, path: str | None = None,
 
 def bwt_sampled(coll: StringCollection, parts: int = 8, fraction: float = 0.01, seed: int = 7) -> DataFrame:
     """Blocks between splitters drawn from a sample; sizes are counted after the fact and vary with the sample, ranks don't."""
-    cut = materialise(partition_by_splitters(coll, sampled_splitters(coll, parts, fraction, seed)).select("sid", "s", "pos", "part"), "parts")
+    packing = Packing(coll.symbols())
+    placed = partition_by_splitters(coll, sampled_splitters(coll, parts, fraction, seed), packed_suffixes(coll, packing))
+    cut = materialise(placed.select("part", "sid", "pos", previous().alias("sym"), *word_keys(coll, packing)), "parts")
     sizes = sorted(tuple(x) for x in cut.groupBy("part").count().collect())
     starts, at = [], 0
     for p, n in sizes:
         starts.append((p, at))
         at += n
     begins = coll.df.sparkSession.createDataFrame(starts, "part int, start long")
-    packing = Packing(coll.symbols())
-    keys = packing.keys(packing.packed(F.col("s")), F.col("pos"), coll.longest(), F.length("s") - F.col("pos"))
-    listed = cut.join(F.broadcast(begins), "part").select(F.col("part").alias("small_range"), "start", "sid", "pos", previous().alias("sym"), *keys)
+    listed = cut.join(F.broadcast(begins), "part").withColumnRenamed("part", "small_range")
     out = sort_ranges(listed)
     return out.select(F.col("rank").cast("long").alias("bwt_pos"), "sid", F.col("pos").cast("int").alias("pos"), "sym")
 

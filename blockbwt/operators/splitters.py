@@ -106,14 +106,15 @@ def sampled_splitters(coll: StringCollection, parts: int, fraction: float = 0.01
     return sorted(set(x for x in at if x), key=lambda x: x.encode())
 
 
-def partition_by_splitters(coll: StringCollection, splitters: list[str]) -> DataFrame:
-    """(sid, s, pos, part): part i holds the suffixes from splitter i - 1 on and below splitter i; one equal to a splitter goes right."""
+def partition_by_splitters(coll: StringCollection, splitters: list[str], rows: DataFrame | None = None) -> DataFrame:
+    """The suffixes (or `rows` of them) with `part`: part i holds the suffixes from splitter i - 1 on and below splitter i; one equal to a splitter goes right."""
     if any(a.encode() >= b.encode() for a, b in zip(splitters, splitters[1:])):
         raise ValueError("splitters must increase")
     suffix = F.expr("substring(s, pos + 1)")
+    rows = suffixes(coll) if rows is None else rows
     if len(splitters) <= 64:
         part = sum((F.when(suffix >= x, 1).otherwise(0) for x in splitters), F.lit(0))
-        return suffixes(coll).withColumn("part", part.cast("int"))
+        return rows.withColumn("part", part.cast("int"))
     import pandas as pd
 
     encoded = coll.df.sparkSession.sparkContext.broadcast([x.encode() for x in splitters])
@@ -124,7 +125,7 @@ def partition_by_splitters(coll: StringCollection, splitters: list[str]) -> Data
 
         return x.map(lambda t: bisect_right(encoded.value, t.encode()))
 
-    return suffixes(coll).withColumn("part", place(suffix))
+    return rows.withColumn("part", place(suffix))
 
 
 def sids_range(bounds: list[int], sid: str = "sid") -> Column:

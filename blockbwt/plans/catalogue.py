@@ -15,7 +15,7 @@ from blockbwt import tables as T
 from blockbwt.functions import measures, sqlfuncs
 from blockbwt.functions.words import Packing, digit_words
 from blockbwt.operators import baselines, construct, fmindex, kmers, overlaps, relational, splitters
-from blockbwt.operators.collection import DNA, StringCollection, assign_ids, concat_offsets, locate_offset, positions, previous, suffixes
+from blockbwt.operators.collection import DNA, StringCollection, assign_ids, concat_offsets, locate_offset, previous, suffixes
 from blockbwt.sources import fasta, sinks
 from blockbwt.storage import fresh_path, materialise
 from blockbwt.streaming import streams
@@ -106,7 +106,7 @@ def whole(coll: StringCollection, **options) -> DataFrame:
 # --- A: collections and suffixes ---
 
 
-@query("bwt_worked_example", "SELECT * FROM (VALUES (0,0,4,'T'),(1,1,4,'T'),(2,2,4,'A'),(3,2,3,'A'),(4,2,2,'G'),(5,0,0,NULL),(6,1,1,'T'),(7,0,1,'A'),(8,2,1,'G'),(9,2,0,NULL),(10,0,2,'C'),(11,1,2,'A'),(12,0,3,'G'),(13,1,3,'G'),(14,1,0,NULL)) AS t(bwt_pos, sid, pos, sym)")
+@query("bwt_worked_example", "SELECT * FROM (VALUES (CAST(0 AS BIGINT),CAST(0 AS BIGINT),4,'T'),(1,1,4,'T'),(2,2,4,'A'),(3,2,3,'A'),(4,2,2,'G'),(5,0,0,NULL),(6,1,1,'T'),(7,0,1,'A'),(8,2,1,'G'),(9,2,0,NULL),(10,0,2,'C'),(11,1,2,'A'),(12,0,3,'G'),(13,1,3,'G'),(14,1,0,NULL)) AS t(bwt_pos, sid, pos, sym)")
 def worked_example(spark, d):
     return construct.bwt_build(StringCollection(spark.createDataFrame([(0, "ACGT"), (1, "TAGT"), (2, "GGAA")], "sid long, s string"), DNA), Budget(sort_rows=4, ell=1))
 
@@ -360,8 +360,7 @@ def _lsd_distributed(coll: StringCollection) -> DataFrame:
     from blockbwt.operators.sorters import lsd_distributed
 
     packing = Packing(coll.symbols())
-    keys = packing.keys(packing.packed(F.col("s")), F.col("pos"), coll.longest(), F.length("s") - F.col("pos"))
-    rows = suffixes(coll).select("sid", "pos", previous().alias("sym"), *keys)
+    rows = construct.packed_suffixes(coll, packing).select("sid", "pos", previous().alias("sym"), *construct.word_keys(coll, packing))
     return lsd_distributed(rows).select(F.col("rank").cast("long").alias("bwt_pos"), "sid", "pos", "sym")
 
 
@@ -377,7 +376,7 @@ def words_equal(spark, d):
     """Words shifted out of a string packed once against each suffix packed anew."""
     coll = T.reads(spark, d)
     p = Packing(DNA, "radix")
-    each = coll.df.select("s", p.packed(F.col("s")).alias("packed"), F.explode(positions()).alias("pos"))
+    each = construct.packed_suffixes(coll, p)
     # base 8 digits of the shifted word against base 5 digits of the other: both back as symbols
     text = lambda w, base, n: F.lpad(F.conv(w.cast("string"), 10, base), n, "0")
     a = text(p.word(F.col("packed"), F.col("pos"), 1), 8, p.symbols)
