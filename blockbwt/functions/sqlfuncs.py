@@ -64,7 +64,7 @@ class FastaRecords:
 def run_count_native(s):
     chars = F.split(s, "")
     pairs = F.arrays_zip(F.slice(chars, F.lit(1), F.greatest(F.length(s) - 1, F.lit(0))).alias("a"), F.slice(chars, F.lit(2), F.length(s)).alias("b"))
-    return (F.size(F.filter(pairs, lambda x: x["0"] != x["1"])) + (F.length(s) > 0).cast("int")).cast("long")
+    return (F.size(F.filter(pairs, lambda x: x["a"] != x["b"])) + (F.length(s) > 0).cast("int")).cast("long")
 
 
 def register(spark: SparkSession) -> None:

@@ -17,7 +17,7 @@ from blockbwt.tables import load
 SAME = {
     "rel_scan_pruned": "SELECT l_returnflag, count(*) AS n, CAST(sum(l_quantity) AS BIGINT) AS quantity FROM {lineitem} WHERE l_shipdate >= TIMESTAMP '1995-01-01 00:00:00' AND l_shipdate < TIMESTAMP '1996-01-01 00:00:00' GROUP BY l_returnflag",
     "rel_filter_predicates": "SELECT p_partkey, p_name, p_size FROM {part} WHERE (p_size IN (1, 3, 7, 15) OR p_name LIKE 'a%') AND p_size BETWEEN 1 AND 30 AND p_brand IS NOT NULL AND NOT p_partkey = 5 AND p_size <> 9",
-    "rel_project_expressions": "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, round(l_extendedprice * (1 - l_discount), 2) AS net, CASE WHEN l_quantity > 25 THEN 'many' ELSE 'few' END AS amount, CAST(l_quantity AS INTEGER) AS quantity FROM {lineitem}",
+    "rel_project_expressions": "SELECT l_orderkey, l_linenumber, l_partkey, l_suppkey, CAST(floor(l_extendedprice * (1 - l_discount)) AS BIGINT) AS net, CASE WHEN l_quantity > 25 THEN 'many' ELSE 'few' END AS amount, CAST(l_quantity AS INTEGER) AS quantity FROM {lineitem}",
     "rel_join_broadcast": "SELECT r_name, n_name, count(*) AS suppliers FROM {supplier} JOIN {nation} ON s_nationkey = n_nationkey JOIN {region} ON n_regionkey = r_regionkey GROUP BY r_name, n_name",
     "rel_join_outer": "SELECT d.doc_id AS doc_id, l.doc_id AS labelled, l.quality AS quality FROM {documents} d FULL OUTER JOIN (SELECT * FROM {labels} WHERE toxic = 0) l ON d.doc_id = l.doc_id",
     "rel_join_left": "SELECT d.doc_id AS doc_id, l.quality AS quality FROM {documents} d LEFT JOIN {labels} l ON d.doc_id = l.doc_id",
@@ -35,7 +35,7 @@ SAME = {
     "rel_agg_rollup": "SELECT l_returnflag, l_linestatus, CAST(grouping(l_returnflag) AS BIGINT) AS g, count(*) AS n FROM {lineitem} GROUP BY ROLLUP (l_returnflag, l_linestatus)",
     "rel_agg_cube": "SELECT l_returnflag, l_linestatus, CAST(grouping(l_linestatus) AS BIGINT) AS g, count(*) AS n FROM {lineitem} GROUP BY CUBE (l_returnflag, l_linestatus)",
     "rel_agg_grouping_sets": "SELECT l_returnflag, l_linestatus, count(*) AS n FROM {lineitem} GROUP BY GROUPING SETS ((l_returnflag), (l_linestatus), ())",
-    "rel_window_rank_family": "SELECT o_orderkey, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS nt, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM {orders} WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)",
+    "rel_window_rank_family": "SELECT o_orderkey, CAST(row_number() OVER w AS BIGINT) AS rn, CAST(rank() OVER w AS BIGINT) AS rk, CAST(dense_rank() OVER w AS BIGINT) AS dr, CAST(ntile(4) OVER w AS BIGINT) AS nt, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM {orders} WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey)",
     "rel_window_lag_lead": "SELECT event_id, lag(event_type) OVER w AS before, lead(event_type, 2) OVER w AS later FROM {events} WINDOW w AS (PARTITION BY user_id ORDER BY ts, event_id)",
     "rel_window_rows_frame": "SELECT o_orderkey, count(*) OVER w AS n, min(o_orderkey) OVER w AS least FROM {orders} WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN 2 PRECEDING AND 1 FOLLOWING)",
     "rel_window_first_last_nth": "SELECT o_orderkey, first_value(o_orderkey) OVER w AS f, last_value(o_orderkey) OVER w AS l, nth_value(o_orderkey, 2) OVER w AS s FROM {orders} WINDOW w AS (PARTITION BY o_custkey ORDER BY o_orderdate, o_orderkey ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING)",
@@ -52,7 +52,7 @@ SAME = {
     "rel_subquery_exists": "SELECT o_orderkey FROM {orders} o WHERE o_orderkey IN (SELECT l_orderkey FROM {lineitem} WHERE l_quantity >= 49)",
     "rel_subquery_correlated": "SELECT o_orderkey FROM {orders} o WHERE o_totalprice = (SELECT max(i.o_totalprice) FROM {orders} i WHERE i.o_custkey = o.o_custkey)",
     "rel_cte": "WITH big AS (SELECT o_custkey, count(*) AS n FROM {orders} GROUP BY o_custkey), top AS (SELECT max(n) AS n FROM big) SELECT big.o_custkey AS custkey, big.n AS n FROM big JOIN top ON big.n = top.n",
-    "rel_string_functions": "SELECT p_partkey, upper(p_name) AS u, length(p_name) AS len, substr(p_name, 2, 3) AS mid, lpad(CAST(p_size AS VARCHAR(9)), 4, '0') AS padded, replace(p_name, 'e', 'E') AS swapped, reverse(p_name) AS back, translate(p_name, 'aeiou', 'AEIOU') AS vowels, concat_ws('-', p_brand, p_type) AS joined, levenshtein(p_name, p_type) AS apart FROM {part}",
+    "rel_string_functions": "SELECT p_partkey, upper(p_name) AS u, CAST(length(p_name) AS BIGINT) AS len, substr(p_name, 2, 3) AS mid, lpad(CAST(p_size AS VARCHAR(9)), 4, '0') AS padded, replace(p_name, 'e', 'E') AS swapped, reverse(p_name) AS back, translate(p_name, 'aeiou', 'AEIOU') AS vowels, concat_ws('-', p_brand, p_type) AS joined, CAST(levenshtein(p_name, p_type) AS BIGINT) AS apart FROM {part}",
     "rel_date_functions": "SELECT o_orderkey, date_trunc('month', o_orderdate) AS month, CAST(year(o_orderdate) AS BIGINT) AS y, CAST(quarter(o_orderdate) AS BIGINT) AS q, CAST(o_orderdate AS DATE) AS d FROM {orders}",
     "rel_agg_percentile_exact": "SELECT l_returnflag, round(percentile_cont(0.5) WITHIN GROUP (ORDER BY l_extendedprice), 4) AS median FROM {lineitem} GROUP BY l_returnflag",
 }

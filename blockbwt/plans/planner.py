@@ -63,15 +63,14 @@ def plan_ranges(based: DataFrame, budget: Budget) -> DataFrame:
         raise ValueError("too many buckets for the driver; use plan_ranges_distributed")
     total = sum(x.n for x in rows)
     rounds = greedy([x.n for x in rows], budget.round_rows or max(1, total))
+    node = [min(budget.nodes - 1, int(budget.nodes * (x.base + x.n / 2) / max(1, total))) for x in rows]
     out, small, at = [], 0, 0
-    while at < len(rows):
+    while at < len(rows):  # a small range lies within one round and one node
         end = at
-        while end < len(rows) and rounds[end] == rounds[at]:
+        while end < len(rows) and (rounds[end], node[end]) == (rounds[at], node[at]):
             end += 1
         inner = greedy([x.n for x in rows[at:end]], budget.sort_rows)
-        for x, k in zip(rows[at:end], inner):
-            node = min(budget.nodes - 1, int(budget.nodes * (x.base + x.n / 2) / max(1, total)))
-            out.append((x.bucket, x.depth, x.terminal, x.n, x.base, small + k, rounds[at], node))
+        out += [(x.bucket, x.depth, x.terminal, x.n, x.base, small + k, rounds[at], node[at]) for x, k in zip(rows[at:end], inner)]
         small, at = small + inner[-1] + 1, end
     return based.sparkSession.createDataFrame(out, PLAN)
 

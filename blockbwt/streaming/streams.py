@@ -23,10 +23,14 @@ from blockbwt.tables import load, reads
 
 
 def stage(df: DataFrame, files: int, order: str, descending: bool = False) -> str:
-    """df in `files` Parquet files whose names ascend with `order`, as they would arrive."""
+    """df in `files` Parquet files, written one after the other in the order of `order`: sources take them by their age."""
     path = fresh_path(df.sparkSession, "arriving")
-    key = F.col(order).desc() if descending else F.col(order)
-    df.repartitionByRange(files, key).sortWithinPartitions(key).write.parquet(path)
+    key = F.unix_micros(F.col(order)) if dict(df.dtypes)[order] == "timestamp" else F.col(order)
+    cuts = df.agg(F.percentile_approx(key, [i / files for i in range(1, files)], 100_000)).first()[0] or []
+    spans = list(zip([None, *cuts], [*cuts, None]))
+    for low, high in reversed(spans) if descending else spans:
+        some = df if low is None else df.where(key > low)
+        (some if high is None else some.where(key <= high)).coalesce(1).write.mode("append").parquet(path)
     return path
 
 
@@ -59,8 +63,13 @@ def size_table_stream(spark: SparkSession, sf_dir: str, ell: int = 4) -> DataFra
     return finish(rows.select(prefix_bucket(ell).alias("bucket")).groupBy("bucket").agg(F.count(F.lit(1)).alias("n")), "complete")
 
 
+def _table(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Event time has to be an instant; the tables' has no zone."""
+    return load(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+
+
 def _events(spark: SparkSession, sf_dir: str, files: int = 3) -> DataFrame:
-    e = load(spark, sf_dir, "events")
+    e = _table(spark, sf_dir)
     return arriving(spark, stage(e, files, "ts"), e.schema)
 
 
@@ -84,7 +93,7 @@ def sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def late_data(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Files in reverse order: what the watermark drops and what it keeps are all rows."""
-    e = load(spark, sf_dir, "events")
+    e = _table(spark, sf_dir)
     rows = arriving(spark, stage(e, 3, "ts", descending=True), e.schema).withWatermark("ts", "1 hour")
     query = rows.groupBy(F.window("ts", "1 day")).agg(F.count(F.lit(1)).alias("n"))
     out = fresh_path(spark, "late")
@@ -97,7 +106,7 @@ def late_data(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every event sent twice."""
-    e = load(spark, sf_dir, "events")
+    e = _table(spark, sf_dir)
     twice = arriving(spark, stage(e.unionAll(e), 3, "ts"), e.schema).withWatermark("ts", "1 day")
     return finish(twice.dropDuplicatesWithinWatermark(["event_id"]), "append").select("event_id", "user_id", "event_type")
 

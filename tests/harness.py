@@ -38,7 +38,7 @@ def rows(columns: list[str], found) -> list:
     return sorted((tuple(plain(r[i]) for i in order) for r in found), key=key)
 
 
-_KINDS = {"bigint": "BIGINT", "int": "INTEGER", "string": "VARCHAR", "double": "DOUBLE", "boolean": "BOOLEAN", "timestamp": "TIMESTAMP", "date": "DATE", "float": "FLOAT"}
+_KINDS = {"bigint": "BIGINT", "int": "INTEGER", "string": "VARCHAR", "double": "DOUBLE", "boolean": "BOOLEAN", "timestamp": "TIMESTAMP", "timestamp_ntz": "TIMESTAMP", "date": "DATE", "float": "FLOAT"}
 
 
 def compare(spark, query, sql: str, sf_dir: str) -> str:
