@@ -96,7 +96,7 @@ def _intervals(index: Index, patterns: DataFrame, every: int = 6) -> DataFrame:
         # a place at the very end belongs to the last block
         asked = ends.withColumn("b", F.floor((F.col("r") - F.when(F.col("r") == total, 1).otherwise(0)) / index.step))
         head = F.substring("text", F.lit(1), (F.col("r") - F.col("b") * index.step).cast("int"))
-        count = F.length(head) - F.length(F.translate(head, F.col("c"), F.lit("")))
+        count = F.length(head) - F.length(F.replace(head, F.col("c"), F.lit("")))
         found = asked.join(blocks, "b").select("pid", "pattern", "left", "end", (F.element_at(first, F.col("c")) + F.coalesce(F.element_at("counts", F.col("c")), F.lit(0)) + count).alias("r"))
         both = found.groupBy("pid", "pattern", "left").agg(F.min(F.when(F.col("end") == 0, F.col("r"))).alias("lo"), F.min(F.when(F.col("end") == 1, F.col("r"))).alias("hi"))
         state = both.where("lo is not null and hi > lo").select("pid", "pattern", "lo", "hi", (F.col("left") - 1).alias("left"))
