@@ -34,7 +34,7 @@ from pyspark.sql import functions as F
 from . import common
 from .common import pack, pack_words, unpack_array, unpack_words
 
-CHUNK_CHARS = 8 << 20
+CHUNK_CHARS = 6 << 20
 CHUNK = "chunk long, docs array<long>, doc_pieces binary, places binary, piece_words binary, word_places binary, parts array<int>, words array<binary>"
 _AT_SPACE, _BLANKS = re.compile(r"(?<=\S) (?=\S)"), re.compile(r"\s\s")
 _loaded: dict[str, object] = {}
@@ -174,14 +174,20 @@ def _reassembled(asked: pa.Table, answers: pa.Table) -> pa.Table:
     return pa.table({"doc_id": pa.array(docs, pa.int64()), "ids": pa.array(out, pa.binary())})
 
 
+def _chunk_done(asked: pa.Table, answers: pa.Table) -> pa.Table:
+    out = _reassembled(asked, answers)
+    common.release()
+    return out
+
+
 def encode(df: DataFrame, ranks_path: str, pattern: str, doc_id: str = "doc_id", text: str = "text", chunk_chars: int = CHUNK_CHARS, parts: int | None = None) -> DataFrame:
     """(doc_id, ids): ids as little-endian unsigned 32-bit integers, one row for each row of df."""
     parts = parts or common.shuffle_parts(df.sparkSession)
     rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    chunks = rows.mapInArrow(_chunks(pattern, parts, chunk_chars), CHUNK).repartition("chunk")
+    chunks = rows.mapInArrow(common.trimmed(_chunks(pattern, parts, chunk_chars)), CHUNK).repartition("chunk")
     asked = chunks.mapInArrow(_asked, "chunk long, part int, words binary")
-    answers = asked.repartition("part").sortWithinPartitions("part").mapInArrow(_answered(ranks_path, pattern), "chunk long, part int, ids binary")
-    return chunks.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(_reassembled, "doc_id long, ids binary")
+    answers = asked.repartition("part").sortWithinPartitions("part").mapInArrow(common.trimmed(_answered(ranks_path, pattern)), "chunk long, part int, ids binary")
+    return chunks.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(_chunk_done, "doc_id long, ids binary")
 
 
 def decode(df: DataFrame, ranks_path: str, doc_id: str = "doc_id", ids: str = "ids") -> DataFrame:
@@ -189,11 +195,11 @@ def decode(df: DataFrame, ranks_path: str, doc_id: str = "doc_id", ids: str = "i
 
     def run(batches):
         token = token_bytes(ranks_path).__getitem__
-        for batch in batches:
+        for batch in (x for whole in batches for x in common.slices(whole, 1, 1 << 22)):
             out = [None if x is None else b"".join(map(token, np.frombuffer(x, "<u4").tolist())) for x in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.binary())], names=["doc_id", "ids", "decoded"])
 
-    return df.select(F.col(doc_id).alias("doc_id"), F.col(ids).alias("ids")).mapInArrow(run, "doc_id long, ids binary, decoded binary")
+    return df.select(F.col(doc_id).alias("doc_id"), F.col(ids).alias("ids")).mapInArrow(common.trimmed(run), "doc_id long, ids binary, decoded binary")
 
 
 def digests(docs: DataFrame) -> DataFrame:
