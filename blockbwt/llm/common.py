@@ -58,11 +58,50 @@ def shuffle_parts(spark: SparkSession) -> int:
     return int(spark.conf.get("spark.sql.shuffle.partitions"))
 
 
+def slices(batch, column: int, most: int = 1 << 20):
+    """Runs of a batch's rows whose strings in `column` have about `most` bytes: few rows at a time become Python objects."""
+    import pyarrow.compute as pc
+
+    ends = np.cumsum(pc.fill_null(pc.binary_length(batch.column(column)), 0).to_numpy(zero_copy_only=False), dtype=np.int64) + np.arange(batch.num_rows) * 64
+    a = 0
+    while a < batch.num_rows:
+        before = ends[a - 1] if a else 0
+        b = max(a + 1, int(np.searchsorted(ends, before + most)))
+        yield batch.slice(a, b - a)
+        a = b
+
+
+def trimmed(run):
+    """An Arrow function that gives its memory back to the system when a task ends: workers wait for later stages with what they hold."""
+
+    def wrapped(batches):
+        try:
+            yield from run(batches)
+        finally:
+            release()
+
+    return wrapped
+
+
+def release() -> None:
+    import ctypes
+    import gc
+
+    import pyarrow as pa
+
+    gc.collect()
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL("libc.so.6").malloc_trim(0)
+    except (OSError, AttributeError):  # another C library
+        pass
+
+
 def pack(data: bytes | np.ndarray) -> bytes:
     """A zstd frame. Of an array, the planes of its bytes, lowest first, compress best one by one."""
     if isinstance(data, np.ndarray):
         data = np.ascontiguousarray(data).view(np.uint8).reshape(-1, data.itemsize).T.tobytes()
-    return zstandard.ZstdCompressor(level=1, write_content_size=True).compress(data)
+    return zstandard.ZstdCompressor(level=4, write_content_size=True).compress(data)
 
 
 def unpack(data: bytes) -> bytes:
