@@ -182,6 +182,7 @@ def _chunk_done(asked: pa.Table, answers: pa.Table) -> pa.Table:
 
 def encode(df: DataFrame, ranks_path: str, pattern: str, doc_id: str = "doc_id", text: str = "text", chunk_chars: int = CHUNK_CHARS, parts: int | None = None) -> DataFrame:
     """(doc_id, ids): ids as little-endian unsigned 32-bit integers, one row for each row of df."""
+    common.small_batches(df.sparkSession)
     parts = parts or common.shuffle_parts(df.sparkSession)
     rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     chunks = rows.mapInArrow(common.trimmed(_chunks(pattern, parts, chunk_chars)), CHUNK).repartition("chunk")

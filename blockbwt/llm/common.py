@@ -71,6 +71,11 @@ def slices(batch, column: int, most: int = 1 << 20):
         a = b
 
 
+def small_batches(spark: SparkSession, most_bytes: int = 8 << 20) -> None:
+    """Arrow batches of 8 MB at most: whole texts pass by in them, and both sides hold several at once."""
+    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(most_bytes))
+
+
 def trimmed(run):
     """An Arrow function that gives its memory back to the system when a task ends: workers wait for later stages with what they hold."""
 

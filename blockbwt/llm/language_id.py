@@ -68,7 +68,7 @@ def _blocks(texts: list[str]):
 def _frequencies(batches):
     """Document frequency of each bucket within the partition."""
     df, n = np.zeros(FEATURES, np.int64), 0
-    for batch in batches:
+    for batch in (x for whole in batches for x in common.slices(whole, 0)):
         texts = _lower(batch.column(0).to_pylist())
         n += len(texts)
         for a, b in _blocks(texts):
@@ -92,7 +92,7 @@ def document_frequencies(texts: DataFrame) -> tuple[int, np.ndarray]:
                 df += np.frombuffer(x, "<i8")
         yield pa.RecordBatch.from_arrays([pa.array([n], pa.int64()), pa.array([df.astype("<i8").tobytes()], pa.binary())], names=["n", "df"])
 
-    partial = texts.mapInArrow(_frequencies, "n long, df binary")
+    partial = texts.mapInArrow(common.trimmed(_frequencies), "n long, df binary")
     found = partial.repartition(8).mapInArrow(add, "n long, df binary").collect()
     return sum(x.n for x in found), np.sum([np.frombuffer(x.df, "<i8") for x in found], axis=0)
 
@@ -203,13 +203,14 @@ def learn(df: DataFrame, text: str = "text", lang: str = "lang", order: Column |
 
 def predict(df: DataFrame, model: Model | None, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
     """The columns `keep` with lang_pred and score, a row for each row of df."""
+    common.small_batches(df.sparkSession)
     sent = df.sparkSession.sparkContext.broadcast(model)  # FEATURES times the languages, whatever the input
 
     def run(batches):
         import regex
 
         letter, model = regex.compile(r"\p{L}").search, sent.value
-        for batch in batches:
+        for batch in (x for whole in batches for x in common.slices(whole, 0)):
             texts = batch.column(0).to_pylist()
             has = [i for i, x in enumerate(texts) if x and letter(x)]
             langs, score = ["und"] * len(texts), np.ones(len(texts))
@@ -226,7 +227,7 @@ def predict(df: DataFrame, model: Model | None, keep: tuple[str, ...] = ("doc_id
     names = kept.columns[1:]
     types = dict(kept.dtypes)
     schema = ", ".join(f"`{c}` {types[c]}" for c in names)
-    return kept.mapInArrow(run, f"{schema}, lang_pred string, score double")
+    return kept.mapInArrow(common.trimmed(run), f"{schema}, lang_pred string, score double")
 
 
 def remainder(doc_id: Column, k: int) -> Column:

@@ -37,7 +37,7 @@ WORDS, THRESHOLD = 5, (75, 100)
 TREES, DEPTH, MIN_DEPTH, LEAF = 20, 8, 3, 12
 #: Nodes that a block holds and that one comparison takes, about.
 BLOCK, ASKING = 512, 2048
-_STORE = 400_000
+_STORE = 250_000
 
 _SEEDS = np.random.default_rng(90_001)
 _FACTORS = (_SEEDS.integers(0, 1 << 32, TREES * DEPTH, dtype=np.uint32) | 1).astype(np.uint32)
@@ -93,23 +93,17 @@ def _name(s: np.ndarray) -> bytes:
 
 def _sketch(batches):
     hashes = _Hashes()
-    for batch in batches:
-        ids, text_hash, texts = batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2)
-        at = 0
-        while at < len(ids):
-            begin, sets, size = at, [], 0
-            while at < len(ids) and size < 1 << 16:
-                sets.append(shingles(texts[at].as_py(), hashes))
-                size += len(sets[-1])
-                at += 1
+    for whole in batches:
+        for batch in common.slices(whole, 2, 1 << 19):
+            sets = [shingles(x.as_py(), hashes) for x in batch.column(2)]
             if len(hashes) > _STORE:
-                hashes = _Hashes()
+                hashes.clear()
             full = [x for x in sets if len(x)]
             signed = iter(_signatures(full) if full else ())
             yield pa.RecordBatch.from_arrays(
                 [
-                    pa.array(ids[begin:at], pa.int64()),
-                    pa.array(text_hash[begin:at], pa.int64()),
+                    batch.column(0),
+                    batch.column(1),
                     pa.array([len(x) for x in sets], pa.int64()),
                     pa.array([_name(x) if len(x) else None for x in sets], pa.binary()),
                     pa.array([next(signed).tobytes() if len(x) else None for x in sets], pa.binary()),
@@ -125,7 +119,7 @@ def _sets(batches):
         while at < len(nodes):  # sets may be larger than their texts: few at a time
             some = [shingles(x.as_py(), hashes).tobytes() for x in texts[at : at + 500]]
             if len(hashes) > _STORE:
-                hashes = _Hashes()
+                hashes.clear()
             yield pa.RecordBatch.from_arrays([nodes[at : at + 500], pa.array(some, pa.binary())], names=["node", "shingles"])
             at += 500
 
@@ -148,7 +142,7 @@ def verify(pairs: DataFrame, sets: DataFrame) -> DataFrame:
     sizes = sets.select("node", size.alias("n"))
     fit = pairs.join(sizes.select(F.col("node").alias("a"), F.col("n").alias("na")), "a").join(sizes.select(F.col("node").alias("b"), F.col("n").alias("nb")), "b")
     fit = fit.where(THRESHOLD[1] * F.least("na", "nb") >= THRESHOLD[0] * F.greatest("na", "nb")).select("a", "b")
-    return fit.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(_linked, "a binary, b binary")
+    return fit.join(left, "a").join(right, "b").select("a", "b", "x", "y").mapInArrow(common.trimmed(_linked), "a binary, b binary")
 
 
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
@@ -238,8 +232,9 @@ def _rest(nodes: DataFrame, sets: DataFrame) -> DataFrame:
 
 def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id, kept), a row for each row of df."""
+    common.small_batches(df.sparkSession)
     rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.xxhash64(F.col(text)).alias("text_hash"), F.col(text).alias("text"))
-    docs = common.materialise(rows.select("doc_id", "text_hash", "text").mapInArrow(_sketch, "doc_id long, text_hash long, n long, node binary, signature binary"), "sketches")
+    docs = common.materialise(rows.select("doc_id", "text_hash", "text").mapInArrow(common.trimmed(_sketch), "doc_id long, text_hash long, n long, node binary, signature binary"), "sketches")
     named = docs.where("node is not null")
     first = named.groupBy("node").agg(F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "text_hash", "signature")).alias("f"))
     nodes = first.select("node", "f.doc_id", "f.text_hash", "f.signature")
@@ -252,7 +247,7 @@ def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -
     # full sets of the nodes that have a neighbour, from the one text that stands for each
     wanted = regions.select("node").distinct().join(nodes.select("node", F.col("doc_id").alias("d"), F.col("text_hash").alias("h")), "node")
     texts = rows.join(wanted, (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("d")))
-    sets = common.materialise(texts.select("node", "text").mapInArrow(_sets, "node binary, shingles binary").dropDuplicates(["node"]), "sets")
+    sets = common.materialise(texts.select("node", "text").mapInArrow(common.trimmed(_sets), "node binary, shingles binary").dropDuplicates(["node"]), "sets")
     near = regions.where("before is not null").select(F.least("node", "before").alias("a"), F.greatest("node", "before").alias("b")).distinct()
     links = common.materialise(verify(near, sets), "links")
     roots = common.materialise(components(links), "roots")
