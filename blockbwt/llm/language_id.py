@@ -7,7 +7,9 @@ follow-the-regularised-leader steps under an elastic net (the L1 part keeps most
 weights at zero) on a bounded sample of FIT_ROWS training documents and a
 temperature is fitted on further CALIBRATE_ROWS of them; both bounds are
 parameters, and both samples are those of the smallest hashes, spread evenly
-over the languages. Document frequencies cover every training document.
+over the languages. A sampled text is read whole: its n-grams are counted where
+it is, and the driver gets counts of at most FEATURES buckets, packed. Document
+frequencies cover every training document.
 
 A prediction reads every character of the text. Since a feature's value is
 linear in its count, a text's logits are a mean of per-n-gram weights: one
@@ -29,7 +31,7 @@ from pyspark.sql import functions as F
 from . import common
 
 FEATURES, ORDERS = 1 << 16, (1, 2, 3)
-FIT_ROWS, CALIBRATE_ROWS, FIT_CHARS = 6_000, 2_000, 4_000
+FIT_ROWS, CALIBRATE_ROWS = 6_000, 2_000
 ALPHA, BETA, L1, L2, EPOCHS, BATCH = 0.5, 1.0, 1e-4, 1e-5, 4, 32
 _SCALE = 30.0  # shares are small: a constant gain, undone by nothing and tuned by the temperature
 _BLOCK = 1 << 18
@@ -121,25 +123,42 @@ class Model:
         return [self.langs[i] for i in best], p[np.arange(len(best)), best]
 
 
-def _sparse(text: str, idf: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+def pack_counts(text: str) -> bytes:
+    """The buckets of a whole text's n-grams and how often each occurs."""
     grams, _ = ngrams([text])
-    f, n = np.unique(np.concatenate(grams), return_counts=True)
-    return f, n / n.sum() * idf[f] * _SCALE
+    n = np.zeros(FEATURES, np.int64)
+    for g in grams:
+        n += np.bincount(g, minlength=FEATURES)
+    f = np.flatnonzero(n)
+    return common.pack(np.stack([f, n[f]]).astype("<u4"))
 
 
-def fit(texts: list[str], langs: list[str], idf: np.ndarray, names: list[str]) -> Model:
-    """FTRL-proximal with per-coordinate rates, L1 and L2; steps of BATCH documents."""
+def _shares(packed: bytes) -> tuple[np.ndarray, np.ndarray]:
+    """Buckets and their shares of the text's n-grams."""
+    f, n = common.unpack_array(packed, "<u4").reshape(2, -1)
+    return f, n / n.sum(dtype=np.int64)
+
+
+def _counted(batches):
+    """(text, lang, h) -> (lang, h, grams)."""
+    for batch in (x for whole in batches for x in common.slices(whole, 0)):
+        grams = [pack_counts(x) for x in _lower(batch.column(0).to_pylist())]
+        yield pa.RecordBatch.from_arrays([*batch.columns[1:], pa.array(grams, pa.binary())], names=["lang", "h", "grams"])
+
+
+def fit(packed: list[bytes], langs: list[str], idf: np.ndarray, names: list[str]) -> Model:
+    """FTRL-proximal with per-coordinate rates, L1 and L2; steps of BATCH documents, whose counts alone are unpacked."""
     k = len(names)
-    rows = [_sparse(x, idf) for x in texts]
     y = np.array([names.index(x) for x in langs])
     z, n, w = np.zeros((FEATURES + 1, k)), np.zeros((FEATURES + 1, k)), np.zeros((FEATURES + 1, k))
     order = np.random.default_rng(11)
     for _ in range(EPOCHS):
-        at = order.permutation(len(rows))
+        at = order.permutation(len(packed))
         for run in np.array_split(at, max(1, len(at) // BATCH)):
-            f = np.concatenate([np.append(rows[i][0], FEATURES) for i in run]).astype(np.int64)
-            x = np.concatenate([np.append(rows[i][1], 1.0) for i in run])
-            ends = np.cumsum([0, *(len(rows[i][0]) + 1 for i in run)])
+            rows = [_shares(packed[i]) for i in run]
+            f = np.concatenate([np.append(a, FEATURES) for a, _ in rows]).astype(np.int64)
+            x = np.concatenate([np.append(b * idf[a] * _SCALE, 1.0) for a, b in rows])
+            ends = np.cumsum([0, *(len(a) + 1 for a, _ in rows)])
             logits = np.add.reduceat(w[f] * x[:, None], ends[:-1])
             p = np.exp(logits - logits.max(1, keepdims=True))
             p /= p.sum(1, keepdims=True)
@@ -156,11 +175,11 @@ def fit(texts: list[str], langs: list[str], idf: np.ndarray, names: list[str]) -
     return Model(names, np.ascontiguousarray((w[:-1] * idf[:, None] * _SCALE).astype(np.float32)), w[-1])
 
 
-def calibrate(model: Model, texts: list[str], langs: list[str]) -> None:
+def calibrate(model: Model, packed: list[bytes], langs: list[str]) -> None:
     """The temperature of least log loss, on rows that weren't fitted, over a grid of rising ones."""
-    if not texts or len(model.langs) < 2:
+    if not packed or len(model.langs) < 2:
         return
-    z = model.logits(texts)
+    z = np.array([b @ model.weights[a] + model.bias for a, b in map(_shares, packed)])
     y = np.array([model.langs.index(x) for x in langs])
 
     def loss(t: float) -> float:
@@ -175,8 +194,9 @@ def learn(df: DataFrame, text: str = "text", lang: str = "lang", order: Column |
     """A model of all of df's rows that have text and lang; None if there are none.
 
     The samples take from every language its rows of the smallest hashes, up to
-    an equal share of the bound, and of each its first FIT_CHARS characters.
+    an equal share of the bound, and of each its whole text.
     """
+    common.small_batches(df.sparkSession)
     rows = df.select(F.col(text).alias("text"), F.col(lang).alias("lang"))
     rows = rows.where("text is not null and lang is not null")
     counts = {x.lang: x["count"] for x in rows.groupBy("lang").count().collect()}  # a row for each language
@@ -191,13 +211,13 @@ def learn(df: DataFrame, text: str = "text", lang: str = "lang", order: Column |
     # below these hashes each language has about twice what is needed; the exact smallest follow
     bounds = {x: min(1.0, 2.0 * each / counts[x]) for x in names}
     below = F.element_at(F.create_map(*[F.lit(v) for x, b in bounds.items() for v in (x, b)]), F.col("lang")) * float(1 << 40)
-    ranked = hashed.where(F.col("h") <= below).select(F.substring("text", 1, FIT_CHARS).alias("text"), "lang", "h")
-    ranked = ranked.withColumn("k", F.row_number().over(Window.partitionBy("lang").orderBy("h", "text"))).where(F.col("k") <= each)
-    sample = ranked.orderBy("h", "text").collect()
+    ranked = hashed.where(F.col("h") <= below).select("text", "lang", "h").mapInArrow(common.trimmed(_counted), "lang string, h long, grams binary")
+    ranked = ranked.withColumn("k", F.row_number().over(Window.partitionBy("lang").orderBy("h", "grams"))).where(F.col("k") <= each)
+    sample = ranked.orderBy("h", "grams").collect()
     every = max(2, (fit_rows + calibrate_rows) // max(1, calibrate_rows))
     keep, held = [x for i, x in enumerate(sample) if i % every], sample[::every]
-    model = fit(_lower([x.text for x in keep]), [x.lang for x in keep], idf, names)
-    calibrate(model, _lower([x.text for x in held]), [x.lang for x in held])
+    model = fit([x.grams for x in keep], [x.lang for x in keep], idf, names)
+    calibrate(model, [x.grams for x in held], [x.lang for x in held])
     return model
 
 
