@@ -232,6 +232,19 @@ def _rest(nodes: DataFrame, sets: DataFrame) -> DataFrame:
 
 def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id, kept), a row for each row of df."""
+    return _answer(*_grouped(df, doc_id, text))
+
+
+def representatives(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
+    """(doc_id, text_hash): of each group its one text of the least id, null last, and every text without a shingle."""
+    docs, nodes, roots = _grouped(df, doc_id, text)
+    placed = nodes.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    least = placed.groupBy("root").agg(F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "text_hash")).alias("f"))
+    return least.select("f.doc_id", "f.text_hash").unionByName(docs.where("node is null").select("doc_id", "text_hash").distinct())
+
+
+def _grouped(df: DataFrame, doc_id: str, text: str) -> tuple[DataFrame, DataFrame, DataFrame]:
+    """Rows with their nodes, nodes (equal sets of shingles) with their first text, and (node, root) of linked nodes."""
     common.small_batches(df.sparkSession)
     rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.xxhash64(F.col(text)).alias("text_hash"), F.col(text).alias("text"))
     docs = common.materialise(rows.select("doc_id", "text_hash", "text").mapInArrow(common.trimmed(_sketch), "doc_id long, text_hash long, n long, node binary, signature binary"), "sketches")
@@ -262,7 +275,7 @@ def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -
     if not large.isEmpty():
         links2 = links2.unionByName(common.materialise(_rest(large, sets), "links"))
     final = roots if links2.isEmpty() else common.materialise(components(links.unionByName(links2)), "roots")
-    return _answer(docs, nodes, final)
+    return docs, nodes, final
 
 
 def _answer(docs: DataFrame, nodes: DataFrame, roots: DataFrame) -> DataFrame:

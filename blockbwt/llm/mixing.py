@@ -58,10 +58,12 @@ def targets(sources: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE,
     return ranked.select("source", "source_size", F.least("cap", F.col("weight") * level).alias("target"))
 
 
-def mix(df: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", quality: DataFrame | None = None, weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST, seed: int = SEED) -> DataFrame:
-    """(doc_id, source, size, source_size, target, taken), a row for each row of df. quality: (doc_id, quality_weight) of some documents."""
-    spark = df.sparkSession
-    rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(source).alias("source"), words_in(F.col(text)).alias("size"))
+def mix(df: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str = "source", quality: DataFrame | None = None, weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST, seed: int = SEED, carry: bool = False) -> DataFrame:
+    """(doc_id, source, size, source_size, target, taken), a row for each row of df. quality: (doc_id, quality_weight) of some documents.
+
+    With `carry`, a column `row` holds the row of df itself, for `take`.
+    """
+    rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(source).alias("source"), words_in(F.col(text)).alias("size"), *([F.struct(*df.columns).alias("row")] if carry else []))
     if quality is not None:
         rows = rows.join(quality.groupBy("doc_id").agg(F.max("quality_weight").alias("quality_weight")), "doc_id", "left")
     else:
@@ -82,7 +84,7 @@ def mix(df: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str =
     here = sized.join(F.broadcast(plan) if _small(plan) else plan, F.col("source").eqNullSafe(F.col("s")) & (F.col("bucket") == F.col("b")))
     edge = (F.col("bucket_before") < F.col("rest")) & (F.col("bucket_before") + F.col("n") > F.col("rest"))
     whole = F.when(F.col("bucket_before") < F.col("rest"), F.col("size")).otherwise(0)
-    keep = ["doc_id", "source", "size", "source_size", "target"]
+    keep = ["doc_id", "source", "size", "source_size", "target", *(["row"] if carry else [])]
     sure = here.where(~edge).select(*keep, (F.col("epochs") * F.col("size") + whole).cast("long").alias("taken"))
     order = Window.partitionBy("source", "bucket").orderBy("key", "doc_id", "size").rowsBetween(Window.unboundedPreceding, -1)
     left = F.col("rest") - F.col("bucket_before") - F.coalesce(F.sum("size").over(order), F.lit(0))
@@ -101,16 +103,23 @@ def labelled_weights(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def apply(df: DataFrame, mixed: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
-    """The rows of df as often as the mix takes them; what isn't a whole copy is the text's first words.
-
-    mixed: (doc_id, size, taken). doc_id has to be unique here; null ids aren't taken.
-    """
+    """`take` for a mix without its rows, mixed: (doc_id, size, taken). doc_id has to be unique here; null ids aren't taken."""
     took = mixed.select(F.col("doc_id").alias(doc_id), "size", "taken").where("taken > 0")
-    copies = F.array_repeat(F.lit(None).cast("long"), F.expr("cast(taken div size as int)"))
-    cuts = F.when(F.expr("taken % size > 0"), F.array(F.expr("taken % size"))).otherwise(F.array().cast("array<bigint>"))
-    each = df.join(took, doc_id).withColumn("_first", F.explode(F.concat(copies, cuts)))
+    return _copies(df.join(took, doc_id), text).select(*df.columns)
+
+
+def take(mixed: DataFrame, text: str = "text") -> DataFrame:
+    """The rows that a mix carries as often as it takes each, whatever their ids; what isn't a whole copy is the text's first words."""
+    each = mixed.where("taken > 0").select("row.*", F.col("size").alias("_size"), F.col("taken").alias("_taken"))
+    return _copies(each, text, "_size", "_taken").drop("_size", "_taken", "_first")
+
+
+def _copies(took: DataFrame, text: str, size: str = "size", taken: str = "taken") -> DataFrame:
+    copies = F.array_repeat(F.lit(None).cast("long"), F.expr(f"cast({taken} div {size} as int)"))
+    cuts = F.when(F.expr(f"{taken} % {size} > 0"), F.array(F.expr(f"{taken} % {size}"))).otherwise(F.array().cast("array<bigint>"))
+    each = took.withColumn("_first", F.explode(F.concat(copies, cuts)))
     words = F.array_join(F.slice(F.regexp_extract_all(F.col(text), F.lit(common.WORD), F.lit(0)), F.lit(1), F.col("_first").cast("int")), " ")
-    return each.withColumn(text, F.when(F.col("_first").isNull(), F.col(text)).otherwise(words)).select(*df.columns)
+    return each.withColumn(text, F.when(F.col("_first").isNull(), F.col(text)).otherwise(words))
 
 
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -27,17 +27,19 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the document of the smallest id of each group; one with a null id only where its group has no other."""
-    kept = docs.select(*COLUMNS)
-    found = lsh_forest.near_duplicates(kept).where("kept").select("doc_id").distinct().withColumnRenamed("doc_id", "kept_id")
-    return kept.join(found, F.col("doc_id").eqNullSafe(F.col("kept_id")), "left_semi")
+    """Keeps one row of each group, of the smallest id; one with a null id only where its group has no other. Rows that repeat id and text are one."""
+    rows = docs.select(*COLUMNS)
+    key = lambda h: [F.coalesce("doc_id", F.lit(0)).alias("d"), F.col("doc_id").isNull().alias("z"), h.alias("h")]
+    found = lsh_forest.representatives(rows).select(*key(F.col("text_hash")))
+    rest = [c for c in COLUMNS if c != "doc_id"]
+    once = rows.select(*key(F.xxhash64("text")), F.struct(*rest).alias("row")).groupBy("d", "z", "h").agg(F.min("row").alias("row"))
+    return once.join(found, ["d", "z", "h"], "left_semi").select(F.when(~F.col("z"), F.col("d")).alias("doc_id"), "row.*")
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix takes them; one at a source's edge is cut to its first words."""
     kept = docs.select(*COLUMNS)
-    mixed = mixing.mix(kept, quality=mixing.labelled_weights(spark, sf_dir))
-    taken = mixing.apply(kept, mixed)
+    taken = mixing.take(mixing.mix(kept, quality=mixing.labelled_weights(spark, sf_dir), carry=True))
     return taken.withColumn("n_chars", F.length("text").cast("long"))
 
 

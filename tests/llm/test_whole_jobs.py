@@ -1,8 +1,12 @@
 """What a cut would leave out: each test holds input that only the whole job reads."""
 
+import collections
 import random
 
-from blockbwt.llm import language_id
+import corpus_pipeline
+from blockbwt.llm import common, language_id
+
+SF = "/root/testdata/sf0.001"
 
 
 def test_language_id_learns_beyond_any_prefix(spark):
@@ -15,3 +19,22 @@ def test_language_id_learns_beyond_any_prefix(spark):
     assert sum(got[i].lang_pred == g for i, _, g in rows[200:]) >= 98
     # the temperature is fitted on what's predicted: scores are as sure as they are right
     assert sum(x.score for x in got.values()) / len(got) > 0.9
+
+
+def test_pipeline_takes_rows_with_null_and_repeated_ids(spark):
+    rng = random.Random(3)
+    words = [f"w{i}" for i in range(5000)]
+    text = lambda: " ".join(rng.choice(words) for _ in range(40))
+    twice, other = text(), text()
+    # null ids, a repeated row, one id on three texts, and a group of null ids alone
+    rows = [(None, text()) for _ in range(5)] + [(7, twice)] * 4 + [(8, text()) for _ in range(3)] + [(None, other)] * 3 + [(i, text()) for i in range(20, 40)]
+    docs = spark.createDataFrame([(i, t, "en", "s", len(t)) for i, t in rows], "doc_id long, text string, lang string, source string, n_chars long").repartition(4)
+    near = common.materialise(corpus_pipeline.drop_near_duplicates(spark, docs, SF), "near")
+    assert collections.Counter((x.doc_id, x.text) for x in near.collect()) == dict.fromkeys(set(rows), 1)
+    for stage in (near, docs):
+        before = collections.Counter((x.doc_id, x.text) for x in stage.collect())
+        got = corpus_pipeline.mix_sources(spark, stage, SF).collect()
+        # one source: 1.5 times its size, whole copies of each row twice at most, and one cut
+        assert sum(len(x.text.split()) for x in got) == 60 * sum(before.values())
+        after = collections.Counter((x.doc_id, x.text) for x in got if len(x.text.split()) == 40)
+        assert all(before[k] <= after[k] <= 2 * before[k] for k in before)
