@@ -1,7 +1,7 @@
 """Operator 5: license scans by MinHash over overlapping windows.
 
 A text's 5-word shingles (ASCII letters lowered, ends of words stripped of
-punctuation) are cut into blocks, and every few blocks in a row are a window; a
+punctuation, words of punctuation alone left out) are cut into blocks, and every few blocks in a row are a window; a
 template of t shingles is looked for in windows of 1.25 t shingles and one block
 of t / 4 more, so an occurrence that edits stretch by a quarter lies in a window
 whole. A window whose BANDS bands of one row share one with a template is its
@@ -25,6 +25,7 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -49,19 +50,21 @@ _FACTORS = (_SEEDS.integers(0, 1 << 32, BANDS, dtype=np.uint32) | 1).astype(np.u
 _ADDENDS = _SEEDS.integers(0, 1 << 32, BANDS, dtype=np.uint32)
 _EDGES = b"\"'`.,:;!?()[]{}<>*#-_/\\|"
 _STORE = 400_000
+_NOTHING = np.uint64(xxhash.xxh3_64_intdigest(b""))
 
 
 class _Hashes(dict):
     def __missing__(self, word: bytes) -> int:
-        import xxhash
-
         self[word] = value = xxhash.xxh3_64_intdigest(word.strip(_EDGES))
         return value
 
 
-def _words(text: str | None, hashes: dict) -> np.ndarray:
+def _words(text: str | None, hashes: dict) -> tuple[np.ndarray, np.ndarray]:
+    """The words' hashes and their places among all words; comment marks and other words of punctuation alone are none."""
     words = (text or "").encode().lower().split()
-    return np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words))
+    found = np.fromiter(map(hashes.__getitem__, words), np.uint64, len(words))
+    places = np.flatnonzero(found != _NOTHING)
+    return found[places], places
 
 
 def _runs(words: np.ndarray, k: int) -> np.ndarray:
@@ -83,7 +86,7 @@ class Library:
             raise ValueError(f"templates of more than {MOST_TEMPLATE_BYTES} bytes; scan them in portions")
         hashes, self.classes = _Hashes(), {}
         for name, text in templates.items():
-            words = _words(text, hashes)
+            words, _ = _words(text, hashes)
             if not len(words):
                 continue
             k = min(WORDS, len(words))
@@ -103,7 +106,7 @@ def _signature(shingles: np.ndarray, starts: np.ndarray, band: int) -> np.ndarra
 
 def scan_texts(texts: list[str | None], library: Library, hashes: dict, use_bands: bool = True) -> list[tuple[int, str, float, int]]:
     """(index, template, containment, first word of the window) of each text's best window. Without use_bands every window is checked."""
-    words = [_words(x, hashes) for x in texts]
+    words, places = zip(*(_words(x, hashes) for x in texts)) if texts else ((), ())
     best: dict[tuple[int, str], tuple[float, int]] = {}
     for (k, block), templates in library.classes.items():
         runs = [_runs(x, k) for x in words]
@@ -141,7 +144,7 @@ def scan_texts(texts: list[str | None], library: Library, hashes: dict, use_band
             place = int(starts[b] - offsets[text_of[b]])
             if share >= CONTAINED and (key not in best or (-share, place) < (-best[key][0], best[key][1])):
                 best[key] = (float(share), place)
-    return [(i, name, share, place) for (i, name), (share, place) in sorted(best.items())]
+    return [(i, name, share, int(places[i][place])) for (i, name), (share, place) in sorted(best.items())]
 
 
 def scan(df: DataFrame, templates: dict[str, str] | None = None, doc_id: str = "doc_id", text: str = "text") -> DataFrame:

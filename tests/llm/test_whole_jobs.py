@@ -2,9 +2,11 @@
 
 import collections
 import random
+import textwrap
 
+import pytest
 import corpus_pipeline
-from blockbwt.llm import common, language_id
+from blockbwt.llm import common, language_id, license_scan
 
 SF = "/root/testdata/sf0.001"
 
@@ -38,3 +40,13 @@ def test_pipeline_takes_rows_with_null_and_repeated_ids(spark):
         assert sum(len(x.text.split()) for x in got) == 60 * sum(before.values())
         after = collections.Counter((x.doc_id, x.text) for x in got if len(x.text.split()) == 40)
         assert all(before[k] <= after[k] <= 2 * before[k] for k in before)
+
+
+@pytest.mark.parametrize("mark", ["# ", " * ", "// ", "-- ", "| "])
+def test_license_headers_in_comments(mark):
+    library, hashes = license_scan.Library(license_scan.TEMPLATES), license_scan._Hashes()
+    for name in ("mit", "gpl-3.0", "apache-2.0", "bsd-2-clause", "isc"):
+        header = "\n".join(mark + x for x in textwrap.wrap(license_scan.TEMPLATES[name], 72))
+        found = license_scan.scan_texts([f"{mark}\n{mark}\n{header}\nx = 1\n"], library, hashes)
+        # the first word is counted among all words, comment marks too
+        assert [x for x in found if x[1] == name] == [(0, name, 1.0, 3)]
