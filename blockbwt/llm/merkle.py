@@ -1,8 +1,11 @@
 """Operator 6: Merkle fingerprints of documents (DataFrame functions only).
 
-A text is cut at line ends into paragraphs, and a paragraph between words whose
-last and first letters are of stated classes (about one place in five), so cuts
-move with the content and an edit changes only the leaves it touches. Leaves are
+A text is cut at line ends and after words whose hash WORD_SHARE divides; words
+are what white space ends. Longer runs than LONG characters (scripts without
+spaces, encoded data) are cut after characters whose hash with the two before
+them RUN_SHARE divides. So cuts follow the content in any script and case, and an
+edit changes only the leaves it touches; a leaf of more than MOST words (or
+characters of a run) is cut at every MOST of them from its begin on. Leaves are
 hashed; a section is a run of leaves that ends at a leaf whose hash 16 divides
 (about one in 16); a section's node hashes its leaves, the root hashes the
 sections. The fingerprint is the root and the leaves by section: equal texts
@@ -27,12 +30,45 @@ from pyspark.sql import functions as F
 from . import common
 
 DIGITS = 16
-_CUT = r"(?<=\n)|(?<=[aeiouns.,] )(?=[a-dr-t])"
+WORD_SHARE, RUN_SHARE, LONG, MOST = 5, 16, 24, 64
 
 
 def leaves(text: Column) -> Column:
     """The 64-bit hash of each leaf in order."""
-    return F.transform(F.split(text, _CUT), lambda x: F.xxhash64(x))
+    words = F.split(text, r"(?<=\s)(?=\S)")
+    marked = F.transform(words, lambda w: F.when(F.length(w) > LONG, _run(w)).otherwise(F.array(_piece(w, F.xxhash64(w), WORD_SHARE))))
+    return _once(F.flatten(marked), lambda p: _once(_ends(p), lambda e: F.transform(e, lambda end, i: _leaf(p, e, end, i))))
+
+
+def _once(value: Column, use) -> Column:
+    """use(value), with value computed once."""
+    return F.element_at(F.transform(F.array(value), use), 1)
+
+
+def _piece(piece: Column, h: Column, share: int) -> Column:
+    return F.struct(piece.alias("p"), ((F.pmod(h, F.lit(share)) == 0) | F.contains(piece, F.lit("\n"))).alias("cut"))
+
+
+def _run(word: Column) -> Column:
+    """The characters of a long run, each cut or not by itself and the two before it."""
+    near = lambda c, x, i: F.xxhash64(F.get(c, i - 2), F.get(c, i - 1), x)
+    return _once(F.split(word, ""), lambda c: F.transform(c, lambda x, i: _piece(x, near(c, x, i), RUN_SHARE)))
+
+
+def _ends(pieces: Column) -> Column:
+    """How many pieces there are up to the end of each leaf."""
+    n = F.size(pieces)
+    cuts = F.filter(F.transform(pieces, lambda p, i: F.when(p["cut"] | (i == n - 1), i + 1)), lambda x: x.isNotNull())
+    return _once(cuts, lambda c: F.flatten(F.transform(c, lambda end, i: _bounded(F.coalesce(F.get(c, i - 1), F.lit(0)), end))))
+
+
+def _bounded(begin: Column, end: Column) -> Column:
+    return F.when(end - begin <= MOST, F.array(end)).otherwise(F.concat(F.sequence(begin + MOST, end - 1, F.lit(MOST)), F.array(end)))
+
+
+def _leaf(pieces: Column, ends: Column, end: Column, i: Column) -> Column:
+    begin = F.coalesce(F.get(ends, i - 1), F.lit(0))
+    return F.xxhash64(F.transform(F.slice(pieces, begin + 1, end - begin), lambda p: p["p"]))
 
 
 def fingerprint(leaf: Column) -> Column:

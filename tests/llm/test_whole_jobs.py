@@ -6,7 +6,7 @@ import textwrap
 
 import pytest
 import corpus_pipeline
-from blockbwt.llm import common, language_id, license_scan
+from blockbwt.llm import common, language_id, license_scan, merkle
 
 SF = "/root/testdata/sf0.001"
 
@@ -50,3 +50,28 @@ def test_license_headers_in_comments(mark):
         found = license_scan.scan_texts([f"{mark}\n{mark}\n{header}\nx = 1\n"], library, hashes)
         # the first word is counted among all words, comment marks too
         assert [x for x in found if x[1] == name] == [(0, name, 1.0, 3)]
+
+
+def test_merkle_cuts_any_script(spark):
+    from pyspark.sql import functions as F
+
+    rng = random.Random(6)
+    pick = lambda letters, n: "".join(rng.choice(letters) for _ in range(n))
+    kinds = {
+        "capitals": lambda: " ".join(pick("ABCDEFGHIJ", rng.randrange(2, 9)) for _ in range(300)),
+        "cyrillic": lambda: " ".join(pick("абвгдежзик", rng.randrange(2, 9)) for _ in range(300)),
+        "tabular": lambda: "\t".join(str(rng.randrange(10**5)) for _ in range(300)),
+        "symbols": lambda: " ".join(pick("abcdefgh", 4) + rng.choice(";)!") for _ in range(300)),
+        "ideographs": lambda: pick([chr(0x4E00 + i) for i in range(2000)], 1500),
+        "four letters, unbroken": lambda: pick("ACGT", 1500),
+        "alike": lambda: "A " * 700 + pick("xyz", 5),
+        "one letter": lambda: "A" * 3000 + pick("xyz", 5),
+    }
+    rows = [(k, x, x[: len(x) - len(x) // 3] + f()[: len(x) // 3], x[:40] + "@" + x[40:]) for k, f in kinds.items() for x in [f()]]
+    df = spark.createDataFrame(rows, "kind string, a string, b string, c string")
+    leaf = lambda c: merkle.leaves(F.col(c))
+    got = {x.kind: x for x in df.select("kind", F.size(leaf("a")).alias("n"), merkle.likeness(leaf("a"), leaf("b")).alias("third"), merkle.likeness(leaf("a"), leaf("c")).alias("one")).collect()}
+    for kind, x in got.items():
+        assert x.n >= 10, (kind, x)
+        if kind not in ("alike", "one letter"):
+            assert x.third >= 0.35 and x.one >= 0.85, (kind, x)
