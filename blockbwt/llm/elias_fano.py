@@ -60,6 +60,17 @@ class EliasFano:
         value = ((one - i) << self.low_bits | self._low_of(i)) + self.first
         return value
 
+    def rank(self, value: int) -> int:
+        """How many values are below `value`: a search by select."""
+        low, high = 0, self.n
+        while low < high:
+            middle = (low + high) // 2
+            if self.select(middle) < value:
+                low = middle + 1
+            else:
+                high = middle
+        return low
+
     def all(self) -> np.ndarray:
         if not self.n:
             return np.zeros(0, np.int64)

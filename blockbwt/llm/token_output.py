@@ -8,9 +8,15 @@ never cut), so a writer holds one segment. Spark's own writer puts them into
 Parquet files: its commit protocol survives lost executors, and any store that
 Spark reaches will do. Partitions are ranges of doc_id, in order.
 
+Texts are encoded as the library does by default: the name of a special token in
+a text is that token. `special_as_text` makes it ordinary text.
+
+Ranges are cut by (doc_id, hash of the text, place of the row in the input), so
+rows of one id, null ones included, and rows that repeat are spread over tasks.
+
 Defined results: a null or empty text has the end id alone; null doc_ids come
-first, then equal doc_ids by text (null first); repeated rows are all written;
-an empty table gives no segment and no row.
+first, then equal doc_ids by their texts' hashes and texts; repeated rows are all
+written; an empty table gives no segment and no row.
 """
 
 from __future__ import annotations
@@ -38,7 +44,7 @@ ROWS = "doc_id long, start long, n_tokens long, ids_crc32 long"
 #: A space between two characters that aren't white space always begins a
 #: pre-token of a byte-level BPE: texts may be encoded piece by piece there.
 _AT_SPACE, _BLANKS = re.compile(r"(?<=\S) (?=\S)"), re.compile(r"\s\s")
-_encoders: dict[str, PieceEncoder] = {}
+_encoders: dict[tuple[str, bool], PieceEncoder] = {}
 
 
 class PieceEncoder:
@@ -48,12 +54,12 @@ class PieceEncoder:
     changes no result.
     """
 
-    def __init__(self, vocabulary: str, max_pieces: int = 1_000_000):
+    def __init__(self, vocabulary: str, special_as_text: bool = False, max_pieces: int = 1_000_000):
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(vocabulary)
-        self.tokenizer.encode_special_tokens = True
+        self.tokenizer.encode_special_tokens = special_as_text
         names = self.tokenizer.get_vocab()
         self.kind = np.dtype("<u4" if max(names.values()) >> 16 else "<u2")
         self.sizes = np.zeros(max(names.values()) + 1, np.int64)
@@ -67,10 +73,10 @@ class PieceEncoder:
         self.ids: list[bytes] = []
 
     @classmethod
-    def of(cls, vocabulary: str) -> PieceEncoder:
-        if vocabulary not in _encoders:
-            _encoders[vocabulary] = cls(vocabulary)
-        return _encoders[vocabulary]
+    def of(cls, vocabulary: str, special_as_text: bool = False) -> PieceEncoder:
+        if (key := (vocabulary, special_as_text)) not in _encoders:
+            _encoders[key] = cls(vocabulary, special_as_text)
+        return _encoders[key]
 
     def _whole(self, texts: list[str]) -> list[np.ndarray]:
         return [np.asarray(e.ids, self.kind) for e in self.tokenizer.encode_batch_fast(texts, add_special_tokens=False)]
@@ -119,11 +125,11 @@ def _groups(batch: list[str], most: int = 1 << 21) -> Iterator[list[str]]:
         yield group
 
 
-def write_segments(df: DataFrame, path: str, vocabulary: str, doc_id: str = "doc_id", text: str = "text", end_id: int = 0, segment_tokens: int = SEGMENT_TOKENS) -> None:
+def write_segments(df: DataFrame, path: str, vocabulary: str, doc_id: str = "doc_id", text: str = "text", end_id: int = 0, segment_tokens: int = SEGMENT_TOKENS, special_as_text: bool = False) -> None:
     """Encodes `text` and writes the files at `path`, in ascending order of `doc_id`."""
 
     def encode(batches):
-        encoder, part, seq, base = PieceEncoder.of(vocabulary), TaskContext.get().partitionId(), 0, 0
+        encoder, part, seq, base = PieceEncoder.of(vocabulary, special_as_text), TaskContext.get().partitionId(), 0, 0
         kind = encoder.kind
         end = int(end_id).to_bytes(kind.itemsize, "little")
         docs, parts, lens, held = [], [], [], 0
@@ -153,9 +159,9 @@ def write_segments(df: DataFrame, path: str, vocabulary: str, doc_id: str = "doc
             yield segment()
 
     schema = pa.schema([("part", pa.int32()), ("seq", pa.int32()), ("base", pa.int64()), ("n_docs", pa.int32()), ("n_tokens", pa.int64()), ("width", pa.int32()), ("n_null", pa.int32()), ("doc_ids", pa.binary()), ("bounds", pa.binary()), ("ids", pa.binary())])
-    rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
-    ordered = rows.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
-    ordered.mapInArrow(encode, SEGMENT).write.mode("overwrite").option("compression", "zstd").parquet(path)
+    rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"), F.xxhash64(F.col(text)).alias("h"), F.monotonically_increasing_id().alias("row"))
+    ordered = rows.repartitionByRange("doc_id", "h", "row").sortWithinPartitions("doc_id", "h", "text")
+    ordered.select("doc_id", "text").mapInArrow(encode, SEGMENT).write.mode("overwrite").option("compression", "zstd").parquet(path)
 
 
 def read_segments(spark: SparkSession, path: str) -> DataFrame:
@@ -191,6 +197,31 @@ def document_ids(segment: dict, i: int) -> np.ndarray:
     return np.frombuffer(segment["ids"], f"<u{segment['width']}", b - a, a * segment["width"]).astype(np.uint32)
 
 
+def find_documents(spark: SparkSession, path: str, doc_ids: list[int]) -> DataFrame:
+    """(doc_id, start, ids) of the rows with one of some doc_ids: searches by select in each segment, whose other documents aren't read."""
+    wanted = sorted(set(doc_ids))
+
+    def run(batches):
+        for batch in batches:
+            for x in batch.to_pylist():
+                held, bounds = EliasFano.from_bytes(x["doc_ids"]), EliasFano.from_bytes(x["bounds"])
+                found = [(d, x["n_null"] + i) for d in wanted for i in range(held.rank(d), held.rank(d + 1))]
+                ids = [document_ids(x, i).tolist() for _, i in found]
+                starts = [x["start"] + bounds.select(i) for _, i in found]
+                yield pa.RecordBatch.from_arrays([pa.array([d for d, _ in found], pa.int64()), pa.array(starts, pa.int64()), pa.array(ids, pa.list_(pa.int64()))], names=["doc_id", "start", "ids"])
+
+    segments = read_segments(spark, path).select("start", "width", "n_null", "doc_ids", "bounds", "ids")
+    return segments.mapInArrow(run, "doc_id long, start long, ids array<bigint>")
+
+
+def document_at(segment: dict, offset: int) -> int:
+    """Which document of a segment (from 0) holds the id at an offset into it."""
+    bounds = EliasFano.from_bytes(segment["bounds"])
+    if not 0 <= offset < segment["n_tokens"]:
+        raise IndexError(offset)
+    return bounds.rank(offset + 1) - 1
+
+
 def op1_token_output(spark: SparkSession, sf_dir: str) -> DataFrame:
     import public_tokenizers
 

@@ -48,6 +48,7 @@ def test_elias_fano():
         e = elias_fano.EliasFano.from_bytes(elias_fano.EliasFano.encode(v).to_bytes())
         assert (e.all() == v).all()
         assert all(e.select(i) == v[i] for i in range(0, n, 7))
+        assert all(e.rank(x) == np.searchsorted(v, x) for x in (-6, -5, 0, 3, top // 2, top))
     with pytest.raises(ValueError):
         elias_fano.EliasFano.encode(np.array([2, 1]))
     wide = elias_fano.EliasFano.encode(np.arange(0, 10**7, 1000)).to_bytes()
@@ -55,10 +56,15 @@ def test_elias_fano():
 
 
 def test_token_output(spark, docs, none, tmp_path):
-    tok = token_output.PieceEncoder(JSON).tokenizer
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(JSON)  # as the library has it, "<|endoftext|>" in a text included
     token_output.write_segments(docs, str(tmp_path / "t"), JSON, segment_tokens=300)
     got = [tuple(x) for x in token_output.read_documents(spark, str(tmp_path / "t")).collect()]
-    rows = sorted(((x.doc_id, x.text) for x in docs.collect()), key=lambda x: (x[0] is not None, x[0], x[1] is not None, x[1] or ""))
+    from pyspark.sql import functions as F
+
+    rows = sorted(((x.doc_id, x.text, x.h) for x in docs.withColumn("h", F.xxhash64("text")).collect()), key=lambda x: (x[0] is not None, x[0], x[2], x[1] or ""))
+    rows = [x[:2] for x in rows]
     want, at = [], 0
     for i, t in rows:
         ids = np.array([*tok.encode(t or "", add_special_tokens=False).ids, 0], "<u4")
@@ -70,6 +76,17 @@ def test_token_output(spark, docs, none, tmp_path):
     assert len(segments) > 3
     one = max(segments, key=lambda x: x.n_docs)
     assert len(token_output.document_ids(one.asDict(), 0)) >= 1
+    assert any(50256 in tok.encode(t or "", add_special_tokens=False).ids for _, t in rows)  # the case occurs
+    twice = collections.Counter(i for i, _ in rows if i is not None)
+    some = [i for i in sorted(twice) if i % 4 == 0 or twice[i] > 1]
+    found = token_output.find_documents(spark, str(tmp_path / "t"), [*some, 10**9]).collect()
+    assert sorted((x.doc_id, x.start, zlib.crc32(np.array(x.ids, "<u4").tobytes())) for x in found) == sorted((i, a, c) for i, a, _, c in want if i in some)
+    for s in segments:
+        x = s.asDict()
+        ends = np.cumsum([len(token_output.document_ids(x, i)) for i in range(s.n_docs)])
+        assert all(token_output.document_at(x, o) == np.searchsorted(ends, o, side="right") for o in range(0, s.n_tokens, 11))
+    token_output.write_segments(docs, str(tmp_path / "s"), JSON, special_as_text=True)
+    assert 50256 not in {i for x in token_output.find_documents(spark, str(tmp_path / "s"), some).collect() for i in x.ids}
     token_output.write_segments(none, str(tmp_path / "e"), JSON)
     assert token_output.read_documents(spark, str(tmp_path / "e")).count() == 0
 
