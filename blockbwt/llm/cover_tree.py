@@ -9,13 +9,16 @@ covers its points. Queries have blocks and trees of their own.
 
 A pair of a query node and a candidate node is bounded by
 <cq, cr> + rq |cr| + rr |cq| + rq rr. It's pruned when that is below the worst
-of the query group's kth scores so far. Those start from the block's own cell,
-are carried to all other blocks, whole block pairs are pruned by the same bound,
-and what remains is searched by the two trees together. A block answers with k
-candidates a query at most, and only with those that still can be among the k.
+of the query group's kth scores so far. Those start from one block of the query
+block's own cell, are carried to all other blocks, whole block pairs are pruned
+by the same bound, and what remains is searched by the two trees together. A
+block answers with k candidates a query at most, and only with those that still
+can be among the k. What a candidate block is asked is split into portions of
+ASKING query blocks.
 
-Scores are integers: products are formed in doubles where every sum is below
-2 ** 53, else in Python's integers. Nothing is approximate.
+Scores are 64-bit integers throughout: products are formed in doubles where
+every sum is below 2 ** 53, else in 64-bit integers; one that might not fit a
+long is an error. Nothing is approximate.
 
 Defined results: a vector that is null, or holds a null or non-finite component,
 takes no part, nor does one without an id; vectors of other lengths have no
@@ -35,8 +38,10 @@ from pyspark.sql import functions as F
 
 from . import common
 
-K, SAMPLE, PIVOTS, BLOCK, BASE, LEAF, BUNDLE = 20, 2048, 32, 4096, 1.5, 64, 1024
-_EXACT = float(1 << 53)
+K, SAMPLE, PIVOTS, BLOCK, BASE, LEAF, BUNDLE, ASKING = 20, 2048, 32, 4096, 1.5, 64, 1024, 64
+_EXACT, _LONG = float(1 << 53), float(1 << 63)
+#: Below every score: what a place that isn't taken yet holds.
+_NONE = np.iinfo(np.int64).min
 
 
 class CoverTree:
@@ -44,7 +49,7 @@ class CoverTree:
 
     def __init__(self, ids: np.ndarray, points: np.ndarray):
         order, nodes = np.arange(len(ids)), []
-        points = points.astype(np.float64)
+        whole, points = points, points.astype(np.float64)  # trees are steered in doubles, scores taken from `whole`
         stack = [(0, len(ids), -1)]
         norms = (points**2).sum(1)
         children: dict[int, list[int]] = {}
@@ -73,7 +78,7 @@ class CoverTree:
             order[a:b] = own[by]
             cuts = [a, *(a + np.flatnonzero(np.diff(of[by])) + 1).tolist(), b]
             stack += [(x, y, node) for x, y in zip(cuts, cuts[1:])]
-        self.ids, self.points, self.children = ids[order], points[order], children
+        self.ids, self.points, self.children = ids[order], _scoring(whole[order]), children
         self.a, self.b = np.array([x[0] for x in nodes]), np.array([x[1] for x in nodes])
         self.centres, self.radii = np.array([x[2] for x in nodes]), np.array([x[3] for x in nodes])
         self.lengths = np.sqrt((self.centres**2).sum(1))
@@ -86,13 +91,18 @@ class CoverTree:
     def unpacked(cls, data: bytes) -> CoverTree:
         out = cls.__new__(cls)
         out.ids, points, out.a, out.b, out.children = pickle.loads(common.unpack(data))
-        out.points = points.astype(np.float64)
+        out.points = _scoring(points)
         out.centres = np.array([out.points[a:b].mean(0) for a, b in zip(out.a, out.b)])
         out.radii = np.array([np.sqrt(((out.points[a:b] - c) ** 2).sum(1).max()) for a, b, c in zip(out.a, out.b, out.centres)]) * (1 + 1e-9) + 1e-6
         out.lengths = np.sqrt((out.centres**2).sum(1))
         return out
 
 
+def _scoring(points: np.ndarray) -> np.ndarray:
+    """Integers as doubles where those hold them, which multiply faster."""
+    return points.astype(np.float64) if np.abs(points).max(initial=0) < _EXACT else points.astype(np.int64)
+
+
 def bound(dots, rq, rr, lq, lr):
     """An upper bound of all products, with room for rounding."""
     out = dots + rq * lr + rr * lq + rq * rr
@@ -103,26 +113,33 @@ class Best:
     """The k best of each query of a block: scores and ids, worst last; `floor` is what a candidate has to reach."""
 
     def __init__(self, n: int, k: int, floor: np.ndarray):
-        self.scores, self.ids = np.full((n, k), -np.inf), np.full((n, k), np.iinfo(np.int64).max)
+        self.scores, self.ids = np.full((n, k), _NONE), np.full((n, k), np.iinfo(np.int64).max)
         self.given, self.floor = floor, floor.copy()
 
     def add(self, a: int, b: int, ids: np.ndarray, scores: np.ndarray) -> None:
+        """Scores of candidates; _NONE for one that isn't any."""
         k = self.scores.shape[1]
         # only columns that reach some query's floor
-        some = (scores >= self.floor[a:b, None]).any(0)
+        fits = (scores >= self.floor[a:b, None]) & (scores != _NONE)
+        some = fits.any(0)
         if not some.any():
             return
-        ids, scores = ids[some], scores[:, some]
-        all_scores = np.hstack([self.scores[a:b], np.where(scores >= self.floor[a:b, None], scores, -np.inf)])
+        ids, scores, fits = ids[some], scores[:, some], fits[:, some]
+        all_scores = np.hstack([self.scores[a:b], np.where(fits, scores, _NONE)])
         all_ids = np.hstack([self.ids[a:b], np.broadcast_to(ids, scores.shape)])
-        at = np.lexsort((all_ids, -all_scores), axis=1)[:, :k]
+        at = np.lexsort((all_ids, ~all_scores), axis=1)[:, :k]  # ~x falls as x rises, and has no overflow
         self.scores[a:b], self.ids[a:b] = np.take_along_axis(all_scores, at, 1), np.take_along_axis(all_ids, at, 1)
         self.floor[a:b] = np.maximum(self.given[a:b], self.scores[a:b, -1])
 
 
 def products(q: np.ndarray, r: np.ndarray) -> np.ndarray:
-    most = np.abs(q).max(initial=0) * np.abs(r).max(initial=0) * q.shape[1]
-    return q @ r.T if most < _EXACT else (q.astype(np.int64).astype(object) @ r.astype(np.int64).astype(object).T)
+    """Exact inner products of integers as 64-bit integers."""
+    most = float(np.abs(q).max(initial=0)) * float(np.abs(r).max(initial=0)) * q.shape[1]
+    if most < _EXACT:
+        return (q.astype(np.float64, copy=False) @ r.astype(np.float64, copy=False).T).astype(np.int64)
+    if most >= _LONG:
+        raise OverflowError("an inner product may not fit a long")
+    return q.astype(np.int64) @ r.astype(np.int64).T
 
 
 def dual_search(q: CoverTree, r: CoverTree, best: Best) -> None:
@@ -140,7 +157,7 @@ def dual_search(q: CoverTree, r: CoverTree, best: Best) -> None:
                 f = min(d, e + BLOCK)
                 scores = products(q.points[a:b], r.points[e:f])
                 own = q.ids[a:b, None] == r.ids[None, e:f]
-                best.add(a, b, r.ids[e:f], np.where(own, -np.inf, scores) if own.any() else scores)
+                best.add(a, b, r.ids[e:f], np.where(own, _NONE, scores) if own.any() else scores)
         elif cy is None or cx is not None and q.radii[x] >= r.radii[y]:
             stack += [(i, y) for i in cx]
         else:
@@ -196,38 +213,51 @@ def _tree(rows: pa.Table) -> pa.Table:
     points = np.array(rows["v"].to_pylist(), np.int64)[order]
     tree = CoverTree(ids[order], points)
     packed = tree.packed()
-    return pa.table({"block": rows["block"][:1], "cell": rows["cell"][:1], "dim": pa.array([points.shape[1]], pa.int32()), "centre": pa.array([tree.centres[0].tolist()], pa.list_(pa.float64())), "radius": pa.array([tree.radii[0]]), "tree": pa.array([packed], pa.binary())})
+    return pa.table({"block": rows["block"][:1], "cell": rows["cell"][:1], "number": rows["number"][:1], "dim": pa.array([points.shape[1]], pa.int32()), "centre": pa.array([tree.centres[0].tolist()], pa.list_(pa.float64())), "radius": pa.array([tree.radii[0]]), "tree": pa.array([packed], pa.binary())})
+
+
+_BLOCK_REST = "dim int, centre array<double>, radius double, tree binary"
 
 
 def blocks(dealt: DataFrame, size: int) -> DataFrame:
-    """(block, cell, dim, centre, radius, tree): every cell in blocks of about `size` vectors."""
+    """(block, cell, number, dim, centre, radius, tree): every cell in blocks of about `size` vectors, numbered from 0."""
     counts = dealt.groupBy("cell").agg(F.count(F.lit(1)).alias("n"))
     salted = dealt.join(F.broadcast(counts), "cell")  # PIVOTS rows a dimension
     salt = F.pmod(F.xxhash64("vec_id", F.lit(5)), F.greatest(F.lit(1), F.ceil(F.col("n") / size)))
-    named = salted.select("vec_id", "v", "cell", F.xxhash64("cell", salt).alias("block"))
-    return named.groupBy("block").applyInArrow(_tree, "block long, cell long, dim int, centre array<double>, radius double, tree binary")
+    named = salted.select("vec_id", "v", "cell", salt.cast("long").alias("number"), F.xxhash64("cell", salt).alias("block"))
+    return named.groupBy("block").applyInArrow(_tree, f"block long, cell long, number long, {_BLOCK_REST}")
 
 
 def _search(k: int):
     def run(candidates: pa.Table, asked: pa.Table) -> pa.Table:
-        found = {"query_id": [], "vec_id": [], "score": []}
+        """One candidate block and a portion of what it's asked."""
+        found = {"block": [], "query_id": [], "vec_id": [], "score": []}
         for blob in candidates["tree"].to_pylist():
             tree = CoverTree.unpacked(blob)
-            for q, floor in zip(asked["tree"].to_pylist(), asked["floors"].to_pylist()):
+            for block, q, floor in zip(asked["q"].to_pylist(), asked["tree"].to_pylist(), asked["floors"].to_pylist()):
                 queries = CoverTree.unpacked(q)
-                given = np.full(len(queries.ids), -np.inf) if floor is None else np.frombuffer(floor, np.float64)
+                given = np.full(len(queries.ids), _NONE) if floor is None else np.frombuffer(floor, np.int64)
                 best = Best(len(queries.ids), k, given)
                 dual_search(queries, tree, best)
-                at = np.isfinite(best.scores)
+                at = best.scores != _NONE
+                found["block"].append(np.full(int(at.sum()), block, np.int64))
                 found["query_id"].append(np.broadcast_to(queries.ids[:, None], at.shape)[at])
                 found["vec_id"].append(best.ids[at])
-                found["score"].append(best.scores[at].astype(np.int64))
+                found["score"].append(best.scores[at])
         return pa.table({c: pa.array(np.concatenate(x) if x else np.zeros(0, np.int64), pa.int64()) for c, x in found.items()})
 
     return run
 
 
-_FOUND = "query_id long, vec_id long, score long"
+_FOUND = "block long, query_id long, vec_id long, score long"
+
+
+def _asked(candidates: DataFrame, wanted: DataFrame, k: int) -> DataFrame:
+    """wanted (r, q, tree, floors): what query blocks find in candidate blocks r, by portions of about ASKING of them."""
+    portions = wanted.groupBy("r").agg(F.ceil(F.count(F.lit(1)) / ASKING).alias("k"))
+    left = candidates.select(F.col("block").alias("r"), "tree").join(portions, "r").select("r", F.explode(F.sequence(F.lit(0).cast("long"), F.col("k") - 1)).alias("portion"), "tree")
+    right = wanted.join(portions, "r").select("r", F.pmod(F.xxhash64("q", F.lit(9)), F.col("k")).alias("portion"), "q", "tree", "floors")
+    return left.groupBy("r", "portion").cogroup(right.groupBy("r", "portion")).applyInArrow(_search(k), _FOUND)
 
 
 def _top(found: DataFrame, k: int) -> DataFrame:
@@ -239,7 +269,7 @@ def _pairs(batches):
     """Block pairs that aren't pruned: of each query block and a bundle of candidate blocks."""
     for batch in batches:
         for x in batch.to_pylist():
-            some = [y for y in x["bundle"] if y["dim"] == x["dim"] and y["cell"] != x["cell"]]
+            some = [y for y in x["bundle"] if y["dim"] == x["dim"] and y["block"] != x["home"]]
             if not some:
                 continue
             c = np.array([y["centre"] for y in some])
@@ -250,23 +280,23 @@ def _pairs(batches):
 
 
 def _with_floors(k: int):
-    """A query block and what its own cell gave -> the kth scores so far, in the tree's order."""
+    """A query block and what its home block gave -> the kth scores so far, in the tree's order."""
 
     def run(block: pa.Table, found: pa.Table) -> pa.Table:
         out = []
         q, score = found["query_id"].to_numpy(), found["score"].to_numpy()
         for x in block.to_pylist():
             ids = CoverTree.unpacked(x["tree"]).ids
-            order = np.lexsort((-score, q))
+            order = np.lexsort((~score, q))
             qs, ss = q[order], score[order]
             at = np.searchsorted(qs, ids) + k - 1
             inside = np.minimum(at, len(qs) - 1)
-            floors = np.where((at < len(qs)) & (qs[inside] == ids), ss[inside], -np.inf) if len(qs) else np.full(len(ids), -np.inf)
-            least = float(floors.min())
-            out.append({"block": x["block"], "cell": x["cell"], "dim": x["dim"], "centre": x["centre"], "radius": x["radius"], "tree": x["tree"], "floors": floors.astype(np.float64).tobytes(), "floor": None if np.isinf(least) else least})
+            floors = np.where((at < len(qs)) & (qs[inside] == ids), ss[inside], _NONE) if len(qs) else np.full(len(ids), _NONE)
+            least = int(floors.min())
+            out.append({c: x[c] for c in ("block", "home", "dim", "centre", "radius", "tree")} | {"floors": floors.astype(np.int64).tobytes(), "floor": None if least == _NONE else least})
         return pa.Table.from_pylist(out, schema)
 
-    schema = pa.schema([("block", pa.int64()), ("cell", pa.int64()), ("dim", pa.int32()), ("centre", pa.list_(pa.float64())), ("radius", pa.float64()), ("tree", pa.binary()), ("floors", pa.binary()), ("floor", pa.float64())])
+    schema = pa.schema([("block", pa.int64()), ("home", pa.int64()), ("dim", pa.int32()), ("centre", pa.list_(pa.float64())), ("radius", pa.float64()), ("tree", pa.binary()), ("floors", pa.binary()), ("floor", pa.int64())])
     return run
 
 
@@ -280,24 +310,25 @@ def top_k(df: DataFrame, is_query: Column, k: int = K, vec_id: str = "vec_id", e
     plain = dealt.select("vec_id", "v", "cell")
     candidates = common.materialise(blocks(plain, block), "blocks")
     queries = common.materialise(blocks(dealt.where("q").select("vec_id", "v", "cell"), max(64, block // 8)), "query-blocks")
-    # first, a query's own cell
-    asked = queries.select("cell", "tree", F.lit(None).cast("binary").alias("floors"), F.col("block").alias("q"))
-    home = asked.join(candidates.select("cell", F.col("block").alias("r")), "cell")
-    first = candidates.select(F.col("block").alias("r"), "tree").groupBy("r").cogroup(home.select("r", "tree", "floors").groupBy("r")).applyInArrow(_search(k), _FOUND)
-    first = common.materialise(_top(first, k).select("query_id", "vec_id", "score"), "found")
-    of_block = dealt.where("q").select(F.col("vec_id").alias("query_id"), "cell").distinct()
-    located = first.join(of_block, "query_id").select("cell", "query_id", "score")
-    floors = queries.groupBy("cell").cogroup(located.groupBy("cell")).applyInArrow(_with_floors(k), "block long, cell long, dim int, centre array<double>, radius double, tree binary, floors binary, floor double")
+    # first, one block of a query block's own cell: its blocks are shares of it by hash, so any will do
+    in_cell = candidates.groupBy("cell").agg(F.count(F.lit(1)).alias("c"))  # PIVOTS rows a dimension
+    homes = queries.join(F.broadcast(in_cell), "cell").withColumn("number", F.pmod("block", "c")).drop("c")
+    homes = homes.join(candidates.select("cell", "number", F.col("block").alias("home")), ["cell", "number"]).drop("number")
+    homes = common.materialise(homes, "homes")
+    first = _asked(candidates, homes.select(F.col("home").alias("r"), F.col("block").alias("q"), "tree", F.lit(None).cast("binary").alias("floors")), k)
+    first = common.materialise(first, "found")
+    floors = homes.groupBy("block").cogroup(first.groupBy("block")).applyInArrow(_with_floors(k), f"block long, home long, {_BLOCK_REST}, floors binary, floor long")
     floors = common.materialise(floors, "floors")
     # then all other blocks that the bound leaves, by bundles of summaries
     bundles = max(1, -(-candidates.count() // BUNDLE))
-    summary = F.struct("block", "cell", "dim", "centre", "radius")
+    summary = F.struct("block", "dim", "centre", "radius")
     bundled = candidates.groupBy(F.pmod("block", F.lit(bundles)).alias("g")).agg(F.collect_list(summary).alias("bundle"))
-    spread = floors.select("block", "cell", "dim", "centre", "radius", "floor", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(bundles - 1).cast("long"))).alias("g"))
-    pairs = spread.join(bundled, "g").mapInArrow(_pairs, "q long, r long")
-    wanted = pairs.join(floors.select(F.col("block").alias("q"), "tree", "floors"), "q").select("r", "tree", "floors")
-    second = candidates.select(F.col("block").alias("r"), "tree").groupBy("r").cogroup(wanted.groupBy("r")).applyInArrow(_search(k), _FOUND)
-    return _top(first.unionByName(second), k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
+    spread = floors.select("block", "home", "dim", "centre", "radius", "floor", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(bundles - 1).cast("long"))).alias("g"))
+    pairs = common.materialise(spread.join(bundled, "g").mapInArrow(_pairs, "q long, r long"), "pairs")
+    wanted = pairs.join(floors.select(F.col("block").alias("q"), "tree", "floors"), "q").select("r", "q", "tree", "floors")
+    second = _asked(candidates, wanted, k)
+    both = first.unionByName(second).select("query_id", "vec_id", "score")
+    return _top(both, k).select("query_id", F.col("rank").cast("int").alias("rank"), "vec_id", "score")
 
 
 def op4_cover_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -305,7 +336,7 @@ def op4_cover_tree(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 SQL = """
-WITH v AS (SELECT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT)) AS e
+WITH v AS (SELECT DISTINCT vec_id, list_transform(embedding, lambda x: CAST(floor(64 * CAST(x AS DOUBLE)) AS BIGINT)) AS e
            FROM embeddings WHERE vec_id IS NOT NULL AND embedding IS NOT NULL
            AND len(list_filter(embedding, lambda x: x IS NULL OR NOT isfinite(x))) = 0),
 p AS (SELECT q.vec_id AS query_id, c.vec_id AS vec_id,

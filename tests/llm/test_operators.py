@@ -139,15 +139,11 @@ def test_exchange_finds_planted_classes():
 
 
 def brute_top(rows, k):
-    v = {}
-    for i, e in rows:
-        if i is not None and e and all(x is not None and math.isfinite(x) for x in e):
-            v[i] = [math.floor(64 * float(x)) for x in e]
+    v = {(i, tuple(math.floor(64 * float(x)) for x in e)) for i, e in rows if i is not None and e and all(x is not None and math.isfinite(x) for x in e)}
     out = set()
-    for q in v:
-        if q % 20 == 0:
-            found = sorted((-sum(a * b for a, b in zip(v[q], e)), i) for i, e in v.items() if i != q and len(e) == len(v[q]))[:k]
-            out |= {(q, r + 1, i, -s) for r, (s, i) in enumerate(found)}
+    for q in {i for i, _ in v if i % 20 == 0}:
+        found = sorted((-sum(a * b for a, b in zip(x, e)), i) for own, x in v if own == q for i, e in v if i != q and len(e) == len(x))[:k]
+        out |= {(q, r + 1, i, -s) for r, (s, i) in enumerate(found)}
     return out
 
 
@@ -161,15 +157,46 @@ def test_cover_tree(spark):
     df = spark.createDataFrame([(i, e, 1, 2) for i, e in rows], "vec_id long, embedding array<float>, label int, block long")
     got = cover_tree.top_k(df, F.col("vec_id") % 20 == 0, block=64)
     assert {tuple(x) for x in got.collect()} == brute_top(rows, 20)
+    # ids that repeat with other vectors, as query and as candidate; repeated rows count once
+    more = rows[:200] + [(i, rng.normal(size=6).astype(np.float32).tolist()) for i in (20, 40, 41, 42)] + rows[15:25]
+    df = spark.createDataFrame(more, "vec_id long, embedding array<float>")
+    assert {tuple(x) for x in cover_tree.top_k(df, F.col("vec_id") % 20 == 0, block=64).collect()} == brute_top(more, 20)
     assert cover_tree.top_k(df.limit(0), F.col("vec_id") % 20 == 0).count() == 0
 
 
+def test_cover_tree_scores_beyond_doubles(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(cover_tree, "ASKING", 2)
+    rng = np.random.default_rng(18)
+    rows = [(i, rng.uniform(-1.2e6, 1.2e6, 20).tolist()) for i in range(300)]
+    df = spark.createDataFrame(rows, "vec_id long, embedding array<double>")
+    got = cover_tree.top_k(df, F.col("vec_id") % 20 == 0, block=64).collect()
+    assert {tuple(x) for x in got} == brute_top(rows, 20) and max(x.score for x in got) > 1 << 53
+    with pytest.raises(OverflowError):
+        cover_tree.products(np.full((1, 2), 1 << 40), np.full((1, 2), 1 << 40))
+
+
+def test_cover_tree_equals_its_sql(spark, tmp_path):
+    import duckdb
+
+    rng = np.random.default_rng(19)
+    rows = [(i, rng.normal(size=4).tolist()) for i in [*range(100), 20, 20, 33]] + [(7, None), (8, [1.0, None, 2.0, 3.0]), (5, [0.5] * 4), (5, [0.5] * 4)]
+    spark.createDataFrame(rows, "vec_id long, embedding array<double>").write.parquet(str(tmp_path / "embeddings.parquet"))
+    con = duckdb.connect()
+    con.execute(f"CREATE VIEW embeddings AS SELECT * FROM read_parquet('{tmp_path}/embeddings.parquet/*.parquet')")
+    found = con.execute(cover_tree.SQL)
+    names = [x[0] for x in found.description]
+    got = cover_tree.op4_cover_tree(spark, str(tmp_path)).select(*names).collect()
+    assert sorted(map(tuple, got)) == sorted(found.fetchall())
+
+
 def test_dual_search_prunes():
     rng = np.random.default_rng(2)
     far = np.concatenate([rng.integers(-5, 5, (500, 8)) + c for c in (np.full(8, 300), np.full(8, -300), np.zeros(8))]).astype(np.int64)
     tree, q = cover_tree.CoverTree(np.arange(1500), far), cover_tree.CoverTree(np.arange(2000, 2010), far[:10])
-    best, calls = cover_tree.Best(10, 5, np.full(10, -np.inf)), []
-    was, cover_tree.products = cover_tree.products, lambda a, b: calls.append(len(b)) or a @ b.T
+    best, calls = cover_tree.Best(10, 5, np.full(10, cover_tree._NONE)), []
+    was, cover_tree.products = cover_tree.products, lambda a, b: calls.append(len(b)) or was(a, b)
     try:
         cover_tree.dual_search(q, tree, best)
     finally:
