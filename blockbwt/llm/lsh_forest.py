@@ -1,22 +1,27 @@
 """Operator 9: near-duplicates by an LSH forest over MinHash signatures.
 
 Documents with equal shingle sets are one node. A node has TREES signatures of
-DEPTH components; each tree sorts the nodes by theirs. Nodes that agree on the
-first MIN_DEPTH components of a tree form a region.
-
-1. Neighbours in a tree's order, within a region, share its longest prefixes, as
-   deep as each place of the order has them: they are the first candidates, one
-   a node and tree. They're verified on full sets, and the links joined to
-   components.
-2. A region whose nodes are all of one component is done, however large. In the
-   others of at most LEAF nodes every pair of different components is verified.
-3. The nodes of larger ones go through an exact join on their rarest shingles (a
-   pair at or above the threshold shares one of the rarest (1 - threshold) of
-   either), again only across components, and by blocks of nodes, not by pairs.
-
-A pair at 0.75 is missed by TREES = 20 trees of
-MIN_DEPTH = 3 with probability (1 - 0.75 ** 3) ** 20 = 2e-5, one at 0.8 with
-6e-7. Links are whatever full sets say; nothing else makes one.
+DEPTH components; a tree is the sorted order of its nodes' signatures. Nodes that
+agree on the first MIN_DEPTH components of a tree form a region.
+
+1. The orders are ranges of (tree, signature, node), so a region of any size is
+   spread over tasks. Neighbours in an order share its longest prefixes, as deep
+   as that place of the order has them: they are the first candidates, one a node
+   and tree. They're verified on full sets, and the links joined to components.
+2. A region whose nodes are all of one component is done, however large. The
+   others are open. A node's depth in an open region adapts to how crowded it is:
+   the least one, from MIN_DEPTH on, at which at most LEAF nodes share its prefix.
+   All pairs of different components of such a leaf are candidates; where even
+   whole signatures are shared by more, the leaf is cut into runs by node.
+3. A leaf deeper than MIN_DEPTH has left out pairs with shorter common prefixes.
+   Regions that are still open and larger than LEAF after that go through an
+   exact join on their rarest shingles (a pair at or above the threshold shares
+   one of the rarest (1 - threshold) of either), again only across components,
+   and by blocks of nodes, not by pairs: nothing is capped.
+
+A pair at 0.75 shares no region, and is missed, with probability
+(1 - 0.75 ** 3) ** 20 = 2e-5, one at 0.8 with 6e-7. Links are whatever full sets
+say; nothing else makes one.
 
 Defined results: null, empty and blank texts have no shingle and are linked with
 nothing; rows with a null doc_id join components but never name one, and are
@@ -172,6 +177,82 @@ def _prefix(depth: int):
     return F.substring("key", 1, 2 * depth)
 
 
+def _in_order(batches):
+    """Rows (t, key, node) of a range of the orders -> with the region, the node before and the one after, where they're of the same region."""
+    width, last = 2 * MIN_DEPTH, None
+    out = []
+
+    def flush():
+        found = pa.RecordBatch.from_arrays([pa.array(x, t) for x, t in zip(zip(*out), kinds)], names=["t", "key", "node", "before", "after", "edge"])
+        out.clear()
+        return found
+
+    kinds = [pa.int32(), pa.binary(), pa.binary(), pa.binary(), pa.binary(), pa.bool_()]
+    held = None  # a row whose follower isn't known yet
+    for batch in batches:
+        for t, key, node in zip(*(c.to_pylist() for c in batch.columns)):
+            region = (t, key[:width])
+            same = held is not None and last == region
+            if held is not None:
+                t0, key0, node0, before0, first0 = held
+                after = node if same else None
+                if before0 is not None or after is not None or first0:
+                    out.append((t0, key0, node0, before0, after, first0))
+            held = (t, key, node, held[2] if same else None, held is None)
+            last = region
+            if len(out) >= 5000:
+                yield flush()
+    if held is not None:
+        out.append((*held[:4], None, True))
+    if out:
+        yield flush()
+
+
+def _orders(nodes: DataFrame) -> DataFrame:
+    """(region, key, node, before) of every node in a tree where another one shares its region: ranges of the sorted orders, and at their edges the last row of the range before.
+
+    Ranges are written, since the sample behind them mustn't be drawn twice. The
+    driver gets two rows a range, of which the shuffle has a bounded number.
+    """
+    tree = nodes.select("signature", "node", F.explode(F.sequence(F.lit(0), F.lit(TREES - 1))).alias("t"))
+    keyed = tree.select("t", F.expr(f"substring(signature, t * {2 * DEPTH} + 1, {2 * DEPTH})").alias("key"), "node")
+    ranged = keyed.repartitionByRange("t", "key", "node").sortWithinPartitions("t", "key", "node")
+    placed = common.materialise(ranged.mapInArrow(common.trimmed(_in_order), "t int, key binary, node binary, before binary, after binary, edge boolean"), "orders")
+    edges = sorted((x.t, bytes(x.key), bytes(x.node), x.before is not None, x.after is not None) for x in placed.where("edge").select("t", "key", "node", "before", "after").collect())
+    width, joined, alone = 2 * MIN_DEPTH, [], []
+    for i, (t, key, node, before, after) in enumerate(edges):
+        behind = edges[i - 1] if i else None
+        ahead = edges[i + 1] if i + 1 < len(edges) else None
+        same = lambda x: x is not None and (x[0], x[1][:width]) == (t, key[:width])
+        if not before and same(behind):
+            joined.append((t, node, behind[2]))
+        elif not before and not after and not same(ahead):
+            alone.append((t, node))
+    spark = nodes.sparkSession
+    more = F.broadcast(spark.createDataFrame(joined, "t int, node binary, behind binary"))
+    lone = F.broadcast(spark.createDataFrame(alone, "t int, node binary"))
+    found = placed.join(more, ["t", "node"], "left").join(lone, ["t", "node"], "left_anti")
+    return found.select(F.xxhash64("t", _prefix(MIN_DEPTH)).alias("region"), "key", "node", F.coalesce("before", "behind").alias("before"))
+
+
+def _leaves(rows: DataFrame, most: int) -> DataFrame:
+    """rows (region, key, node, root) with `leaf`: the least depth at which at most `most` of them share the key's prefix, or a run of those that share all of it."""
+    depths = list(range(MIN_DEPTH + 1, DEPTH + 1))
+    deeper = F.explode(F.array(*[F.struct(F.lit(d).alias("depth"), F.xxhash64("region", _prefix(d)).alias("leaf")) for d in depths])).alias("at")
+    each = rows.select("region", "key", "node", "root", deeper).select("region", "key", "node", "root", "at.*")
+    counts = each.groupBy("leaf").agg(F.count(F.lit(1)).alias("c"))
+    fits = (F.col("c") <= most) | (F.col("depth") == DEPTH)
+    best = _spread_join(each, counts, "leaf").where(fits).groupBy("region", "node").agg(F.min(F.struct("depth", "leaf", "c")).alias("b"), F.first("root").alias("root"))
+    run = F.when(F.col("b.c") > most, F.pmod(F.xxhash64("node", "region"), F.ceil(F.col("b.c") / most))).otherwise(0)
+    return best.select("node", "root", F.xxhash64("b.leaf", run).alias("leaf"))
+
+
+def _across(rows: DataFrame, by: str) -> DataFrame:
+    """(a, b): the pairs of nodes of one `by`, of which each has a bounded number, that are of different components."""
+    left, right = rows.select(by, F.col("node").alias("a"), F.col("root").alias("ra")), rows.select(by, F.col("node").alias("b"), F.col("root").alias("rb"))
+    return left.join(right, by).where("a < b and ra <> rb").select("a", "b").distinct()
+
+
 def _compare(members: pa.Table, asking: pa.Table) -> pa.Table:
     """Links between the asking nodes and the block's members of other components: one for each node and component at most."""
     nodes, roots = members["node"].to_pylist(), members["root"].to_pylist()
@@ -251,12 +332,7 @@ def _grouped(df: DataFrame, doc_id: str, text: str) -> tuple[DataFrame, DataFram
     named = docs.where("node is not null")
     first = named.groupBy("node").agg(F.min(F.struct(F.col("doc_id").isNull().alias("z"), "doc_id", "text_hash", "signature")).alias("f"))
     nodes = first.select("node", "f.doc_id", "f.text_hash", "f.signature")
-    tree = nodes.select("node", "signature", F.explode(F.sequence(F.lit(0), F.lit(TREES - 1))).alias("t"))
-    keyed = tree.select("node", F.expr(f"substring(signature, t * {2 * DEPTH} + 1, {2 * DEPTH})").alias("key"), "t")
-    forest = keyed.select("node", "key", F.xxhash64("t", _prefix(MIN_DEPTH)).alias("region"))
-    order = Window.partitionBy("region").orderBy("key", "node")
-    beside = forest.withColumn("before", F.lag("node").over(order)).withColumn("after", F.lead("node").over(order))
-    regions = common.materialise(beside.where("before is not null or after is not null").select("region", "key", "node", "before"), "regions")
+    regions = common.materialise(_orders(nodes), "regions")
     # full sets of the nodes that have a neighbour, from the one text that stands for each
     wanted = regions.select("node").distinct().join(nodes.select("node", F.col("doc_id").alias("d"), F.col("text_hash").alias("h")), "node")
     texts = rows.join(wanted, (F.col("text_hash") == F.col("h")) & F.col("doc_id").eqNullSafe(F.col("d")))
@@ -264,18 +340,31 @@ def _grouped(df: DataFrame, doc_id: str, text: str) -> tuple[DataFrame, DataFram
     near = regions.where("before is not null").select(F.least("node", "before").alias("a"), F.greatest("node", "before").alias("b")).distinct()
     links = common.materialise(verify(near, sets), "links")
     roots = common.materialise(components(links), "roots")
-    placed = regions.select("region", "key", "node").join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-    state = regions.select("region", "node").join(roots, "node", "left").groupBy("region").agg(F.min(F.coalesce("root", "node")).alias("lo"), F.max(F.coalesce("root", "node")).alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi").select("region", "n")
-    open_rows = common.materialise(placed.join(state, "region").select("region", "key", "node", "root", "n"), "open")
-    small = open_rows.where(F.col("n") <= LEAF)
-    left, right = small.select("region", F.col("node").alias("a"), F.col("root").alias("ra")), small.select("region", F.col("node").alias("b"), F.col("root").alias("rb"))
-    more = left.join(right, "region").where("a < b and ra <> rb").select("a", "b").distinct()
-    links2 = common.materialise(verify(more.join(near, ["a", "b"], "left_anti"), sets), "links")
-    large = common.materialise(open_rows.where(F.col("n") > LEAF).groupBy("node").agg(F.first("root").alias("root"), F.min("region").alias("anchor")), "large")
+    open_rows = common.materialise(_open(regions.select("region", "key", "node"), roots), "open")
+    pairs = _across(open_rows.where(F.col("n") <= LEAF), "region")
+    crowded = open_rows.where(F.col("n") > LEAF)
+    pairs = pairs.unionByName(_across(_leaves(crowded, 2 * LEAF), "leaf")).distinct()
+    links = links.unionByName(common.materialise(verify(pairs.join(near, ["a", "b"], "left_anti"), sets), "links"))
+    roots = common.materialise(components(links), "roots")
+    still = _open(crowded.select("region", "key", "node"), roots)
+    large = common.materialise(still.groupBy("node").agg(F.first("root").alias("root"), F.min("region").alias("anchor")), "large")
     if not large.isEmpty():
-        links2 = links2.unionByName(common.materialise(_rest(large, sets), "links"))
-    final = roots if links2.isEmpty() else common.materialise(components(links.unionByName(links2)), "roots")
-    return docs, nodes, final
+        links = links.unionByName(common.materialise(_rest(large, sets), "links"))
+        roots = common.materialise(components(links), "roots")
+    return docs, nodes, roots
+
+
+def _open(rows: DataFrame, roots: DataFrame) -> DataFrame:
+    """rows (region, key, node) of the regions that hold nodes of different components, with `root` and the region's number of nodes."""
+    placed = rows.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    state = placed.groupBy("region").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi").select("region", "n")
+    return _spread_join(placed, state, "region").select("region", "key", "node", "root", "n")
+
+
+def _spread_join(rows: DataFrame, table: DataFrame, by: str, salts: int = 16) -> DataFrame:
+    """An inner join with a table of one row a key, copied to so many tasks as one key's rows are dealt to."""
+    copies = table.withColumn("salt", F.explode(F.array(*map(F.lit, range(salts)))))
+    return rows.withColumn("salt", F.pmod(F.xxhash64("node", F.lit(13)), F.lit(salts)).cast("int")).join(copies, [by, "salt"]).drop("salt")
 
 
 def _answer(docs: DataFrame, nodes: DataFrame, roots: DataFrame) -> DataFrame:
