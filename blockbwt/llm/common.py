@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import contextlib
 import tempfile
 import uuid
 
@@ -44,11 +45,24 @@ def remove(spark: SparkSession, path: str) -> None:
 
 
 def write(df: DataFrame, tag: str) -> str:
+    """Writes df to a fresh path; what its shuffles left on the executors' disks goes when the write is over."""
     path = scratch_path(df.sparkSession, tag)
-    df.write.option("compression", "zstd").parquet(path)
+    with setting(df.sparkSession, "spark.sql.classic.shuffleDependency.fileCleanup.enabled", "true"):
+        df.write.option("compression", "zstd").parquet(path)
     return path
 
 
+@contextlib.contextmanager
+def setting(spark: SparkSession, key: str, value: str):
+    """A session setting for a while; the session has its own again afterwards."""
+    was = spark.conf.get(key, None)
+    spark.conf.set(key, value)
+    try:
+        yield
+    finally:
+        spark.conf.unset(key) if was is None else spark.conf.set(key, was)
+
+
 def materialise(df: DataFrame, tag: str) -> DataFrame:
     """Cuts the lineage at a written table that outlives any executor."""
     return df.sparkSession.read.schema(df.schema).parquet(write(df, tag))

@@ -131,11 +131,92 @@ def test_brown_probabilities_sum_to_one():
     assert np.allclose(total, 1)
 
 
+def sparse(rows):
+    rows = np.asarray(rows)
+    at = np.argwhere(rows)
+    return (rows > 0).sum(1), at[:, 1], rows[at[:, 0], at[:, 1]]
+
+
 def test_exchange_finds_planted_classes():
     rng = np.random.default_rng(3)
-    rows = np.array([rng.multinomial(200, [0.45, 0.45, 0.05, 0.05] if i % 2 else [0.05, 0.05, 0.45, 0.45]) for i in range(20)], float)
-    of = brown_lm.exchange(rows, 2)
+    rows = np.array([rng.multinomial(200, [0.45, 0.45, 0.05, 0.05] if i % 2 else [0.05, 0.05, 0.45, 0.45]) for i in range(20)])
+    table, total = rows[:2].astype(float), rows[:2].sum(1).astype(float)
+    of = brown_lm.exchange(*sparse(rows), np.array([0, 1] + [-1] * 18), table, total, 1, share=0)
     assert len(set(of[::2])) == 1 and len(set(of[1::2])) == 1 and of[0] != of[1]
+    assert (table == [rows[of == c].sum(0) for c in (0, 1)]).all() and (total == table.sum(1)).all()
+
+
+def test_exchange_gains_are_exact():
+    """Each word's move against the criterion computed anew for every class; and no pass lowers it."""
+    rng = np.random.default_rng(4)
+    rows, k = rng.poisson(0.8, (30, 12)), 5
+    rows[7] = 0
+    own = rng.integers(0, k, 30)
+    own[3] = -2
+    counts = lambda of: (np.array([rows[of == c].sum(0) for c in range(k)], float), np.array([rows[of == c].sum() / 2 for c in range(k)]))
+    rows[3] = 0  # a word that stays out isn't in the counts
+    want, order = own.copy(), np.argsort(-rows.sum(1) / 2, kind="stable")
+    for i in order:
+        if rows[i].any():
+            scores = []
+            for c in range(k):
+                trial = want.copy()
+                trial[i] = c
+                scores.append(brown_lm.criterion(*counts(trial), 2))
+            if max(scores) > scores[want[i]] + 1e-9:
+                want[i] = int(np.argmax(scores))
+    table, total = counts(own)
+    before = brown_lm.criterion(table, total, 2)
+    got = brown_lm.exchange(*sparse(rows), own, table, total, 2, share=0)
+    assert (got == want).all() and brown_lm.criterion(table, total, 2) > before
+    assert np.allclose(table, counts(got)[0]) and np.allclose(total, counts(got)[1])
+
+
+def test_brown_scores_from_classes_and_counts(spark, docs):
+    """Scores recomputed in plain Python from the words' classes; classes cover the whole vocabulary."""
+    from pyspark.sql import functions as F
+
+    rng = random.Random(12)
+    bags = ["red green blue grey pink".split(), "runs eats sleeps sings".split(), "dog cat cow hen".split()]
+    texts = [" ".join(w for _ in range(rng.randrange(1, 9)) for w in (rng.choice(bags[0]), rng.choice(bags[2]), rng.choice(bags[1]))) for _ in range(150)]
+    more = spark.createDataFrame([(1000 + i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    every = docs.select("doc_id", "text").unionByName(more)
+    held = language_id.remainder(F.col("doc_id"), 7) == 2
+    learned, scored = brown_lm.learn_and_score(every, held, classes=6, chunk_chars=400)
+    got = scored.collect()
+    known = {bytes(x.word): (x.n, x["class"]) for x in brown_lm.word_classes(learned).collect()}
+    out = lambda i: zlib.crc32(("" if i is None else str(i)).encode()) % 7 == 2
+    rows = [(x.doc_id, [*(x.text or "").encode().lower().split(), b" "]) for x in every.collect()]
+    n = collections.Counter(w for i, t in rows if not out(i) for w in t)
+    assert {w: c for w, (c, _) in known.items()} == n
+    assert all((of == 0) == (w == b" ") for w, (_, of) in known.items())
+    pairs, once, mass = np.zeros((7, 7)), np.zeros(7), np.zeros(7)
+    for i, t in rows:
+        if not out(i):
+            for a, b in zip([b" ", *t], t):
+                pairs[known[a][1], known[b][1]] += 1
+                once[known[a][1]] += n[b] == 1
+                mass[known[b][1]] += 1
+    assert (learned.class_tokens == mass).all()
+    model = brown_lm.Smoothed(pairs, once, mass)
+    want = collections.Counter()
+    for i, t in rows:
+        total, before = 0.0, 0
+        for w in t:
+            of = known[w][1] if w in known else 7
+            total += model.unknown[before] if of == 7 else model.step[before, of] + math.log10(n[w] / mass[of])
+            before = of
+        want[(i, len(t), round(total, 6))] += 1
+    assert collections.Counter((x.doc_id, x.n_tokens, round(x.score, 6)) for x in got) == want
+    # both sides' criterion is that of the class bigrams, and rose
+    words = pairs.copy()
+    now = brown_lm.criterion(np.hstack([words.T[1:], words[1:]]), words.sum(0)[1:], 2)
+    assert learned.criteria[0] <= learned.criteria[1] + 1e-6 <= now + 2e-6
+    # unlike words of one kind share a class
+    of = [[known[w.encode()][1] for w in bag] for bag in bags]
+    assert all(len(set(x)) <= 2 for x in of) and not set(of[0]) & set(of[1])
+    held_out = [x for x in got if x.held_out and x.doc_id is not None and x.doc_id >= 1000]
+    assert sum(x.score for x in held_out) > sum(x.base_score for x in held_out)
 
 
 def brute_top(rows, k):
