@@ -299,27 +299,52 @@ def test_license_scan(spark, docs, none):
     assert license_scan.scan(docs, {}).count() == 0
 
 
-def test_merkle(docs, none):
-    rows = sorted({(x.doc_id, x.text or "") for x in docs.collect()}, key=lambda x: (x[0] is None, -(x[0] or 0)))
+def leaf_sets(spark, texts):
+    """Leaves by the module's cuts; what's made of them is then recomputed in Python."""
+    from pyspark.sql import functions as F
+
+    texts = sorted(set(texts))
+    got = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "i long, t string").select("i", merkle.leaves(F.col("t")).alias("x")).collect()
+    return {texts[r.i]: list(r.x) for r in got}
+
+
+def jaccard(a, b):
+    """Of the SKETCH smallest of both together, those in both: exact where there are fewer."""
+    cut = lambda x: set(sorted(x)[: merkle.SKETCH])
+    u = cut(cut(set(a)) | cut(set(b)))
+    return len(u & cut(set(a)) & cut(set(b))) / len(u)
+
+
+def test_merkle(spark, docs, none):
+    """Every row, the last known document and null ids included, against plain Python."""
+    from pyspark.sql import functions as F
+
+    hashes = {(x.doc_id, x.text or ""): x.h for x in docs.select("doc_id", "text", F.xxhash64(F.coalesce("text", F.lit(""))).alias("h")).collect()}
+    rows = [(x.doc_id, x.text or "") for x in docs.collect()]
+    order = sorted(set(rows), key=lambda x: (x[0] is None, -(x[0] or 0), -hashes[x]))
+    after = dict(zip(order, order[1:] + order[:1]))
+    edit = {x: x[1][: len(x[1]) - len(x[1]) // 3] + after[x][1][: len(x[1]) // 3] for x in order}
+    leaf = leaf_sets(spark, [t for _, t in rows] + list(edit.values()))
+    want = collections.Counter((x[0], len(x[1]), edit[x], round(jaccard(leaf[x[1]], leaf[edit[x]]), 9), round(jaccard(leaf[x[1]], leaf[after[x][1]]), 9)) for x in rows)
     got = merkle.edits(docs).collect()
-    assert len(got) == len(rows)
-    by = {(x.doc_id, x.n_chars, x.edited): x for x in got}
-    known = [r for r in rows if r[0] is not None]
-    texts = [t for _, t in rows]
-    for k, (i, t) in enumerate(known[:-1]):
-        n = len(t)
-        edited = t[: n - n // 3] + texts[k + 1][: n // 3]
-        x = by[(i, n, edited)]
-        assert 0 <= x.near_next <= 1 and (x.near_edited == 1) == (set_of(x.fingerprint) == set_of(x.edited_fingerprint))
-    prints = {}
-    for x, (i, t) in ((x, next(r for r in rows if r[0] == x.doc_id and len(r[1]) == x.n_chars)) for x in got if x.doc_id is not None):
-        prints.setdefault(t, set()).add(x.fingerprint)
-    assert all(len(v) == 1 for v in prints.values()) and len({v.pop() for v in prints.values()}) == len(prints)
+    assert collections.Counter((x.doc_id, x.n_chars, x.edited, round(x.near_edited, 9), round(x.near_next, 9)) for x in got) == want
+    assert len(got) == len(rows) > len(set(rows))
+    prints = collections.defaultdict(set)
+    for x in merkle.fingerprints(docs).collect():
+        prints[x.doc_id].add(x.fingerprint)
+    assert all(x.fingerprint in prints[x.doc_id] for x in got)
+    by_text = collections.defaultdict(set)
+    for x in got:
+        by_text[x.edited].add(x.edited_fingerprint)
+    assert all(len(v) == 1 for v in by_text.values()) and len({v.copy().pop() for v in by_text.values()}) == len(by_text)
+    assert max(len(x.fingerprint) for x in got) <= 64 + 2 + 17 * (merkle.SKETCH + merkle.MOST_NODES)
     assert merkle.edits(none).count() == 0
 
 
-def set_of(fingerprint):
-    return {leaf for s in fingerprint.split(":")[1].split("/") for leaf in s.split("=")[1].split(".")}
+def test_merkle_lone_document(spark):
+    df = spark.createDataFrame([(3, "one two three four five six")], "doc_id long, text string")
+    (x,) = merkle.edits(df).collect()
+    assert x.edited == "one two three four" + "one two t" and x.near_next == 1.0
 
 
 def test_merkle_locates_edits(spark):
@@ -328,8 +353,25 @@ def test_merkle_locates_edits(spark):
     text = "\n".join(f"line {i} of the long text about that subject" for i in range(400))
     df = spark.createDataFrame([(text, text.replace("line 200 ", "line two hundred "))], "a string, b string")
     f = df.select(*(merkle.fingerprint(merkle.leaves(F.col(c))).alias(c) for c in "ab"))
-    x = f.select(F.size(merkle.locate(F.col("a"), F.col("b"))).alias("n"), F.size(merkle.locate(F.col("a"), F.col("a"))).alias("none"), F.size(F.split("a", "/")).alias("all")).first()
-    assert 1 <= x.n <= 2 and x.none == 0 and x.all > 20
+    x = f.select(merkle.locate(F.col("a"), F.col("b")).alias("found"), F.size(merkle.locate(F.col("a"), F.col("a"))).alias("none"), F.size(F.split(F.element_at(F.split("a", ":"), 2), "[.]")).alias("all"), merkle.likeness(merkle.sketch_of(F.col("a")), merkle.sketch_of(F.col("b"))).alias("near")).first()
+    assert 1 <= len(x.found) <= 2 and x.none == 0 and x.all > 20 and x.near > 0.9
+    parts = merkle.sections(spark.createDataFrame([(1, text)], "doc_id long, text string")).orderBy("section").collect()
+    assert [p.start for p in parts] == list(np.cumsum([0] + [p.n_chars for p in parts])[:-1]) and sum(p.n_chars for p in parts) == len(text)
+    # the nodes named are where the edit is
+    place = text.index("line 200 ")
+    assert any(p.node in x.found and p.start <= place < p.start + p.n_chars for p in parts)
+
+
+def test_merkle_levels_are_bounded(spark, monkeypatch):
+    from pyspark.sql import functions as F
+
+    monkeypatch.setattr(merkle, "MOST_NODES", 8)
+    text = "\n".join(f"row {i}" for i in range(4000))
+    df = spark.createDataFrame([(text, text.replace("row 77\n", "row x\n"), text + "!")], "a string, b string, c string")
+    f = df.select(*(merkle.fingerprint(merkle.leaves(F.col(c))).alias(c) for c in "abc")).first()
+    tops = [x.split(":")[1].split(".") for x in f]
+    assert all(len(x) <= 40 for x in tops) and len({x.split(":")[0] for x in f}) == 3
+    assert len(set(tops[0]) - set(tops[1])) <= 2
 
 
 def test_chat_format(spark):

@@ -70,7 +70,7 @@ def test_merkle_cuts_any_script(spark):
     rows = [(k, x, x[: len(x) - len(x) // 3] + f()[: len(x) // 3], x[:40] + "@" + x[40:]) for k, f in kinds.items() for x in [f()]]
     df = spark.createDataFrame(rows, "kind string, a string, b string, c string")
     leaf = lambda c: merkle.leaves(F.col(c))
-    got = {x.kind: x for x in df.select("kind", F.size(leaf("a")).alias("n"), merkle.likeness(leaf("a"), leaf("b")).alias("third"), merkle.likeness(leaf("a"), leaf("c")).alias("one")).collect()}
+    got = {x.kind: x for x in df.select("kind", F.size(leaf("a")).alias("n"), merkle.likeness(merkle.sketch(leaf("a")), merkle.sketch(leaf("b"))).alias("third"), merkle.likeness(merkle.sketch(leaf("a")), merkle.sketch(leaf("c"))).alias("one")).collect()}
     for kind, x in got.items():
         assert x.n >= 10, (kind, x)
         if kind not in ("alike", "one letter"):
