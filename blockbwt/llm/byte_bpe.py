@@ -9,8 +9,14 @@ number and are put together by position. A word is asked for at most once by a
 chunk, so a very common word is no hot key. The chunks' exchange feeds both the
 words and the reassembly, and is written once.
 
-Decoding joins the token-byte table, which is as large as the vocabulary and no
-larger, to the ids of a batch.
+Decoding joins a token-byte table (token_id, token_bytes), a DataFrame. One whose
+counted size is at most MOST_TOKENS rows and MOST_TOKEN_BYTES is joined where the
+ids are, from a broadcast; a larger one is joined by a shuffle of ids with their
+places, and put together by position in pieces of PIECE ids.
+
+There are MOST_PARTS parts at most, so that what a chunk asks of each doesn't
+shrink to nothing as chunks and parts grow together; a part's words are its share
+of the vocabulary.
 
 Defined results: a null or empty text has no ids and decodes to nothing; rows
 with a null or repeated doc_id are encoded like any others, one result a row; an
@@ -34,7 +40,8 @@ from pyspark.sql import functions as F
 from . import common
 from .common import pack, pack_words, unpack_array, unpack_words
 
-CHUNK_CHARS = 6 << 20
+CHUNK_CHARS, MOST_PARTS = 6 << 20, 1024
+MOST_TOKENS, MOST_TOKEN_BYTES, PIECE = 4 << 20, 64 << 20, 4096
 CHUNK = "chunk long, docs array<long>, doc_pieces binary, places binary, piece_words binary, word_places binary, parts array<int>, words array<binary>"
 _AT_SPACE, _BLANKS = re.compile(r"(?<=\S) (?=\S)"), re.compile(r"\s\s")
 _loaded: dict[str, object] = {}
@@ -53,15 +60,9 @@ def encoding(path: str, pattern: str):
     return _loaded[path]
 
 
-def token_bytes(path: str) -> list[bytes]:
-    """The token-byte table, by id; ids that no token has give no bytes."""
-    if (key := f"{path}#bytes") not in _loaded:
-        found = ranks(path)
-        out = [b""] * (max(found.values()) + 1)
-        for token, i in found.items():
-            out[i] = token
-        _loaded[key] = out
-    return _loaded[key]
+def token_table(spark: SparkSession, path: str) -> DataFrame:
+    """(token_id, token_bytes) of a file of ranks, which the driver reads."""
+    return spark.createDataFrame([(i, token) for token, i in ranks(path).items()], "token_id int, token_bytes binary")
 
 
 def deal(words: list[bytes], parts: int) -> tuple[np.ndarray, list[int], list[bytes]]:
@@ -183,7 +184,7 @@ def _chunk_done(asked: pa.Table, answers: pa.Table) -> pa.Table:
 def encode(df: DataFrame, ranks_path: str, pattern: str, doc_id: str = "doc_id", text: str = "text", chunk_chars: int = CHUNK_CHARS, parts: int | None = None) -> DataFrame:
     """(doc_id, ids): ids as little-endian unsigned 32-bit integers, one row for each row of df."""
     common.small_batches(df.sparkSession)
-    parts = parts or common.shuffle_parts(df.sparkSession)
+    parts = parts or min(MOST_PARTS, common.shuffle_parts(df.sparkSession))
     rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(text).alias("text"))
     chunks = rows.mapInArrow(common.trimmed(_chunks(pattern, parts, chunk_chars)), CHUNK).repartition("chunk")
     asked = chunks.mapInArrow(_asked, "chunk long, part int, words binary")
@@ -191,23 +192,53 @@ def encode(df: DataFrame, ranks_path: str, pattern: str, doc_id: str = "doc_id",
     return chunks.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(_chunk_done, "doc_id long, ids binary")
 
 
-def decode(df: DataFrame, ranks_path: str, doc_id: str = "doc_id", ids: str = "ids") -> DataFrame:
-    """(doc_id, ids, decoded): the bytes of the ids; null ids give null."""
+def decode(df: DataFrame, tokens: DataFrame, doc_id: str = "doc_id", ids: str = "ids", most_tokens: int = MOST_TOKENS) -> DataFrame:
+    """(doc_id, ids, decoded): the bytes of the ids, a left join with tokens (token_id, token_bytes); ids that no token has give no bytes, null ids give null."""
+    given = df.select(F.col(doc_id).alias("doc_id"), F.col(ids).alias("ids"))
+    n, size, last, first = tokens.agg(F.count(F.lit(1)), F.sum(F.octet_length("token_bytes")), F.max("token_id"), F.min("token_id")).first()
+    if n > most_tokens or (size or 0) > MOST_TOKEN_BYTES or (last or 0) > most_tokens or (first or 0) < 0:
+        return _decode_by_shuffle(given, tokens)
+    table = [b""] * ((last or 0) + 1)
+    for x in tokens.collect():
+        if x.token_id is not None:
+            table[x.token_id] = bytes(x.token_bytes or b"")
+    sent = df.sparkSession.sparkContext.broadcast(table)
 
     def run(batches):
-        token = token_bytes(ranks_path).__getitem__
+        table = sent.value
+        known = len(table)
         for batch in (x for whole in batches for x in common.slices(whole, 1, 1 << 22)):
-            out = [None if x is None else b"".join(map(token, np.frombuffer(x, "<u4").tolist())) for x in batch.column(1).to_pylist()]
+            out = []
+            for x in batch.column(1).to_pylist():
+                at = np.frombuffer(x or b"", "<u4")
+                if len(at) and at.max() >= known:
+                    at = at[at < known]
+                out.append(None if x is None else b"".join(map(table.__getitem__, at.tolist())))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(out, pa.binary())], names=["doc_id", "ids", "decoded"])
 
-    return df.select(F.col(doc_id).alias("doc_id"), F.col(ids).alias("ids")).mapInArrow(common.trimmed(run), "doc_id long, ids binary, decoded binary")
+    return given.mapInArrow(common.trimmed(run), "doc_id long, ids binary, decoded binary")
+
+
+def _decode_by_shuffle(given: DataFrame, tokens: DataFrame) -> DataFrame:
+    """For tables of any size: ids with their places are joined, put together piece by piece, and the pieces by document."""
+    rows = common.materialise(given.withColumn("row", F.monotonically_increasing_id()), "ids")
+    n = F.expr("cast(octet_length(ids) div 4 as int)")
+    places = rows.where(n > 0).select("row", "ids", F.explode(F.sequence(F.lit(0), n - 1)).alias("place"))
+    number = F.conv(F.array_join(F.array(*[F.hex(F.expr(f"substring(ids, place * 4 + {k}, 1)")) for k in (4, 3, 2, 1)]), ""), 16, 10).cast("long")
+    asked = places.select("row", "place", number.alias("token_id"))
+    met = asked.join(tokens.select(F.col("token_id").cast("long").alias("token_id"), "token_bytes"), "token_id")
+    piece = met.groupBy("row", F.floor(F.col("place") / PIECE).alias("piece")).agg(F.array_sort(F.collect_list(F.struct("place", F.hex("token_bytes").alias("b")))).alias("s"))
+    said = piece.select("row", "piece", F.array_join(F.transform("s", lambda x: x["b"]), "").alias("t"))
+    whole = said.groupBy("row").agg(F.array_sort(F.collect_list(F.struct("piece", "t"))).alias("s"))
+    joined = rows.join(whole.select("row", F.unhex(F.array_join(F.transform("s", lambda x: x["t"]), "")).alias("decoded")), "row", "left")
+    return joined.select("doc_id", "ids", F.when(F.col("ids").isNotNull(), F.coalesce("decoded", F.lit(b""))).alias("decoded"))
 
 
 def digests(docs: DataFrame) -> DataFrame:
     import public_tokenizers
 
     path = public_tokenizers.path("byte_bpe_50k.tiktoken")
-    done = decode(encode(docs, path, public_tokenizers.PATTERN), path)
+    done = decode(encode(docs, path, public_tokenizers.PATTERN), token_table(docs.sparkSession, path))
     return done.select("doc_id", F.expr("cast(octet_length(ids) div 4 as long)").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 

@@ -193,8 +193,8 @@ def calibrate(model: Model, packed: list[bytes], langs: list[str]) -> None:
 def learn(df: DataFrame, text: str = "text", lang: str = "lang", order: Column | None = None, fit_rows: int = FIT_ROWS, calibrate_rows: int = CALIBRATE_ROWS) -> Model | None:
     """A model of all of df's rows that have text and lang; None if there are none.
 
-    The samples take from every language its rows of the smallest hashes, up to
-    an equal share of the bound, and of each its whole text.
+    The samples take from every language its different texts of the smallest
+    hashes, up to an equal share of the bound, and of each its whole text.
     """
     common.small_batches(df.sparkSession)
     rows = df.select(F.col(text).alias("text"), F.col(lang).alias("lang"))
@@ -211,7 +211,10 @@ def learn(df: DataFrame, text: str = "text", lang: str = "lang", order: Column |
     # below these hashes each language has about twice what is needed; the exact smallest follow
     bounds = {x: min(1.0, 2.0 * each / counts[x]) for x in names}
     below = F.element_at(F.create_map(*[F.lit(v) for x, b in bounds.items() for v in (x, b)]), F.col("lang")) * float(1 << 40)
-    ranked = hashed.where(F.col("h") <= below).select("text", "lang", "h").mapInArrow(common.trimmed(_counted), "lang string, h long, grams binary")
+    # copies are one: keys alone find the first row of each text
+    once = hashed.where(F.col("h") <= below).withColumn("row", F.monotonically_increasing_id())
+    first = once.groupBy("lang", "h").agg(F.min("row").alias("row"))
+    ranked = once.join(first, ["lang", "h", "row"], "left_semi").select("text", "lang", "h").mapInArrow(common.trimmed(_counted), "lang string, h long, grams binary")
     ranked = ranked.withColumn("k", F.row_number().over(Window.partitionBy("lang").orderBy("h", "grams"))).where(F.col("k") <= each)
     sample = ranked.orderBy("h", "grams").collect()
     every = max(2, (fit_rows + calibrate_rows) // max(1, calibrate_rows))

@@ -8,7 +8,9 @@ order up to the rest; the one document at the edge gives its first words only.
 
 A source may hold any share of the rows, so it's never sorted as a whole. Keys
 fall into buckets of rising keys; sums by (source, bucket) say which buckets are
-wholly in or out, and only the one bucket at a source's edge is sorted.
+wholly in or out, and only the one bucket at a source's edge is sorted. A key
+depends on the id, the size and the text, so rows that share an id, null ones
+too, have keys of their own; only equal rows share one, and stand at one place.
 
 Defined results: a null text has size 0; null sources are one source, the last;
 null quality or none weighs 1; rows that repeat are each taken on their own;
@@ -21,12 +23,16 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from blockbwt.operators.collection import ordered_ranks
+
 from . import common
 
 WEIGHTS, SHARE, MOST = (5, 2, 1), 1.5, 2
 SEED = 20_117
 #: About as many rows are sorted at a source's edge.
-BUCKET_ROWS = 100_000
+BUCKET_ROWS, LEAST_BUCKETS = 100_000, 256
+#: So many sources are ranked in one task; more by ranges.
+ONE_TASK_SOURCES = 1_000_000
 
 
 def words_in(text: Column) -> Column:
@@ -38,13 +44,23 @@ def quality_weight(quality: Column) -> Column:
     return F.when(quality == 1, 2.0).when(quality == 0, 0.5).otherwise(1.0)
 
 
+def sampling_key(doc_id: Column, size: Column, text_hash: Column, weight: Column, seed: int = SEED) -> Column:
+    """An exponential variate over the weight; the same for equal rows, and from run to run."""
+    uniform = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.coalesce(doc_id, F.lit(-1)), size, text_hash), 11) + 0.5) / float(1 << 53)
+    return -F.log(uniform) / weight
+
+
 def targets(sources: DataFrame, weights: tuple = WEIGHTS, share: float = SHARE, most: float = MOST) -> DataFrame:
     """(source, source_size) -> with `target`: min(most * size, level * weight), the fixed point of resharing the excess.
 
     One row a source; each round is one small aggregate, and a round that caps
     no further source is the last. Beyond the ranking, nothing is in one task.
     """
-    rank = F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1
+    if sources.count() <= ONE_TASK_SOURCES:
+        sources = sources.withColumn("_rank", F.row_number().over(Window.orderBy(F.col("source").asc_nulls_last())) - 1)
+    else:
+        sources = ordered_ranks(sources, [F.col("source").asc_nulls_last()], "_rank")
+    rank = F.col("_rank")
     weight = F.element_at(F.array(*map(F.lit, weights)), (rank % len(weights) + 1).cast("int")).cast("double")
     ranked = common.materialise(sources.select("source", "source_size", weight.alias("weight"), (F.col("source_size") * float(most)).alias("cap")), "sources")
     total = (ranked.agg(F.sum("source_size")).first()[0] or 0) * share
@@ -63,16 +79,15 @@ def mix(df: DataFrame, doc_id: str = "doc_id", text: str = "text", source: str =
 
     With `carry`, a column `row` holds the row of df itself, for `take`.
     """
-    rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(source).alias("source"), words_in(F.col(text)).alias("size"), *([F.struct(*df.columns).alias("row")] if carry else []))
+    rows = df.select(F.col(doc_id).cast("long").alias("doc_id"), F.col(source).alias("source"), words_in(F.col(text)).alias("size"), F.xxhash64(F.col(text)).alias("h"), *([F.struct(*df.columns).alias("row")] if carry else []))
     if quality is not None:
         rows = rows.join(quality.groupBy("doc_id").agg(F.max("quality_weight").alias("quality_weight")), "doc_id", "left")
     else:
         rows = rows.withColumn("quality_weight", F.lit(1.0))
-    uniform = (F.shiftrightunsigned(F.xxhash64(F.lit(seed), F.coalesce("doc_id", F.lit(-1)), "size"), 11) + 0.5) / float(1 << 53)
-    rows = rows.withColumn("key", -F.log(uniform) / F.coalesce("quality_weight", F.lit(1.0))).drop("quality_weight")
+    rows = rows.withColumn("key", sampling_key(F.col("doc_id"), F.col("size"), F.col("h"), F.coalesce("quality_weight", F.lit(1.0)), seed)).drop("quality_weight", "h")
     sized = common.materialise(rows, "sizes")
     n = sized.count()
-    buckets = max(16, n // BUCKET_ROWS)
+    buckets = max(LEAST_BUCKETS, n // BUCKET_ROWS)
     # 1 - exp(-key) rises with the key and is uniform where weights are 1
     sized = sized.withColumn("bucket", F.least(F.floor((1 - F.exp(-F.col("key"))) * buckets), F.lit(buckets - 1)))
     sums = common.materialise(sized.groupBy("source", "bucket").agg(F.sum("size").alias("n")), "sums")

@@ -91,11 +91,20 @@ def test_token_output(spark, docs, none, tmp_path):
     assert token_output.read_documents(spark, str(tmp_path / "e")).count() == 0
 
 
-def test_byte_bpe(docs, none):
+def test_byte_bpe(spark, docs, none):
     enc = byte_bpe.encoding(RANKS, public_tokenizers.PATTERN)
-    done = byte_bpe.decode(byte_bpe.encode(docs, RANKS, public_tokenizers.PATTERN, chunk_chars=200), RANKS)
+    encoded = common.materialise(byte_bpe.encode(docs, RANKS, public_tokenizers.PATTERN, chunk_chars=200), "encoded")
+    tokens = byte_bpe.token_table(spark, RANKS)
+    done = byte_bpe.decode(encoded, tokens)
     got = sorted((str(x.doc_id), bytes(x.ids), bytes(x.decoded)) for x in done.collect())
     assert got == sorted((str(x.doc_id), np.array(enc.encode_ordinary(x.text or ""), "<u4").tobytes(), (x.text or "").encode()) for x in docs.collect())
+    # a table too large for a broadcast
+    again = byte_bpe.decode(encoded, tokens, most_tokens=10).collect()
+    assert got == sorted((str(x.doc_id), bytes(x.ids), bytes(x.decoded)) for x in again)
+    odd = spark.createDataFrame([(1, None), (2, b""), (3, np.array([7, 10**6, 8], "<u4").tobytes())], "doc_id long, ids binary")
+    for most in (byte_bpe.MOST_TOKENS, 10):
+        found = {x.doc_id: x.decoded for x in byte_bpe.decode(odd, tokens, most_tokens=most).collect()}
+        assert found[1] is None and bytes(found[2]) == b"" and bytes(found[3]) == enc.decode_bytes([7, 8])
     assert byte_bpe.encode(none, RANKS, public_tokenizers.PATTERN).count() == 0
 
 
@@ -501,6 +510,34 @@ def test_mixing(spark, docs, none):
     assert mixing.mix(none).count() == 0
 
 
+def test_mixing_chooses_by_key(spark, docs, monkeypatch):
+    """What is taken of every row, from its key alone: whole epochs, then the smallest keys up to the rest."""
+    from pyspark.sql import functions as F
+
+    quality = docs.where("doc_id is not null").select("doc_id", F.when(F.col("doc_id") % 2 == 0, 2.0).otherwise(0.5).alias("quality_weight")).distinct()
+    weight = dict(map(tuple, quality.collect()))
+    size = mixing.words_in(F.col("text"))
+    w = F.when(F.col("doc_id").isNull(), 1.0).when(F.col("doc_id") % 2 == 0, 2.0).otherwise(0.5)
+    keyed = docs.select("doc_id", "source", size.alias("size"), mixing.sampling_key(F.col("doc_id"), size, F.xxhash64("text"), w).alias("key")).collect()
+    assert set(weight.values()) == {2.0, 0.5} and len({x.key for x in keyed}) >= len(keyed) - 4  # only equal rows share one
+    runs = []
+    for limit in (mixing.ONE_TASK_SOURCES, 0):
+        monkeypatch.setattr(mixing, "ONE_TASK_SOURCES", limit)
+        runs.append(sorted(map(str, mixing.mix(docs, quality=quality).collect())))
+    assert runs[0] == runs[1]
+    got = mixing.mix(docs, quality=quality).collect()
+    target = {x.source: (x.target, x.source_size) for x in got}
+    want = collections.Counter()
+    for source, (t, total) in target.items():
+        epochs = int(t // total) if total else 0
+        left = round(t - epochs * total)
+        for x in sorted((x for x in keyed if x.source == source), key=lambda x: x.key):
+            part = min(x.size, max(0, left))
+            left -= part
+            want[(x.doc_id, source, x.size, epochs * x.size + part)] += 1
+    assert collections.Counter((x.doc_id, x.source, x.size, x.taken) for x in got) == want
+
+
 def test_mixing_prefers_quality_and_applies(spark):
     rows = [(i, "w " * 10, "s", i % 2) for i in range(400)]
     df = spark.createDataFrame(rows, "doc_id long, text string, source string, q int")
