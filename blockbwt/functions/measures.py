@@ -98,6 +98,21 @@ def run_to_noop(df: DataFrame) -> float:
     return time.perf_counter() - began
 
 
+def io_bytes(spark: SparkSession) -> dict[str, int]:
+    """Bytes of all stages so far, by the status store: read and written by scans and sinks, and shuffled."""
+    sc = spark.sparkContext
+    sc._jsc.sc().listenerBus().waitUntilEmpty(30_000)
+    empty = sc._jvm.java.util.ArrayList()
+    stages = sc._jsc.sc().statusStore().stageList(empty, False, False, sc._gateway.new_array(sc._jvm.double, 0), empty)
+    out = {"read": 0, "written": 0, "shuffled": 0}
+    for i in range(stages.size()):
+        x = stages.apply(i)
+        out["read"] += x.inputBytes()
+        out["written"] += x.outputBytes()
+        out["shuffled"] += x.shuffleWriteBytes()
+    return out
+
+
 def peak_memory(spark: SparkSession) -> dict[str, float]:
     """MB at peak, with where each figure is from: the driver's Python by its resource usage, the JVM's pools by their own peaks."""
     pools = spark._jvm.java.lang.management.ManagementFactory.getMemoryPoolMXBeans()

@@ -62,6 +62,27 @@ class Packing:
         mask = F.lit((1 << self.used) - 1).cast("long")
         return F.call_function("shiftleft", a, off.cast("int")).bitwiseAND(mask).bitwiseOR(F.call_function("shiftrightunsigned", b, (F.lit(self.used) - off).cast("int")))
 
+    def bucket(self, depth: int, word: Column, left: Column) -> Column:
+        """The bucket of a suffix by its first `depth` symbols, as a number: from its first word, and where padding looks like a symbol its length up to that."""
+        if depth > self.symbols - 4:
+            raise ValueError("a bucket's symbols have to fit a word")
+        code = F.shiftrightunsigned(word, self.used - depth * self.bits)
+        return code * (depth + 1) + F.least(left, F.lit(depth)) if self.needs_length else code
+
+    def bucket_of(self, bucket: Column, depth: int) -> Column:
+        """The same number of a padded prefix."""
+        chars = "".join(self.alphabet)
+        body = F.replace(bucket, F.lit("\0"), F.lit(""))
+        if self.bits <= 5:
+            code = F.conv(F.rpad(F.translate(body, chars, _DIGITS[self.first : self.first + len(chars)]), depth, "0"), 1 << self.bits, 10).cast("long")
+        else:
+            each = F.transform(F.split(F.rpad(body, depth, "\0"), ""), lambda c: F.greatest(F.instr(F.lit(chars), c).cast("long") - 1 + self.first, F.lit(0).cast("long")))
+            code = F.aggregate(F.slice(each, 1, depth), F.lit(0).cast("long"), lambda a, c: F.shiftleft(a, self.bits).bitwiseOR(c))
+        return code * (depth + 1) + F.length(body) if self.needs_length else code
+
+    def fits(self, depth: int) -> bool:
+        return depth <= self.symbols - 4
+
     def keys(self, packed: Column, pos: Column, longest: int, left: Column, begin: int = 0, count: int | None = None) -> list[Column]:
         """Sort keys of a suffix from word `begin` on; left: its length."""
         n = self.words(longest) - begin if count is None else count
@@ -81,6 +102,18 @@ def digit_words(s: Column, alphabet: tuple[str, ...], pos: Column, begin: int, s
     return F.conv(F.translate(part, " " + chars, _DIGITS[:base]), base, 10).cast("long")
 
 
+def digit_keys(s: Column, alphabet: tuple[str, ...], pos: Column, longest: int) -> list[Column]:
+    """Sort keys of a suffix as (sigma + 1)-ary integers, padding being 0: more symbols a word than whole bits hold, each packed anew."""
+    if len(alphabet) >= len(_DIGITS):
+        raise ValueError("an alphabet of at most 35 symbols")
+    k = int(62 / math.log2(len(alphabet) + 1))
+    n = max(1, -(-longest // k))
+    out = [digit_words(s, alphabet, pos, j * k, k).alias(f"w{j}") for j in range(min(n, COLUMNS))]
+    if n > COLUMNS:
+        out.append(F.array(*[digit_words(s, alphabet, pos, j * k, k) for j in range(COLUMNS, n)]).alias("wr"))
+    return out
+
+
 def utf8_key(s: Column, pos: Column) -> Column:
     """The suffix as bytes, which compare unsigned: for alphabets of any size."""
     return F.encode(F.substring(s, pos + 1, F.length(s)), "utf-8")

@@ -11,7 +11,8 @@ from blockbwt.functions.words import Packing
 from blockbwt.storage import materialise
 
 from .collection import StringCollection, ordered_ranks, previous, suffixes
-from .construct import bwt_build, packed_suffixes, word_keys
+from .construct import _tied, bwt_build, packed_suffixes, word_keys
+from .fmindex import occ_checkpoints
 from .incremental import CapacityError, smaller_in
 from .sorters import by_arrow
 from .splitters import size_table, with_base
@@ -23,6 +24,25 @@ def _state(coll: StringCollection) -> DataFrame:
     return ordered_ranks(ends, ["sid"], "rank").select("rank", "sid", "pos", "sym")
 
 
+def _shifted(gaps):
+    """Ranks of old rows once new ones, whose places less their number are `gaps`, stand between them."""
+
+    @F.pandas_udf("long")
+    def shifted(rank: pd.Series) -> pd.Series:
+        return rank + np.searchsorted(gaps.value, rank.to_numpy(), side="right")
+
+    return shifted
+
+
+def _places(live: DataFrame, starts: dict[str, int], step: int = 4096) -> DataFrame:
+    """live (rank, sid, pos, sym) with `place`: its symbol's start and the rows of that symbol before it, from counts by block of ranks, so that no task has all rows of a symbol."""
+    keyed = live.withColumn("block", F.floor(F.col("rank") / step))
+    before = occ_checkpoints(keyed.select(F.col("rank").alias("bwt_pos"), "sym"), step).select("block", "sym", "before")
+    base = F.element_at(F.create_map(*[F.lit(x) for k, v in starts.items() for x in (k, v)]), F.col("sym"))
+    inside = F.row_number().over(Window.partitionBy("block", "sym").orderBy("rank")) - 1
+    return keyed.withColumn("inside", inside).join(before, ["block", "sym"]).withColumn("place", base + F.col("before") + F.col("inside")).drop("inside", "before", "block")
+
+
 def bwt_column_insertion(coll: StringCollection, mode: str = "rewrite", every: int = 6, checkpoint: str = "written", delta_limit: int = 5_000_000) -> DataFrame:
     """One string column an iteration: after step j the state is the transform of all suffixes of up to j symbols.
 
@@ -46,24 +66,18 @@ def bwt_column_insertion(coll: StringCollection, mode: str = "rewrite", every: i
             starts[c], at = at, at + totals[c]
         if not starts:
             break
-        base = F.element_at(F.create_map(*[F.lit(x) for k, v in starts.items() for x in (k, v)]), F.col("sym"))
-        place = base + F.row_number().over(Window.partitionBy("sym").orderBy("rank")) - 1
+        placed = _places(live, starts)
         if mode == "rewrite":
-            moved = live.select(place.alias("rank"), "sid", (F.col("pos") - 1).alias("pos")).join(strings, "sid")
+            moved = placed.select(F.col("place").alias("rank"), "sid", (F.col("pos") - 1).alias("pos")).join(strings, "sid")
             new = state.join(strings.select("sid", F.length("s").alias("m")), "sid").where("pos = m").select("rank", "sid", "pos", "sym")
             state = new.unionByName(moved.select("rank", "sid", "pos", previous().alias("sym")))
         else:
             lens = strings.select("sid", F.length("s").alias("m"), "s")
-            fresh = live.select(place.alias("rank"), "sid", "pos").join(lens, "sid").where(F.col("pos") == F.col("m") - j)
+            fresh = placed.select(F.col("place").alias("rank"), "sid", "pos").join(lens, "sid").where(F.col("pos") == F.col("m") - j)
             fresh = materialise(fresh.select("rank", "sid", (F.col("pos") - 1).alias("pos"), previous(F.col("s"), F.col("pos") - 1).alias("sym")), "fresh")
             added = np.sort(np.array([x.rank for x in fresh.select("rank").collect()], np.int64))
             gaps = spark.sparkContext.broadcast(added - np.arange(len(added)))
-
-            @F.pandas_udf("long")
-            def shifted(rank: pd.Series, gaps=gaps) -> pd.Series:
-                return rank + np.searchsorted(gaps.value, rank.to_numpy(), side="right")
-
-            state = state.withColumn("rank", shifted("rank")).unionByName(fresh)
+            state = state.withColumn("rank", _shifted(gaps)("rank")).unionByName(fresh)
         if checkpoint == "written" and (mode == "delta" or j % every == every - 1):
             state = materialise(state, "columns")
     return state.select(F.col("rank").cast("long").alias("bwt_pos"), "sid", F.col("pos").cast("int").alias("pos"), "sym")
@@ -101,26 +115,39 @@ def bwt_rank_doubling(coll: StringCollection, ell: int = 4) -> DataFrame:
 
     rows = suffixes(coll).select("sid", "pos", previous().alias("sym"), prefix_bucket(ell).alias("bucket"))
     joined = rows.join(sizes.select("bucket", "base", "n"), "bucket")
-    by_id = F.row_number().over(Window.partitionBy("bucket").orderBy("sid")) - 1
-    ended = joined.where(terminal(F.col("bucket"))).select("sid", "pos", "sym", (F.col("base") + by_id).alias("rank"), F.lit(1).cast("long").alias("n"))
+    # a bucket of equal suffixes may hold one of every string: their ids are ranked over all tasks
+    ended = ordered_ranks(joined.where(terminal(F.col("bucket"))).select("sid", "pos", "sym", "base"), ["base", "sid"], "g")
+    firsts = ended.groupBy("base").agg(F.min("g").alias("g0"))
+    ended = ended.join(firsts, "base").select("sid", "pos", "sym", (F.col("base") + F.col("g") - F.col("g0")).alias("rank"), F.lit(1).cast("long").alias("n"))
     state = materialise(ended.unionByName(joined.where(~terminal(F.col("bucket"))).select("sid", "pos", "sym", F.col("base").alias("rank"), "n")), "ranks")
     h = ell
     while not state.where("n > 1").isEmpty():
         other = state.select("sid", (F.col("pos") - h).alias("pos"), F.col("rank").alias("second"))
-        open_rows = state.where("n > 1").join(other, ["sid", "pos"])
-        place = F.rank().over(Window.partitionBy("rank").orderBy("second")) - 1
-        size = F.count(F.lit(1)).over(Window.partitionBy("rank", "second"))
-        newer = open_rows.select("sid", "pos", "sym", (F.col("rank") + place).alias("rank"), size.alias("n"))
+        open_rows = state.where("n > 1").join(other, ["sid", "pos"]).withColumnRenamed("rank", "from").drop("n")
+        newer = _tied(ordered_ranks(open_rows, ["from", "second"], "g"), ["from", "second"], base="from").select("sid", "pos", "sym", F.col("start").alias("rank"), "n")
         state = materialise(state.where("n = 1").unionByName(newer), "ranks")
         h *= 2
     return state.select(F.col("rank").cast("long").alias("bwt_pos"), "sid", F.col("pos").cast("int").alias("pos"), "sym")
 
 
-def bwt_single(spark, text: str, capacity: int = 3_000_000_000, **options) -> DataFrame:
-    """One long string by blocks, as far as the capacity goes: n = 1, and ranks by doubling since its suffixes are long."""
-    if len(text) > capacity:
-        raise CapacityError(f"{len(text)} symbols; the capacity is {capacity}")
-    return bwt_rank_doubling(StringCollection(spark.createDataFrame([(0, text)], "sid long, s string")), **options)
+#: Symbols of the longest first prefix of a single string's blocks.
+LONGEST_PREFIX = 16
+
+
+def bwt_single(coll: StringCollection, capacity: int = 3_000_000_000, block: int = 1_000_000) -> DataFrame:
+    """One long string, refused above the capacity. Its first blocks are buckets of a prefix that is lengthened until each has `block` suffixes at most, or LONGEST_PREFIX symbols; what is still tied in a block is ordered by ranks of doubled prefixes."""
+    rows = coll.df.agg(F.count(F.lit(1)).alias("n"), F.sum(F.length("s")).alias("m")).first()
+    if rows.n != 1:
+        raise ValueError("one string")
+    if rows.m > capacity:
+        raise CapacityError(f"{rows.m} symbols; the capacity is {capacity}")
+    ell = 2
+    while ell < LONGEST_PREFIX:
+        sizes = size_table(coll, ell).agg(F.max(F.when(~F.col("terminal"), F.col("n")))).first()[0] or 0
+        if sizes <= block:
+            break
+        ell *= 2
+    return bwt_rank_doubling(coll, ell)
 
 
 def bwt_local(coll: StringCollection, max_rows: int = 2_000_000) -> DataFrame:

@@ -49,6 +49,10 @@ class StringCollection:
                 raise ValueError("a string holds U+0000")
         return self.alphabet
 
+    def staged(self) -> StringCollection:
+        """The same strings as a written table: what is scanned several times is derived once."""
+        return StringCollection(materialise(self.df, "strings"), self.alphabet, self._longest)
+
     def longest(self) -> int:
         if self._longest is None:
             self._longest = self.df.agg(F.max(F.length("s"))).first()[0] or 0

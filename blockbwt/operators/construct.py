@@ -11,16 +11,13 @@ from dataclasses import replace
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from blockbwt.functions.words import Packing, utf8_key
+from blockbwt.functions.words import Packing, digit_keys, utf8_key
 from blockbwt.plans.planner import Budget, plan_ranges
 from blockbwt.storage import fresh_path, materialise
 
 from .collection import END, StringCollection, explicit_suffixes, ordered_ranks, positions, previous, suffixes
 from .sorters import sort_ranges
-from .splitters import assign_bucket, partition_by_splitters, refine, sampled_splitters, size_table, with_base
-
-#: A plan of up to so many buckets, some 60 bytes each, is broadcast; a longer one is joined by shuffles.
-BROADCAST_BUCKETS = 200_000
+from .splitters import BROADCAST_BUCKETS, assign_bucket, partition_by_splitters, refine, sampled_splitters, size_table, with_base
 
 
 def bwt_direct(coll: StringCollection) -> DataFrame:
@@ -50,41 +47,52 @@ class _Listing:
 
     def __init__(self, coll: StringCollection, plan: DataFrame, budget: Budget):
         self.coll, self.budget, self.plan = coll, budget, plan
-        stats = plan.agg(F.count(F.lit(1)).alias("n"), F.collect_set("depth").alias("depths"), F.max("small_range").alias("last"), F.max("round").alias("rounds")).first()
+        huge = (F.col("n") > budget.sort_rows) & F.col("terminal")
+        stats = plan.agg(F.count(F.lit(1)).alias("n"), F.collect_set("depth").alias("depths"), F.max("small_range").alias("last"), F.max("round").alias("rounds"), F.count_if(huge).alias("huge")).first()
         self.depths, self.ranges, self.rounds = sorted(stats.depths or []), (stats["last"] or 0) + 1, (stats["rounds"] or 0) + 1
-        self.small = stats.n <= BROADCAST_BUCKETS
+        self.small, self.huge = stats.n <= BROADCAST_BUCKETS, stats.huge
         starts = plan.groupBy("small_range").agg(F.min("base").alias("start"))
-        huge = (F.col("n") > budget.sort_rows) & F.col("terminal")
-        self.keyed = plan.join(starts, "small_range").withColumn("huge", huge)
-        self.huge = sorted(plan.where(huge).select("base", "n").collect())  # fewer than all suffixes / m1
-        self.packing = Packing(coll.symbols(), budget.encoding) if budget.encoding != "utf8" else None
+        self.keyed = plan.join(F.broadcast(starts) if self.small else starts, "small_range").withColumn("huge", huge)
+        self.packing = Packing(coll.symbols(), budget.encoding) if budget.encoding not in ("utf8", "digits") else None
+
+    def _keys(self, packing: Packing | None) -> list:
+        if packing:
+            return word_keys(self.coll, packing)
+        if self.budget.encoding == "utf8":
+            return [utf8_key(F.col("s"), F.col("pos")).alias("w0")]
+        return digit_keys(F.col("s"), self.coll.symbols(), F.col("pos"), self.coll.longest())
 
     def rows(self, where=None) -> DataFrame:
         """(small_range, start, base, huge, sid, pos, sym, keys): filtered to the buckets wanted before any key is made."""
         plan = self.keyed if where is None else self.keyed.where(where)
-        each = packed_suffixes(self.coll, self.packing) if self.packing else suffixes(self.coll)
-        placed = assign_bucket(each, plan, self.depths, self.small, ["small_range", "start", "base", "huge"])
-        keys = word_keys(self.coll, self.packing) if self.packing else [utf8_key(F.col("s"), F.col("pos")).alias("w0")]
-        return placed.select("small_range", "start", "base", "huge", "sid", "pos", previous().alias("sym"), *keys)
+        packing, listed = self.packing, ["small_range", "start", "base", "huge"]
+        each = packed_suffixes(self.coll, packing) if packing else suffixes(self.coll)
+        if packing and all(packing.fits(d) for d in self.depths):
+            each = each.withColumn("w", packing.word(F.col("packed"), F.col("pos"), 0))
+            left = F.length("s") - F.col("pos")
+            placed = assign_bucket(each, plan, self.depths, self.small, listed, lambda d: packing.bucket(d, F.col("w"), left), packing.bucket_of)
+        else:
+            placed = assign_bucket(each, plan, self.depths, self.small, listed)
+        if self.budget.listing == "words":
+            return placed.select(*listed, "sid", "pos", previous().alias("sym"), *self._keys(packing))
+        # positions alone are held for a round; each one's words come from the strings
+        held = materialise(placed.select(*listed, "sid", "pos", previous().alias("sym")), "positions")
+        strings = self.coll.df.select("sid", "s", *([packing.packed(F.col("s")).alias("packed")] if packing else []))
+        return held.join(strings, "sid").select(*listed, "sid", "pos", "sym", *self._keys(packing))
 
     def sorted(self, where=None) -> DataFrame:
+        if not self.depths:  # no strings, no suffixes
+            return self.coll.df.sparkSession.createDataFrame([], "bwt_pos long, sid long, pos int, sym string")
         listed = self.rows(where)
         usual = listed.where(~F.col("huge")) if self.huge else listed
         dealt = usual.repartitionById(self.ranges, F.col("small_range")) if self.budget.engine == "catalyst" else usual
-        out = sort_ranges(dealt, self.budget.engine)
+        out = sort_ranges(dealt, self.budget.engine, self.budget.digit_bits)
         if self.huge:
             # equal suffixes of more strings than a task sorts: their ids alone order them
             found = ordered_ranks(listed.where("huge").select("base", "sid", "pos", "sym"), ["base", "sid"], "g")
-            before, at = [], 0
-            for base, n in self.huge:
-                before.append((base, at))
-                at += n
-            skipped = self.coll.df.sparkSession.createDataFrame(before, "base long, g0 long")
-            if where is not None:
-                first = found.groupBy("base").agg(F.min("g").alias("g0"))
-                ranks = found.join(first, "base")
-            else:
-                ranks = found.join(F.broadcast(skipped), "base")
+            first = found.groupBy("base").agg(F.min("g").alias("g0"))
+            # fewer rows than all suffixes / m1
+            ranks = found.join(F.broadcast(first) if self.huge <= BROADCAST_BUCKETS else first, "base")
             out = out.unionByName(ranks.select((F.col("base") + F.col("g") - F.col("g0")).alias("rank"), "sid", "pos", "sym"))
         return out.select(F.col("rank").cast("long").alias("bwt_pos"), "sid", F.col("pos").cast("int").alias("pos"), "sym")
 
@@ -107,6 +115,11 @@ def bwt_build(coll: StringCollection, budget: Budget | None = None, plan: DataFr
     return out
 
 
+def listed_rounds(coll: StringCollection, plan: DataFrame, budget: Budget, where) -> DataFrame:
+    """The places of the suffixes in some buckets of a plan: a round's or a node's share."""
+    return _Listing(coll, plan, budget).sorted(where)
+
+
 def bwt_rounds(coll: StringCollection, budget: Budget, path: str | None = None, done: set[int] = frozenset(), by: str = "round") -> str:
     """Runs each round (or node's range) as a job that writes path/round=i, and skips those in `done`: a restart goes on where it stopped."""
     plan = make_plan(coll, budget)
@@ -142,27 +155,39 @@ def bwt_refined_ties(coll: StringCollection, carry: int = 1) -> DataFrame:
     packed = coll.df.select("sid", packing.packed(F.col("s")).alias("packed"), F.length("s").alias("len"))
     word = lambda j: packing.word(F.col("packed"), F.col("pos"), j)
     first = suffixes(coll).select("sid", "pos", previous().alias("sym")).join(packed, "sid")
-    rows = ordered_ranks(first.select("sid", "pos", "sym", word(0).alias("w")), ["w"], "g")
-    order = Window.partitionBy("w")
-    rows = materialise(rows.select("sid", "pos", "sym", F.min("g").over(order).alias("start"), F.count(F.lit(1)).over(order).alias("n")), "ties")
+    rows = _tied(ordered_ranks(first.select("sid", "pos", "sym", word(0).alias("w")), ["w"], "g"), ["w"])
     done = rows.where("n = 1").select("start", "sid", "pos", "sym")
     for j in range(1, words + 1):
         tied = rows.where("n > 1").select("sid", "pos", "sym", "start")
         if tied.isEmpty():
             break
-        left = F.col("len") - F.col("pos")
+        left = (F.col("len") - F.col("pos")).cast("long")
         fetched = tied.join(packed, "sid")
-        if j < words:
-            keyed = fetched.select("sid", "pos", "sym", "start", F.struct(word(j).alias("w"), F.lit(0).cast("long").alias("x"), F.lit(0).cast("long").alias("y")).alias("k"))
-        else:  # equal words to the end: the length, then the string
-            keyed = fetched.select("sid", "pos", "sym", "start", F.struct(F.lit(0).cast("long").alias("w"), left.cast("long").alias("x"), F.col("sid").alias("y")).alias("k"))
-        place = F.rank().over(Window.partitionBy("start").orderBy("k")) - 1
-        size = F.count(F.lit(1)).over(Window.partitionBy("start", "k"))
-        rows = materialise(keyed.select("sid", "pos", "sym", (F.col("start") + place).alias("start"), size.alias("n")), "ties")
+        # equal words to the end: the length, then the string
+        key = [word(j).alias("k")] if j < words else [left.alias("k"), F.col("sid").alias("k2")]
+        keys = ["k"] if j < words else ["k", "k2"]
+        keyed = fetched.select("sid", "pos", "sym", F.col("start").alias("from"), *key)
+        rows = _tied(ordered_ranks(keyed, ["from", *keys], "g"), ["from", *keys], base="from")
         done = done.unionByName(rows.where("n = 1").select("start", "sid", "pos", "sym"))
     return done.select(F.col("start").cast("long").alias("bwt_pos"), "sid", F.col("pos").cast("int").alias("pos"), "sym")
 
 
+def _tied(ranked: DataFrame, by: list[str], base: str | None = None) -> DataFrame:
+    """(sid, pos, sym, start, n): where each group of equal keys begins and how many rows it has. ranked has the place `g` among all ranked rows.
+
+    Groups are aggregated, not windowed: a tie of any size is no task of its own.
+    With base, places begin anew where each value of it does.
+    """
+    ranked = materialise(ranked, "ranked")
+    groups = ranked.groupBy(*by).agg(F.min("g").alias("g0"), F.count(F.lit(1)).alias("n"))
+    if base is None:
+        groups = groups.withColumn("start", F.col("g0"))
+    else:
+        firsts = ranked.groupBy(base).agg(F.min("g").alias("first"))
+        groups = groups.join(firsts, base).withColumn("start", F.col(base) + F.col("g0") - F.col("first"))
+    return materialise(ranked.join(groups.select(*by, "start", "n"), by).select("sid", "pos", "sym", "start", "n"), "ties")
+
+
 def emit(sorted_rows: DataFrame, end: str = "$") -> DataFrame:
     """The transform with a printable end marker."""
     return sorted_rows.withColumn("sym", F.coalesce("sym", F.lit(end)))

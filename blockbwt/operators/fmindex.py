@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 
 from blockbwt.storage import materialise
 
-from .collection import END, StringCollection
+from .collection import END, StringCollection, ordered_ranks
 
 STEP = 1024
 
@@ -68,15 +68,19 @@ def lf(bwt: DataFrame, step: int = STEP) -> DataFrame:
 
 
 def invert(bwt: DataFrame) -> DataFrame:
-    """(sid, s) back from the transform: walks are doubled, so a string of m symbols takes log2(m) joins of all rows. Place i below n is the end of string i in the order of ids."""
+    """(sid, s) back from the transform. Place i below n is the end of string i in the order of ids; every other place finds its end and how far it is by doubling, so a string of m symbols takes log2(m) joins of (place, distance) pairs, and each place gives its one symbol."""
     n = bwt.where("sym is null").count()
-    jumps = materialise(bwt.select("bwt_pos", F.coalesce("sym", F.lit("")).alias("text")).join(lf(bwt), "bwt_pos"), "walk")
-    while not jumps.where("next_pos is not null").isEmpty():
-        far = jumps.select(F.col("bwt_pos").alias("at"), F.col("text").alias("more"), F.col("next_pos").alias("then"))
-        joined = jumps.join(far, F.col("next_pos") == F.col("at"), "left")
-        jumps = materialise(joined.select("bwt_pos", F.concat(F.coalesce("more", F.lit("")), "text").alias("text"), F.col("then").alias("next_pos")), "walk")
+    state = materialise(lf(bwt).where("next_pos is not null").select(F.col("next_pos").alias("at"), F.col("bwt_pos").alias("up"), F.lit(1).cast("long").alias("far")), "walk")
+    while not state.where(F.col("up") >= n).isEmpty():
+        then = state.select(F.col("at").alias("up"), F.col("up").alias("then"), F.col("far").alias("more"))
+        moved = state.where(F.col("up") >= n).join(then, "up").select("at", F.col("then").alias("up"), (F.col("far") + F.col("more")).alias("far"))
+        state = materialise(state.where(F.col("up") < n).unionByName(moved), "walk")
+    ends = bwt.where(F.col("bwt_pos") < n).select(F.col("bwt_pos").alias("at"), F.col("bwt_pos").alias("up"), F.lit(0).cast("long").alias("far"))
+    symbols = state.unionByName(ends).join(bwt.select(F.col("bwt_pos").alias("at"), "sym"), "at").where("sym is not null")
+    said = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct((-F.col("far")).alias("k"), "sym"))), lambda x: x["sym"]), "")
+    texts = symbols.groupBy(F.col("up").alias("bwt_pos")).agg(said.alias("s"))
     ids = bwt.where(F.col("bwt_pos") < n).select("bwt_pos", "sid")
-    return jumps.where(F.col("bwt_pos") < n).join(ids, "bwt_pos").select("sid", F.col("text").alias("s"))
+    return ids.join(texts, "bwt_pos", "left").select("sid", F.coalesce("s", F.lit("")).alias("s"))
 
 
 def _intervals(index: Index, patterns: DataFrame, every: int = 6) -> DataFrame:
@@ -138,21 +142,24 @@ def map_reads(index: Index, reads: StringCollection) -> DataFrame:
     return locate_patterns(index, reads.df.select(F.col("sid").alias("pid"), F.col("s").alias("pattern"))).withColumnRenamed("pid", "read")
 
 
-def map_reads_approx(reference: StringCollection, reads: StringCollection, k: int) -> DataFrame:
-    """(read, sid, pos, mismatches <= k): of k + 1 pieces of a read one is exact, so each piece is a key; whole reads are then compared.
+def map_reads_approx(index: Index, reference: StringCollection, reads: StringCollection, k: int, seed: int = 16) -> DataFrame:
+    """(read, sid, pos, mismatches <= k) of reads of any lengths: of k + 1 pieces of a read one is exact, so the index finds each piece's first `seed` symbols, and whole reads are then compared.
 
-    Reads of one length n: pieces have n div (k + 1) symbols.
+    A read has to have more than k symbols, so that every piece has one.
     """
-    n = reads.longest()
-    piece = n // (k + 1)
-    if not piece:
+    if not reads.df.where(F.length("s") <= k).isEmpty():
         raise ValueError("reads are too short for so many mismatches")
-    seeds = reads.df.where(F.length("s") == n).select(F.col("sid").alias("read"), F.col("s").alias("r"), F.explode(F.sequence(F.lit(0), F.lit(k))).alias("j"))
-    seeds = seeds.select("read", "r", (F.col("j") * piece).alias("off")).select("read", "r", "off", F.substring("r", F.col("off") + 1, F.lit(piece)).alias("seed"))
-    windows = reference.df.where(F.length("s") >= piece).select("sid", "s", F.explode(F.sequence(F.lit(0), F.length("s") - piece)).alias("at"))
-    keyed = windows.select("sid", "s", "at", F.substring("s", F.col("at") + 1, F.lit(piece)).alias("seed"))
-    hits = seeds.join(keyed, "seed").withColumn("pos", F.col("at") - F.col("off")).where((F.col("pos") >= 0) & (F.col("pos") + n <= F.length("s")))
-    window = F.substring("s", F.col("pos") + 1, F.lit(n))
+    piece = F.expr(f"length(s) div {k + 1}")
+    each = reads.df.select(F.col("sid").alias("read"), F.col("s").alias("r"), piece.alias("piece"), F.explode(F.sequence(F.lit(0), F.lit(k))).alias("j"))
+    cut = each.select("read", (F.col("j") * F.col("piece")).cast("int").alias("off"), F.substring("r", (F.col("j") * F.col("piece") + 1).cast("int"), F.least(F.col("piece"), F.lit(seed)).cast("int")).alias("pattern"))
+    cut = materialise(cut, "seeds")
+    # equal seeds are searched once
+    patterns = materialise(ordered_ranks(cut.select("pattern").distinct(), ["pattern"], "pid").select("pid", "pattern"), "patterns")
+    places = locate_patterns(index, patterns).join(patterns, "pid").select("pattern", "sid", F.col("pos").alias("at"))
+    found = cut.join(places, "pattern").select("read", "sid", (F.col("at") - F.col("off")).cast("int").alias("pos")).where("pos >= 0").distinct()
+    texts = found.join(reads.df.select(F.col("sid").alias("read"), F.col("s").alias("r")), "read").join(reference.df.select("sid", F.col("s").alias("t")), "sid")
+    fits = texts.where(F.col("pos") + F.length("r") <= F.length("t"))
+    window = F.substring("t", F.col("pos") + 1, F.length("r"))
     # equal lengths: mismatches are places that differ
     apart = F.aggregate(F.zip_with(F.split("r", ""), F.split(window, ""), lambda a, b: (a != b).cast("int")), F.lit(0), lambda a, x: a + x)
-    return hits.withColumn("mismatches", apart).where(F.col("mismatches") <= k).select("read", "sid", "pos", "mismatches").distinct()
+    return fits.withColumn("mismatches", apart).where(F.col("mismatches") <= k).select("read", "sid", "pos", "mismatches")

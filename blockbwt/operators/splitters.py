@@ -11,8 +11,12 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from blockbwt.storage import materialise
+
 from .collection import END, StringCollection, positions, suffixes
 
+#: Rows of buckets, some 60 bytes each, that are broadcast; more are joined by shuffles.
+BROADCAST_BUCKETS = 200_000
 SIZES = "bucket string, depth int, terminal boolean, n long"
 
 
@@ -44,30 +48,29 @@ def refine(coll: StringCollection, sizes: DataFrame, m1: int, step: int, adaptiv
     """Splits every bucket of more than m1 suffixes that isn't terminal by up to `step` further symbols, until none is left.
 
     Each round scans the suffixes of the oversized buckets alone: their prefixes,
-    fewer than all suffixes / m1, are broadcast. adaptive takes fewer symbols
-    where the largest bucket is only mildly too large.
+    fewer than all suffixes / m1, are broadcast up to a counted number and joined
+    by a shuffle beyond it. adaptive takes fewer symbols where the largest bucket
+    is only mildly too large.
     """
     done, sizes, sigma = None, sizes.select("bucket", "depth", "terminal", "n"), None
     while True:
         large = sizes.where((F.col("n") > m1) & ~F.col("terminal"))
-        found = large.select("bucket", "depth", "n").collect()
+        found = large.agg(F.count(F.lit(1)).alias("buckets"), F.max("n").alias("most"), F.max("depth").alias("depth")).first()
         kept = sizes.where((F.col("n") <= m1) | F.col("terminal"))
         done = kept if done is None else done.unionByName(kept)
-        if not found:
+        if not found.buckets:
             return done
-        deepest, more = found[0].depth, step
+        deepest, more = found.depth, step
         if adaptive:
             sigma = sigma or max(2, len(coll.symbols()))
-            more, over = 1, max(x.n for x in found) / m1
+            more, over = 1, found.most / m1
             while more < step and sigma**more < over:
                 more += 1
-        spark = coll.df.sparkSession
-        wanted = spark.createDataFrame([(x.bucket,) for x in found], "wanted string")
+        wanted = large.select(F.col("bucket").alias("wanted"))
+        wanted = F.broadcast(wanted) if found.buckets <= BROADCAST_BUCKETS else wanted
         each = suffixes(coll).select(prefix_bucket(deepest).alias("short"), prefix_bucket(deepest + more).alias("bucket"))
-        counts = each.join(F.broadcast(wanted), F.col("short") == F.col("wanted"), "left_semi").groupBy("bucket").agg(F.count(F.lit(1)).alias("n"))
+        counts = each.join(wanted, F.col("short") == F.col("wanted"), "left_semi").groupBy("bucket").agg(F.count(F.lit(1)).alias("n"))
         # written: each round reads it more than once
-        from blockbwt.storage import materialise
-
         sizes = materialise(counts.select("bucket", F.lit(deepest + more).alias("depth"), terminal(F.col("bucket")).alias("terminal"), "n"), "sizes")
 
 
@@ -85,21 +88,36 @@ def with_base(sizes: DataFrame) -> DataFrame:
     return sizes.withColumn("lead", lead).join(F.broadcast(starts), "lead").withColumn("base", F.coalesce(own, F.lit(0)) + F.col("start")).drop("lead", "start")
 
 
-def assign_bucket(rows: DataFrame, plan: DataFrame, depths: list[int], small: bool, keep: list[str]) -> DataFrame:
-    """rows (sid, s, pos) joined with the plan's row of their bucket: an equi-join for each depth, of which a suffix matches one."""
+def assign_bucket(rows: DataFrame, plan: DataFrame, depths: list[int], small: bool, keep: list[str], key=prefix_bucket, plan_key=None) -> DataFrame:
+    """rows (sid, s, pos) joined with the plan's row of their bucket, of which every suffix matches one at most.
+
+    A small plan is looked up depth by depth in one pass over the rows; a larger
+    one by an equi-join for each depth. key(depth) names a suffix's bucket, and
+    plan_key(bucket, depth) the plan's, where that's not its prefix.
+    """
+    plan_key = plan_key or (lambda bucket, depth: bucket)
     out = None
+    if small:
+        at = rows
+        for d in depths:
+            own = plan.where(F.col("depth") == d).select(plan_key(F.col("bucket"), d).alias(f"_k{d}"), F.struct(*keep).alias(f"_b{d}"))
+            at = at.join(F.broadcast(own), key(d) == F.col(f"_k{d}"), "left" if len(depths) > 1 else "inner").drop(f"_k{d}")
+        found = F.coalesce(*[F.col(f"_b{d}") for d in depths]) if depths else None
+        if found is None:
+            return None
+        named = at.withColumn("_b", found).where("_b is not null")
+        return named.select(*rows.columns, *[F.col(f"_b.{c}") for c in keep])
     for d in depths:
-        own = plan.where(F.col("depth") == d).select("bucket", *keep)
-        own = F.broadcast(own) if small else own
-        part = rows.withColumn("bucket", prefix_bucket(d)).join(own, "bucket")
+        own = plan.where(F.col("depth") == d).select(plan_key(F.col("bucket"), d).alias("_k"), *keep)
+        part = rows.withColumn("_k", key(d)).join(own, "_k").drop("_k")
         out = part if out is None else out.unionByName(part)
     return out
 
 
 def sampled_splitters(coll: StringCollection, parts: int, fraction: float = 0.01, seed: int = 7, most: int = 100_000) -> list[str]:
-    """Up to parts - 1 splitters at even places of a sorted random sample; the sample is bounded by `most`."""
-    sample = suffixes(coll).sample(False, fraction, seed).select(F.expr("substring(s, pos + 1, 256)").alias("x")).limit(most)
-    texts = sorted((x.x for x in sample.collect()), key=lambda x: x.encode())
+    """Up to parts - 1 splitters at even places of a sorted random sample; of a larger sample the `most` rows of the smallest hashes are taken, from all partitions alike."""
+    sample = suffixes(coll).sample(False, fraction, seed).select(F.expr("substring(s, pos + 1, 256)").alias("x"), F.xxhash64("sid", "pos", F.lit(seed)).alias("h"))
+    texts = sorted((x.x for x in sample.orderBy("h").limit(most).collect()), key=lambda x: x.encode())
     if not texts:
         return []
     at = [texts[len(texts) * i // parts] for i in range(1, parts)]

@@ -100,6 +100,7 @@ def budget(coll: StringCollection, **options) -> Budget:
 
 
 def whole(coll: StringCollection, **options) -> DataFrame:
+    coll = coll.staged()
     return construct.bwt_build(coll, budget(coll, **options))
 
 
@@ -192,9 +193,9 @@ def refined_names(spark, d):
     return splitters.refine(coll, materialise(splitters.size_table(coll, 6), "sizes"), 40, 6)
 
 
-@query("refined_buckets_reads")
+@query("refined_buckets_reads", refined_sql(READS, 5000, 4, 8))
 def refined_reads(spark, d):
-    coll = T.reads(spark, d)
+    coll = T.reads(spark, d).staged()
     return splitters.refine(coll, materialise(splitters.size_table(coll, 4), "sizes"), 5000, 4)
 
 
@@ -209,13 +210,21 @@ def range_plan(spark, d):
     return plan_ranges(based, Budget(sort_rows=60000)).select("bucket", "n", "small_range")
 
 
-@query("range_plan_distributed_reads", "SELECT true AS over_limit_by_one_bucket_at_most")
+def distributed_sql(collection: str, ell: int, m1: int, m2: int, nodes: int) -> str:
+    """Buckets of up to half the limit share the half that their base offset is in; a larger one is alone. Rounds are made of ranges the same way."""
+    slot = lambda at, n, limit: f"({at} // {limit // 2}) * 2 + CAST({n} > {limit // 2} AS INTEGER)"
+    return f"""WITH b AS (SELECT bucket, n, base, {slot("base", "n", m1)} AS slot FROM ({base_sql(collection, ell)})),
+        r AS (SELECT slot, min(base) AS start, CAST(sum(n) AS BIGINT) AS size FROM b GROUP BY slot),
+        w AS (SELECT *, CAST(dense_rank() OVER (ORDER BY slot) - 1 AS INTEGER) AS small_range, CAST(dense_rank() OVER (ORDER BY {slot("start", "size", m2)}) - 1 AS INTEGER) AS round,
+            CAST(least({nodes - 1}, floor({nodes} * (start + size / 2.0) / (SELECT sum(n) FROM b))) AS INTEGER) AS node FROM r)
+        SELECT bucket, n, small_range, round, node FROM b JOIN w USING (slot)"""
+
+
+@query("range_plan_distributed_reads", distributed_sql(READS, 6, 5000, 200000, 4))
 def range_plan_distributed(spark, d):
-    """A range begins below its limit, so it exceeds it by its last bucket at most; and ranges follow the buckets' order."""
-    based = splitters.with_base(materialise(splitters.size_table(T.reads(spark, d), 6), "sizes"))
-    plan = plan_ranges_distributed(based, 60000)
-    each = plan.groupBy("small_range").agg(F.sum("n").alias("n"), F.max_by("n", "bucket").alias("last"))
-    return each.agg((F.count_if(F.col("n") - F.col("last") > 60000) == 0).alias("over_limit_by_one_bucket_at_most"))
+    """Ranges, rounds and nodes of a plan that never meets on the driver."""
+    based = splitters.with_base(materialise(splitters.size_table(T.reads(spark, d).staged(), 6), "sizes"))
+    return plan_ranges_distributed(materialise(based, "based"), Budget(sort_rows=5000, round_rows=200000, nodes=4)).select("bucket", "n", "small_range", "round", "node")
 
 
 @query("round_plan_reads", greedy_sql(READS, 4, 400000).replace("small_range", "round"))
@@ -249,17 +258,26 @@ def balance(spark, d):
     return spark.createDataFrame([(prefix.imbalance < 2.0, sampled.imbalance < 3.0)], "prefix_even boolean, sampled_even boolean")
 
 
-@query("plan_summary_reads")
+def summary_sql(collection: str, ell: int, parts: int) -> str:
+    """Greedy ranges under a share of all suffixes, over buckets of which none exceeds it."""
+    limit = f"(SELECT greatest(1000, CAST(sum(length(s) + 1) AS BIGINT) // {parts}) FROM ({collection}))"
+    return f"""WITH RECURSIVE l AS MATERIALIZED (SELECT {limit} AS m), o AS MATERIALIZED (SELECT bucket, n, row_number() OVER (ORDER BY bucket) AS i FROM ({sizes_sql(collection, ell)})),
+        g AS (SELECT i, n, n AS held, CAST(0 AS INTEGER) AS r FROM o WHERE i = 1
+          UNION ALL SELECT o.i, o.n, CASE WHEN g.held + o.n > l.m THEN o.n ELSE g.held + o.n END, CASE WHEN g.held + o.n > l.m THEN g.r + 1 ELSE g.r END FROM g JOIN o ON o.i = g.i + 1, l),
+        e AS (SELECT r, CAST(sum(n) AS BIGINT) AS n FROM g GROUP BY r)
+        SELECT CAST(1 AS BIGINT) AS rounds, CAST(2 AS BIGINT) AS scans, count(*) AS small_ranges, max(n) AS largest, round(avg(n) / (SELECT m FROM l), 6) AS fill, round(max(n) / avg(n), 6) AS imbalance FROM e"""
+
+
+@query("plan_summary_reads", summary_sql(READS, 4, 12))
 def summary_reads(spark, d):
-    coll = T.reads(spark, d)
+    coll = T.reads(spark, d).staged()
     b = budget(coll)
     return plan_summary(construct.make_plan(coll, b), b.sort_rows)
 
 
-@query("size_report_reads")
+@query("size_report_reads", f"SELECT depth, terminal, count(*) AS buckets, CAST(sum(n) AS BIGINT) AS suffixes, max(n) AS largest FROM ({refined_sql(READS, 5000, 4, 8)}) GROUP BY depth, terminal")
 def size_report_reads(spark, d):
-    coll = T.reads(spark, d)
-    return measures.size_report(splitters.refine(coll, materialise(splitters.size_table(coll, 4), "sizes"), 5000, 4))
+    return measures.size_report(refined_reads(spark, d))
 
 
 # --- C, D: construction ---
@@ -274,7 +292,7 @@ def reads_blocksort(spark, d):
 def _reads_blocks(name: str, length: str = READS, join: int = 1, **options):
     @query(name, blocks_sql(length))
     def run(spark, d):
-        coll = T.reads(spark, d, join=join)
+        coll = T.reads(spark, d, join=join).staged()
         b = budget(coll, **{k: v for k, v in options.items() if k != "rounds"})
         if "rounds" in options:
             rows = coll.df.agg(F.sum(F.length("s") + 1)).first()[0] or 1
@@ -286,6 +304,9 @@ def _reads_blocks(name: str, length: str = READS, join: int = 1, **options):
 
 _reads_blocks("bwt_reads_rounds", rounds=4)
 _reads_blocks("bwt_reads_lsd_words", engine="lsd")
+_reads_blocks("bwt_reads_radix_passes", engine="lsd", digit_bits=16)
+_reads_blocks("bwt_reads_positions", listing="position", rounds=4)
+_reads_blocks("bwt_reads_digit_words", encoding="digits")
 _reads_blocks("bwt_reads_index_sort", engine="index")
 _reads_blocks("bwt_reads_merge_sort", engine="merge")
 _reads_blocks("bwt_reads_two_bit", encoding="bits")
@@ -368,7 +389,7 @@ def _lsd_distributed(coll: StringCollection) -> DataFrame:
 def single_string(spark, d):
     """All benchmark texts as one string."""
     rows = T.load(spark, d, "benchmark").agg(F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("item_id", "text"))), lambda x: x["text"]), " ").alias("s"))
-    return baselines.bwt_rank_doubling(StringCollection(rows.select(F.lit(0).cast("long").alias("sid"), "s")))
+    return baselines.bwt_single(StringCollection(rows.select(F.lit(0).cast("long").alias("sid"), F.coalesce("s", F.lit("")).alias("s"))).staged())
 
 
 @query("words_shifted_equal_packed", "SELECT CAST(0 AS BIGINT) AS different")
@@ -495,8 +516,8 @@ def map_exact(spark, d):
     h AS (SELECT DISTINCT a.sid AS read, b.sid AS sid, a.s AS x, b.s AS y FROM k a JOIN k b ON a.j = b.j AND a.half = b.half)
     SELECT read, sid, CAST(0 AS INTEGER) AS pos, CAST(hamming(x, y) AS INTEGER) AS mismatches FROM h WHERE hamming(x, y) <= 1""")
 def map_hamming(spark, d):
-    coll = T.reads(spark, d)
-    found = fmindex.map_reads_approx(coll, coll, 1)
+    coll = T.reads(spark, d).staged()
+    found = fmindex.map_reads_approx(fmindex.build_index(whole(coll)), coll, coll, 1, 24)
     return found.select("read", "sid", F.col("pos").cast("int").alias("pos"), "mismatches")
 
 
@@ -508,7 +529,7 @@ def kmers_k8(spark, d):
 @query("kmer_counts_from_index", f"SELECT substr(s, i, 5) AS kmer, count(*) AS n FROM (SELECT s, unnest(range(1, length(s) - 3)) AS i FROM ({NAMES})) GROUP BY 1")
 def kmers_index(spark, d):
     coll = names(spark, d)
-    return kmers.kmer_counts_from_order(coll, whole(coll), 5).select("kmer", "n")
+    return kmers.kmer_counts_from_order(coll, materialise(whole(coll), "bwt"), 5).select("kmer", "n")
 
 
 _KS = (1, 4, 8, 15, 21, 31, 101)
@@ -568,6 +589,12 @@ def contained_reads(spark, d):
     return overlaps.contained(T.coverage_reads(spark, d))
 
 
+@query("contained_orders", f"SELECT a.sid, b.sid AS container FROM ({T.STATUS_SQL}) a JOIN ({T.STATUS_SQL}) b ON a.sid <> b.sid AND length(a.s) > 0 AND contains(b.s, a.s) AND (length(a.s) < length(b.s) OR b.sid < a.sid)")
+def contained_orders(spark, d):
+    """Strings of mixed lengths that stand in others."""
+    return overlaps.contained_in_others(T.order_status(spark, d).staged(), 8)
+
+
 @query("unitig_lengths")
 def unitig_lengths(spark, d):
     chains = overlaps.unitigs(materialise(irreducible_reads(spark, d), "edges"))
@@ -655,6 +682,8 @@ _STREAM = {
     "stream_tumbling": (streams.tumbling, "SELECT date_trunc('day', ts) AS day, event_type, count(*) AS n FROM events GROUP BY 1, 2"),
     "stream_sliding": (streams.sliding, "SELECT CAST(date_trunc('day', ts) AS TIMESTAMP) - INTERVAL (k) DAY AS begin, count(*) AS n FROM events, (SELECT unnest([0, 1]) AS k) GROUP BY 1"),
     "stream_session": (streams.sessions, "SELECT user_id, min(ts) AS begin, count(*) AS n FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts) AS k FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts) < INTERVAL 2 HOUR THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, k"),
+    "stream_window_strings": (streams.window_strings, "SELECT user_id, date_trunc('day', ts) AS day, string_agg(substr(event_type, 1, 1), '' ORDER BY ts, event_id) AS s FROM events GROUP BY 1, 2"),
+    "stream_stateful_strings": (streams.user_strings, "SELECT user_id, min(ts) AS begin, string_agg(substr(event_type, 1, 1), '' ORDER BY ts, event_id) AS s FROM (SELECT *, sum(new) OVER (PARTITION BY user_id ORDER BY ts, event_id) AS k FROM (SELECT *, CASE WHEN ts - lag(ts) OVER (PARTITION BY user_id ORDER BY ts, event_id) < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS new FROM events)) GROUP BY user_id, k"),
     "stream_late_data": (streams.late_data, "SELECT true AS some_dropped, true AS some_kept"),
     "stream_dedup": (streams.dedup, "SELECT event_id, user_id, event_type FROM events"),
     "stream_ordered_strings": (streams.user_strings_windowed, "SELECT user_id, string_agg(substr(event_type, 1, 1), '' ORDER BY ts, event_id) AS s FROM events GROUP BY user_id"),
@@ -689,6 +718,12 @@ def io_gzip(spark, d):
     return _fasta(spark, d, lambda p: fasta.read_fasta_any(spark, p), compression="gzip")
 
 
+@query("io_fasta_bzip2", READS)
+def io_bzip2(spark, d):
+    """A codec whose files are split."""
+    return _fasta(spark, d, lambda p: fasta.read_fasta_any(spark, p), compression="bzip2")
+
+
 @query("io_fastq", READS)
 def io_fastq(spark, d):
     path = fresh_path(spark, "fastq")

@@ -4,9 +4,12 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from blockbwt.operators.collection import ordered_ranks
+from blockbwt.storage import materialise
+
 #: Buckets that the driver may plan by itself; beyond it, groups are packed apart.
 DRIVER_BUCKETS = 1_000_000
 PLAN = "bucket string, depth int, terminal boolean, n long, base long, small_range int, round int, node int"
@@ -23,12 +26,18 @@ class Budget:
     step: int | None = None
     encoding: str = "auto"
     engine: str = "catalyst"
+    #: Bits of a word sorted at once by the `lsd` engine; 62 is a whole word.
+    digit_bits: int = 62
+    #: What's listed for a suffix: its `words`, or its `position` alone, whose words are fetched from the strings where it's sorted.
+    listing: str = "words"
 
     def __post_init__(self):
         if self.sort_rows < 1 or self.ell < 1 or self.nodes < 1:
             raise ValueError("capacities, prefix length and nodes have to be 1 or more")
         if self.round_rows is not None and self.sort_rows > self.round_rows:
             raise ValueError("a task may not sort more than a round lists")
+        if self.listing not in ("words", "position") or not 1 <= self.digit_bits <= 62:
+            raise ValueError("a listing is words or position; a digit has 1 to 62 bits")
 
     @classmethod
     def plan(cls, cluster_bytes: int, task_bytes: int, row_bytes: int, suffixes: int, sigma: int, nodes: int = 1) -> Budget:
@@ -56,11 +65,15 @@ def greedy(sizes: list[int], limit: int) -> list[int]:
     return out
 
 
-def plan_ranges(based: DataFrame, budget: Budget) -> DataFrame:
-    """The size table with base offsets -> PLAN, on the driver. Rounds are ranges under m2, small ranges are ranges under m1 within a round; a node has about the Nth part."""
+def plan_ranges(based: DataFrame, budget: Budget, most: int = DRIVER_BUCKETS) -> DataFrame:
+    """The size table with base offsets -> PLAN. Rounds are ranges under m2, small ranges are ranges under m1 within a round; a node has about the Nth part.
+
+    The driver packs greedily where the counted buckets are at most `most`;
+    longer tables are packed where they are.
+    """
+    if based.count() > most:
+        return plan_ranges_distributed(based, budget)
     rows = sorted(based.collect(), key=lambda x: x.base)
-    if len(rows) > DRIVER_BUCKETS:
-        raise ValueError("too many buckets for the driver; use plan_ranges_distributed")
     total = sum(x.n for x in rows)
     rounds = greedy([x.n for x in rows], budget.round_rows or max(1, total))
     node = [min(budget.nodes - 1, int(budget.nodes * (x.base + x.n / 2) / max(1, total))) for x in rows]
@@ -75,18 +88,28 @@ def plan_ranges(based: DataFrame, budget: Budget) -> DataFrame:
     return based.sparkSession.createDataFrame(out, PLAN)
 
 
-def plan_ranges_distributed(based: DataFrame, limit: int, lead: int = 4) -> DataFrame:
-    """(.., small_range) for size tables of any length: groups by a shorter prefix are packed apart, so each adds a range at most.
+def slot(base: Column, n: Column, limit: int) -> Column:
+    """A number that rises with `base` and under which the sizes n never add up to more than limit, unless one does by itself.
 
-    Within a group a range is the part of the group's running sum that a bucket begins in.
+    Items of up to half the limit share the half that they begin in, so they end
+    within the next half. A larger item is alone: it begins last in its half.
     """
-    keyed = based.withColumn("lead", F.substring("bucket", 1, lead))
-    inside = F.sum("n").over(Window.partitionBy("lead").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1))
-    local = keyed.withColumn("local", F.floor(F.coalesce(inside, F.lit(0)) / F.lit(limit)).cast("int"))
-    groups = local.groupBy("lead").agg((F.max("local") + 1).alias("ranges"))
-    before = F.sum("ranges").over(Window.orderBy("lead").rowsBetween(Window.unboundedPreceding, -1))
-    starts = groups.select("lead", F.coalesce(before, F.lit(0)).alias("start"))
-    return local.join(starts, "lead").withColumn("small_range", (F.col("start") + F.col("local")).cast("int")).drop("lead", "local", "start")
+    half = max(1, limit // 2)
+    return F.floor(base / F.lit(half)) * 2 + (n > half).cast("long")
+
+
+def plan_ranges_distributed(based: DataFrame, budget: Budget) -> DataFrame:
+    """PLAN for size tables of any length. A bucket's range follows from its base offset and size alone; ranges, of which there are about four for each m1 suffixes at most, are numbered by a distributed rank, and rounds and nodes are made of whole ranges."""
+    rows = materialise(based.withColumn("slot", slot(F.col("base"), F.col("n"), budget.sort_rows)), "slots")
+    ranges = rows.groupBy("slot").agg(F.min("base").alias("start"), F.sum("n").alias("size"))
+    total = max(1, rows.agg(F.sum("n")).first()[0] or 1)
+    node = F.least(F.lit(budget.nodes - 1), F.floor(F.lit(budget.nodes) * (F.col("start") + F.col("size") / 2) / F.lit(total)))
+    limit = budget.round_rows or total
+    kept = ranges.withColumn("node", node.cast("int")).withColumn("wide", slot(F.col("start"), F.col("size"), limit) if limit < total else F.lit(0).cast("long"))
+    numbered = ordered_ranks(kept, ["slot"], "small_range")
+    rounds = ordered_ranks(numbered.select("wide").distinct(), ["wide"], "round")
+    named = numbered.join(rounds, "wide").select("slot", F.col("small_range").cast("int").alias("small_range"), F.col("round").cast("int").alias("round"), "node")
+    return rows.join(named, "slot").select(*[c.split()[0] for c in PLAN.split(", ")])
 
 
 def plan_summary(plan: DataFrame, limit: int) -> DataFrame:

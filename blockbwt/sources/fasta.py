@@ -134,16 +134,18 @@ def read_fasta(spark: SparkSession, path: str, span: int = 64 << 20) -> DataFram
 
 
 def read_fasta_any(spark: SparkSession, path: str) -> DataFrame:
-    """Any store that Spark reads: records split at the line separator Spark is given."""
-    raw = spark.read.option("lineSep", ">").text(path).where("length(value) > 0")
+    """Any store and codec that Spark reads, in splits where the codec has them (none, bzip2): a record begins with `>` at a line's start, so headers may hold any other `>`."""
+    raw = spark.read.option("lineSep", "\n>").text(path)
+    # the first record of a file has its own `>`; what stands before it is none
+    named = raw.select(F.regexp_replace("value", "^\\s*>", "").alias("value")).where("length(trim(value)) > 0")
     lines = F.split("value", "\r?\n")
-    return raw.select(F.trim(lines[0]).alias("header"), F.array_join(F.transform(F.slice(lines, F.lit(2), F.size(lines)), lambda x: F.trim(x)), "").alias("s"))
+    return named.select(F.trim(lines[0]).alias("header"), F.array_join(F.transform(F.slice(lines, F.lit(2), F.size(lines)), lambda x: F.trim(x)), "").alias("s"))
 
 
 def write_fasta(df: DataFrame, path: str, header: str = "header", s: str = "s", width: int = 60, compression: str | None = None) -> None:
     """Wrapped records in text files, one a partition."""
     wrapped = F.regexp_replace(F.col(s), f"(.{{1,{width}}})", "$1\n")
-    text = F.rtrim(F.concat(F.lit(">"), F.col(header).cast("string"), F.lit("\n"), wrapped))
+    text = F.rtrim(F.concat(F.lit(">"), F.regexp_replace(F.col(header).cast("string"), "[\r\n]+", " "), F.lit("\n"), wrapped))
     out = df.select(text.alias("value")).write.mode("overwrite")
     (out.option("compression", compression) if compression else out).text(path)
 

@@ -12,7 +12,6 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
-from pyspark.sql.streaming import StatefulProcessor, StatefulProcessorHandle
 
 from blockbwt.operators.collection import StringCollection
 from blockbwt.operators.construct import bwt_build
@@ -68,27 +67,45 @@ def _table(spark: SparkSession, sf_dir: str) -> DataFrame:
     return load(spark, sf_dir, "events").withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def _events(spark: SparkSession, sf_dir: str, files: int = 3) -> DataFrame:
+def _events(spark: SparkSession, sf_dir: str, files: int = 3, closing: bool = False) -> DataFrame:
+    """The events as they arrive. `closing` sends a last row without ids, a month later: the watermark passes every window before it, so that each is emitted and its state dropped."""
     e = _table(spark, sf_dir)
-    return arriving(spark, stage(e, files, "ts"), e.schema)
+    path = stage(e, files, "ts")
+    if closing:
+        last = e.agg((F.max("ts") + F.expr("interval 30 days")).alias("ts")).where("ts is not null")
+        row = last.select(*[F.col("ts") if c == "ts" else F.lit(None).cast(t).alias(c) for c, t in e.dtypes])
+        row.coalesce(1).write.mode("append").parquet(path)
+    return arriving(spark, path, e.schema)
+
+
+#: Events without an id only close windows.
+_REAL = F.count("event_id").alias("n")
 
 
 def tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events of each day by type."""
-    w = _events(spark, sf_dir).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day"), "event_type").agg(F.count(F.lit(1)).alias("n"))
-    return finish(w, "complete").select(F.col("window.start").alias("day"), "event_type", "n")
+    w = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day"), "event_type").agg(_REAL)
+    return finish(w, "append").where("n > 0").select(F.col("window.start").alias("day"), "event_type", "n")
 
 
 def sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events of each two days, every day."""
-    w = _events(spark, sf_dir).groupBy(F.window("ts", "2 days", "1 day")).agg(F.count(F.lit(1)).alias("n"))
-    return finish(w, "complete").select(F.col("window.start").alias("begin"), "n")
+    w = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day").groupBy(F.window("ts", "2 days", "1 day")).agg(_REAL)
+    return finish(w, "append").where("n > 0").select(F.col("window.start").alias("begin"), "n")
 
 
 def sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each user's sessions, two hours apart."""
-    w = _events(spark, sf_dir).groupBy("user_id", F.session_window("ts", "2 hours")).agg(F.count(F.lit(1)).alias("n"))
-    return finish(w, "complete").select("user_id", F.col("session_window.start").alias("begin"), "n")
+    w = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day").groupBy("user_id", F.session_window("ts", "2 hours")).agg(_REAL)
+    return finish(w, "append").where("n > 0").select("user_id", F.col("session_window.start").alias("begin"), "n")
+
+
+def window_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Each user's event types of a day as a string, in order of time: what a window holds is bounded by its day."""
+    e = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day")
+    said = F.collect_list(F.struct("ts", "event_id", F.substring("event_type", 1, 1).alias("c")))
+    done = finish(e.groupBy("user_id", F.window("ts", "1 day")).agg(said.alias("said"), _REAL), "append").where("n > 0")
+    return done.select("user_id", F.col("window.start").alias("day"), F.array_join(F.transform(F.array_sort("said"), lambda x: x["c"]), "").alias("s"))
 
 
 def late_data(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -111,29 +128,37 @@ def dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return finish(twice.dropDuplicatesWithinWatermark(["event_id"]), "append").select("event_id", "user_id", "event_type")
 
 
-class UserString(StatefulProcessor):
-    """Keeps a user's events and emits the string so far with each batch."""
+GAP_HOURS = 6
+
 
-    def init(self, handle: StatefulProcessorHandle) -> None:
-        self.kept = handle.getListState("kept", "ts timestamp, event_id long, c string")
+def _closed_strings(gap: int):
+    """Buffers a user's events (micros,event_id,symbol) and emits every string that a gap has closed, or whose time the watermark has passed."""
 
-    def handleInputRows(self, key, rows: Iterator[pd.DataFrame], timerValues) -> Iterator[pd.DataFrame]:
-        new = [tuple(x) for part in rows for x in part[["ts", "event_id", "c"]].itertuples(index=False)]
-        if new:
-            self.kept.appendList(new)
-        said = sorted((pd.Timestamp(t), int(i), c) for t, i, c in self.kept.get())
-        yield pd.DataFrame({"user_id": [key[0]], "events": [len(said)], "s": ["".join(c for _, _, c in said)]})
+    def run(key: tuple, parts: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        held = [x.split(",") for x in state.get[0].split(";")] if state.exists else []
+        held = [(int(t), int(i), c) for t, i, c in held]
+        for part in parts:
+            held += [(int(t), int(i), c) for t, i, c in zip(part["at"], part["event_id"], part["c"]) if not pd.isna(i)]
+        held.sort()
+        cuts = [0, *(k for k in range(1, len(held)) if held[k][0] - held[k - 1][0] >= gap)]
+        runs = [held[a:b] for a, b in zip(cuts, [*cuts[1:], len(held)])] if held else []
+        still = runs.pop() if runs and not state.hasTimedOut else []
+        if still:
+            state.update((";".join(f"{t},{i},{c}" for t, i, c in still),))
+            state.setTimeoutTimestamp(max((still[-1][0] + gap) // 1000 + 1, state.getCurrentWatermarkMs() + 1))
+        elif state.exists:
+            state.remove()
+        yield pd.DataFrame({"user_id": [key[0]] * len(runs), "begin": [x[0][0] for x in runs], "s": ["".join(c for _, _, c in x) for x in runs]})
 
-    def close(self) -> None:
-        pass
+    return run
 
 
 def user_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Strings of event types by user, from state; the longest of each user is the final one."""
-    e = _events(spark, sf_dir).select("user_id", "ts", "event_id", F.substring("event_type", 1, 1).alias("c"))
-    spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
-    out = e.groupBy("user_id").transformWithStateInPandas(UserString(), "user_id long, events long, s string", "append", "none")
-    return finish(out, "append").groupBy("user_id").agg(F.max_by("s", "events").alias("s"))
+    """Each user's event types as strings that a gap of GAP_HOURS ends, from state of our own: what is held is the open string."""
+    e = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 hour")
+    rows = e.select("user_id", "ts", F.unix_micros("ts").alias("at"), "event_id", F.substring("event_type", 1, 1).alias("c"))
+    done = rows.groupBy("user_id").applyInPandasWithState(_closed_strings(GAP_HOURS * 3_600_000_000), "user_id long, begin long, s string", "buffer string", "append", "EventTimeTimeout")
+    return finish(done, "append").select("user_id", F.timestamp_micros("begin").alias("begin"), "s")
 
 
 def user_strings_windowed(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -23,11 +23,32 @@ def reads(spark: SparkSession, sf_dir: str, length: int = 100, stride: int | Non
     """Windows of the documents' letters as bases; `join` neighbours of a document make one read, incomplete groups go."""
     stride = stride or length
     whole = load(spark, sf_dir, "documents").select("doc_id", dna(F.col("text")).alias("t"))
-    number = F.when(F.length("t") >= length, F.floor((F.length("t") - length) / stride) + 1).otherwise(0)
-    number = F.floor(number / 4) * 4 if join > 1 else number
-    each = whole.withColumn("n", number / F.lit(join)).where("n >= 1").select("doc_id", "t", F.explode(F.sequence(F.lit(0), (F.col("n") - 1).cast("int"))).alias("i"))
     size = length * join
-    return StringCollection(each.select((F.col("doc_id") * 100000 + F.col("i")).alias("sid"), F.expr(f"substring(t, i * {stride * join} + 1, {size})").alias("s")), DNA, size)
+    if length % stride or join > 1 and stride != length:
+        number = F.when(F.length("t") >= length, F.floor((F.length("t") - length) / stride) + 1).otherwise(0)
+        number = F.floor(number / 4) * 4 if join > 1 else number
+        each = whole.withColumn("n", number / F.lit(join)).where("n >= 1").select("doc_id", "t", F.explode(F.sequence(F.lit(0), (F.col("n") - 1).cast("int"))).alias("i"))
+        return StringCollection(each.select(_read_id(F.col("i")).alias("sid"), F.expr(f"substring(t, i * {stride * join} + 1, {size})").alias("s")), DNA, size)
+    # a text is cut into pieces of `stride` once; a read is a few neighbours of them
+    pieces = F.regexp_extract_all("t", F.lit(f".{{{stride}}}"), F.lit(0))
+    cut = whole.select("doc_id", pieces.alias("p"))
+    if join == 1 and length == stride:
+        return StringCollection(cut.select("doc_id", F.posexplode("p").alias("i", "s")).select(_read_id(F.col("i")).alias("sid"), "s"), DNA, size)
+    of = join if join > 1 else length // stride
+    number = F.floor(F.size("p") / 4) * 4 / join if join > 1 else F.size("p") - of + 1
+    first = (lambda i: i * join + 1) if join > 1 else (lambda i: i + 1)
+    some = F.when(number >= 1, F.transform(F.sequence(F.lit(0), (number - 1).cast("int")), lambda i: F.array_join(F.slice("p", first(i), F.lit(of)), "")))
+    return StringCollection(cut.select("doc_id", F.posexplode(some).alias("i", "s")).select(_read_id(F.col("i")).alias("sid"), "s"), DNA, size)
+
+
+#: Reads of one document have so many ids.
+READ_IDS = 100_000
+
+
+def _read_id(i):
+    """The i-th read's id; a document of more reads than it has ids for is an error, since they would be those of the next."""
+    too_many = F.raise_error(F.concat(F.lit("a document has more reads than ids: "), F.col("doc_id").cast("string"))).cast("bigint")
+    return F.when(i < READ_IDS, F.col("doc_id") * READ_IDS + i).otherwise(too_many)
 
 
 def reads_sql(length: int = 100, stride: int | None = None, join: int = 1) -> str:

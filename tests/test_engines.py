@@ -3,9 +3,10 @@
 import random
 
 import pytest
+from pyspark.sql import functions as F
 
 from blockbwt.functions import measures
-from blockbwt.operators import baselines, construct, fmindex, overlaps
+from blockbwt.operators import baselines, construct, fmindex, kmers, overlaps
 from blockbwt.operators.collection import DNA, StringCollection, concat_offsets, locate_offset
 from blockbwt.operators.splitters import partition_by_splitters, refine, sampled_splitters, size_table, size_table_split, with_base
 from blockbwt.plans.planner import Budget, greedy, plan_ranges
@@ -39,6 +40,9 @@ BUILDS = {
     "block sort": lambda c: construct.bwt_build(c, Budget(sort_rows=20, ell=1)),
     "rounds": lambda c: construct.bwt_build(c, Budget(sort_rows=20, round_rows=90, ell=2)),
     "word passes": lambda c: construct.bwt_build(c, Budget(sort_rows=50, engine="lsd")),
+    "radix passes": lambda c: construct.bwt_build(c, Budget(sort_rows=50, engine="lsd", digit_bits=8)),
+    "positions": lambda c: construct.bwt_build(c, Budget(sort_rows=50, round_rows=200, listing="position")),
+    "digits": lambda c: construct.bwt_build(c, Budget(sort_rows=50, encoding="digits")),
     "index": lambda c: construct.bwt_build(c, Budget(engine="index", encoding="radix")),
     "merge": lambda c: construct.bwt_build(c, Budget(engine="merge")),
     "bytes": lambda c: construct.bwt_build(c, Budget(encoding="utf8")),
@@ -126,6 +130,75 @@ def test_plan_nests(spark):
     assert [x.small_range for x in plan] == sorted(x.small_range for x in plan)
 
 
+def test_distributed_plan(spark):
+    """Ranges and rounds never exceed their limits but where one bucket does; they nest, and follow the buckets' order."""
+    coll = collection(spark, random_rows("ACGT", 200, 30))
+    based = materialise(with_base(materialise(size_table(coll, 3))))
+    for m1, m2 in ((60, 400), (25, 60), (2000, None)):
+        plan = plan_ranges(based, Budget(sort_rows=m1, round_rows=m2, nodes=3), most=0).collect()
+        plan.sort(key=lambda x: x.base)
+        assert [x.bucket for x in plan] == sorted(x.bucket for x in plan)
+        for column, limit in (("small_range", m1), ("round", m2 or 10**9)):
+            numbers = [getattr(x, column) for x in plan]
+            assert numbers == sorted(numbers) and set(numbers) == set(range(max(numbers) + 1))
+            for k in set(numbers):
+                some = [x for x in plan if getattr(x, column) == k]
+                assert sum(x.n for x in some) <= limit or len({x.small_range for x in some}) == 1 and (len(some) == 1 or column == "round")
+        assert all(len({x.round for x in plan if x.small_range == k}) == 1 for k in {x.small_range for x in plan})
+        whole = materialise(plan_ranges(based, Budget(sort_rows=m1, round_rows=m2), most=0))
+        got = construct.bwt_build(coll, Budget(sort_rows=m1, round_rows=m2, ell=3), whole)
+        assert sorted(map(tuple, got.collect())) == brute([tuple(x) for x in coll.df.collect()])
+
+
+def test_million_buckets_stay_off_the_driver(spark, monkeypatch):
+    from blockbwt.plans import planner
+
+    based = spark.range(1_000_000).select(F.lpad(F.col("id").cast("string"), 7, "0").alias("bucket"), F.lit(7).alias("depth"), F.lit(False).alias("terminal"), F.lit(3).cast("long").alias("n"), (F.col("id") * 3).alias("base"))
+    monkeypatch.setattr(planner, "greedy", None)  # what the driver would pack with
+    plan = plan_ranges(based, Budget(sort_rows=1000, round_rows=100_000, nodes=4), most=200_000)
+    row = plan.groupBy("small_range").agg(F.sum("n").alias("n"), F.count_distinct("round").alias("rounds")).agg(F.max("n"), F.max("rounds"), F.sum("n"), F.min("n")).first()
+    assert row[0] <= 1000 and row[1] == 1 and row[2] == 3_000_000 and row[3] >= 400
+    assert "Python" not in plan._jdf.queryExecution().executedPlan().toString()
+
+
+def test_approximate_mapping_of_mixed_lengths(spark):
+    rng = random.Random(5)
+    text = lambda n: "".join(rng.choice("ACGT") for _ in range(n))
+    reference = [(i, text(80)) for i in range(6)] + [(7, "ACG")]
+    reads = []
+    for i in range(40):
+        j, n = rng.randrange(6), rng.randrange(9, 40)
+        at = rng.randrange(80 - n)
+        r = list(reference[j][1][at : at + n])
+        for _ in range(rng.randrange(3)):
+            r[rng.randrange(n)] = rng.choice("ACGT")
+        reads.append((100 + i, "".join(r)))
+    reads.append((200, "ACG"))
+    coll = collection(spark, reference, DNA)
+    index = fmindex.build_index(construct.bwt_build(coll), 64)
+    got = fmindex.map_reads_approx(index, coll, collection(spark, reads, DNA), 2, 5).collect()
+    want = {(i, j, p, d) for i, r in reads for j, t in reference for p in range(len(t) - len(r) + 1) for d in [sum(a != b for a, b in zip(r, t[p:]))] if d <= 2}
+    assert sorted(map(tuple, got)) == sorted(want)
+    with pytest.raises(ValueError):
+        fmindex.map_reads_approx(index, coll, collection(spark, [(1, "AC")], DNA), 2)
+
+
+def test_kmers_from_order_and_containment(spark):
+    rows = random_rows("ACGT", 50, 30) + [(900, ""), (901, "ACGTACGTAC"), (902, "ACGTACGTAC"), (903, "GTAC")]
+    coll = collection(spark, rows, DNA)
+    bwt = materialise(construct.bwt_build(coll))
+    for k in (1, 3, 8):
+        want = {}
+        for _, s in rows:
+            for p in range(len(s) - k + 1):
+                want[s[p : p + k]] = want.get(s[p : p + k], 0) + 1
+        assert {x.kmer: x.n for x in kmers.kmer_counts_from_order(coll, bwt, k).collect()} == want
+    inside = {(i, j) for i, s in rows for j, t in rows if i != j and s and s in t and (len(s) < len(t) or j < i)}
+    assert {tuple(x) for x in overlaps.contained_in_others(coll, 3).collect()} == inside
+    assert {tuple(x) for x in overlaps.contained(coll).collect()} >= {(902, 901)}
+    assert {(x.sid, x.s) for x in fmindex.invert(bwt).collect()} == set(rows)
+
+
 def test_splitters(spark):
     rows = random_rows("ACGT", 30)
     coll = collection(spark, rows)
@@ -145,7 +218,10 @@ def test_limits(spark):
     with pytest.raises(baselines.CapacityError):
         baselines.bwt_local(coll, 10)
     with pytest.raises(baselines.CapacityError):
-        baselines.bwt_single(spark, "ACGT", 3)
+        baselines.bwt_single(collection(spark, [(0, "ACGT")]), 3)
+    with pytest.raises(ValueError):
+        baselines.bwt_single(collection(spark, [(0, "A"), (1, "C")]))
+    assert sorted(map(tuple, baselines.bwt_single(collection(spark, [(4, "ACGTACGTTACGACG")]), block=2).collect())) == brute([(4, "ACGTACGTTACGACG")])
 
 
 def test_default_plan_shape(spark):
@@ -191,3 +267,15 @@ def test_measures():
     assert measures.resident_bits(64, 2, 32, 32) == {"whole": 160, "word": 64}
     assert measures.radix_passes(64, 2, 32) == 4
     assert measures.explicit_symbols(10**8, 100) == 505 * 10**9
+
+
+def test_fasta_headers_and_codecs(spark, tmp_path):
+    from blockbwt.sources import fasta
+
+    rows = [("r1 a>b", "ACGT" * 40), (">>x", "A"), ("c > d > e", ""), ("last", "GG")]
+    df = spark.createDataFrame(rows, "header string, s string").coalesce(2)
+    for codec in (None, "gzip", "bzip2"):
+        path = str(tmp_path / f"f-{codec}")
+        fasta.write_fasta(df, path, compression=codec)
+        got = {tuple(x) for x in fasta.read_fasta_any(spark, path).collect()}
+        assert {(h.lstrip(">"), s) for h, s in rows} == {(h.lstrip(">"), s) for h, s in got} and ("r1 a>b", "ACGT" * 40) in got
