@@ -295,15 +295,50 @@ def test_dual_search_prunes():
     assert (best.scores == -np.sort(-(q.points @ far.T.astype(float)), axis=1)[:, :5]).all()
 
 
+def plain_licenses(text, templates):
+    """Names of the templates of which some stretch of the text contains enough, by sets of word tuples: every stretch as long as an occurrence may be."""
+    edges = "\"'`.,:;!?()[]{}<>*#-_/\\|"
+    words = lambda t: [w for w in (x.strip(edges) for x in re.sub("[A-Z]", lambda m: m[0].lower(), t or "").encode().decode("latin-1").split(" ")) if w]
+    flat = lambda t: words(re.sub(r"[\x09-\x0d]", " ", t or ""))
+    own, found = flat(text), set()
+    for name, t in templates.items():
+        w = flat(t)
+        k = min(5, len(w))
+        want = {tuple(w[i : i + k]) for i in range(len(w) - k + 1)}
+        runs = [tuple(own[i : i + k]) for i in range(len(own) - k + 1)]
+        wide = int(1.25 * len(want) + 0.999)
+        if any(len(want & set(runs[i : i + wide])) / len(want) >= 0.75 for i in range(max(1, len(runs) - wide + 1))):
+            found.add(name)
+    return found
+
+
 def test_license_scan(spark, docs, none):
+    rng = random.Random(31)
     t = license_scan.TEMPLATES
     mit = t["mit"].split()
     rows = [(1, "Before. " + t["mit-notice"] + " after it all"), (2, "x " * 300 + " ".join(mit[:20] + ["CHANGED"] + mit[21:]) + " y" * 100), (3, "Released under another license entirely."), (4, None), (5, ""), (6, t["bsd-2-clause"].upper()), (6, t["bsd-2-clause"])]
     got = license_scan.scan(spark.createDataFrame(rows, "doc_id long, text string")).collect()
     assert collections.Counter((x.doc_id, x.license) for x in got) == {(1, "mit-notice"): 1, (2, "mit"): 1, (6, "bsd-2-clause"): 2}
     library, h = license_scan.Library(t), license_scan._Hashes()
-    texts = [x.text for x in docs.collect() if not x.text or len(x.text) < 9999] + [x[1] for x in rows]
-    assert license_scan.scan_texts(texts, library, h) == license_scan.scan_texts(texts, library, h, use_bands=False)
+    # all kinds of texts, the very long one too: bands against every window, and both against an independent scan
+    texts = [x.text for x in docs.collect()] + [x[1] for x in rows]
+    filler = lambda n: " ".join("".join(rng.choice("abcdef") for _ in range(5)) for _ in range(n))
+    for name, body in t.items():
+        w = body.split()
+        for _ in range(rng.randrange(len(w) // 60 + 1)):
+            w[rng.randrange(len(w))] = "edited"
+        texts.append(f"{filler(rng.randrange(200))} {' '.join(w)} {filler(rng.randrange(90))}")
+        texts.append(f"{filler(30)} {' '.join(w[: len(w) // 3])}")
+    found = license_scan.scan_texts(texts, library, h)
+    assert found == license_scan.scan_texts(texts, library, h, use_bands=False)
+    names = collections.defaultdict(set)
+    for i, name, _, _ in found:
+        names[i].add(name)
+    for i, x in enumerate(texts):
+        assert plain_licenses(x, t) <= names[i]
+        if len(x or "") < 9000:  # a window may be a block longer than the stretch
+            assert len(names[i] - plain_licenses(x, t)) <= 1
+    assert sum(map(len, names.values())) > len(t)
     assert license_scan.scan(none).count() == 0
     assert license_scan.scan(docs, {}).count() == 0
 
