@@ -39,15 +39,18 @@ _BLOCK = 1 << 18
 
 def ngrams(texts: list[str]) -> tuple[list[np.ndarray], np.ndarray]:
     """For each order the buckets at every place of the joined texts, and where each text begins; a space stands before and after each text."""
-    joined = " " + " ".join(texts) + " " * max(ORDERS)
+    apart = " " * max(ORDERS)  # so many that no n-gram reaches into the next text
+    joined = " " + apart.join(texts) + apart
     points = np.frombuffer(joined.encode("utf-32-le"), np.uint32)
-    starts = np.concatenate([[0], np.cumsum([len(x) + 1 for x in texts])])
+    lens = np.array([len(x) + 1 for x in texts], np.int64)
+    starts = np.concatenate([[0], np.cumsum(lens)])
+    own = np.arange(starts[-1]) + np.repeat(np.arange(len(texts)) * (len(apart) - 1), lens)
     out, h = [], np.zeros(len(points), np.uint32)
     for k in range(max(ORDERS)):
         h = h[: len(points) - k] * np.uint32(0x01000193) ^ points[k:]
         if k + 1 in ORDERS:
             mixed = (h ^ (h >> np.uint32(15))) * np.uint32(0x2C1B3C6D + 2 * k)
-            out.append((mixed >> np.uint32(16)).astype(np.uint16)[: starts[-1]])
+            out.append((mixed >> np.uint32(16)).astype(np.uint16)[own])
     return out, starts
 
 
@@ -199,17 +202,18 @@ def learn(df: DataFrame, text: str = "text", lang: str = "lang", order: Column |
     common.small_batches(df.sparkSession)
     rows = df.select(F.col(text).alias("text"), F.col(lang).alias("lang"))
     rows = rows.where("text is not null and lang is not null")
-    counts = {x.lang: x["count"] for x in rows.groupBy("lang").count().collect()}  # a row for each language
+    h = F.pmod(F.xxhash64("text"), F.lit(1 << 40))
+    hashed = rows.withColumn("h", h)
+    # different texts of each language, a row for each
+    counts = {x.lang: x.n for x in hashed.groupBy("lang").agg(F.approx_count_distinct("h", 0.02).alias("n")).collect()}
     if not counts:
         return None
     names = sorted(counts)
     n, df_table = document_frequencies(rows.select("text"))
     idf = np.log((1 + n) / (1 + df_table)) + 1
     each = -(-(fit_rows + calibrate_rows) // len(names))
-    h = F.pmod(F.xxhash64("text"), F.lit(1 << 40))
-    hashed = rows.withColumn("h", h)
     # below these hashes each language has about twice what is needed; the exact smallest follow
-    bounds = {x: min(1.0, 2.0 * each / counts[x]) for x in names}
+    bounds = {x: min(1.0, 2.0 * each / max(1, counts[x])) for x in names}
     below = F.element_at(F.create_map(*[F.lit(v) for x, b in bounds.items() for v in (x, b)]), F.col("lang")) * float(1 << 40)
     # copies are one: keys alone find the first row of each text
     once = hashed.where(F.col("h") <= below).withColumn("row", F.monotonically_increasing_id())

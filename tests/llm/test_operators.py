@@ -453,6 +453,88 @@ def test_language_id(spark, docs, none):
     assert (np.abs(model.weights) < 1e-12).mean() > 0.5  # sparse
 
 
+def plain_grams(text):
+    """Buckets of a text's n-grams, a space before it and after."""
+    padded, out = " " + text + "   ", []
+    for start in range(len(text) + 1):
+        h = 0
+        for k in range(3):
+            h = (h * 0x01000193 & 0xFFFFFFFF) ^ ord(padded[start + k])
+            out.append(((h ^ h >> 15) * (0x2C1B3C6D + 2 * k) & 0xFFFFFFFF) >> 16)
+    return out
+
+
+def plain_ftrl(rows, langs, idf, names):
+    """Follow the regularised leader with an elastic net, coordinate by coordinate."""
+    z, n, w = (collections.defaultdict(float) for _ in range(3))
+    order = np.random.default_rng(11)
+    L = language_id
+    for _ in range(L.EPOCHS):
+        at = order.permutation(len(rows))
+        for run in np.array_split(at, max(1, len(at) // L.BATCH)):
+            g = collections.defaultdict(float)
+            for i in run:
+                counts = collections.Counter(plain_grams(rows[i]))
+                x = {f: c / sum(counts.values()) * idf[f] * L._SCALE for f, c in counts.items()} | {"bias": 1.0}
+                logit = [sum(w[f, c] * v for f, v in x.items()) for c in range(len(names))]
+                p = [math.exp(v - max(logit)) for v in logit]
+                p = [v / sum(p) for v in p]
+                p[names.index(langs[i])] -= 1
+                for f, v in x.items():
+                    for c in range(len(names)):
+                        g[f, c] += v * p[c] / len(run)
+            for key, v in g.items():
+                step = (math.sqrt(n[key] + v * v) - math.sqrt(n[key])) / L.ALPHA
+                z[key] += v - step * w[key]
+                n[key] += v * v
+                shrunk = math.copysign(max(abs(z[key]) - L.L1, 0.0), z[key])
+                w[key] = -shrunk / ((L.BETA + math.sqrt(n[key])) / L.ALPHA + L.L2)
+    return w
+
+
+def test_language_id_fit_logits_and_temperature():
+    rng = random.Random(14)
+    bags = {"de": "der die und nicht schön".split(), "en": "the of and is that".split()}
+    langs = [rng.choice(list(bags)) for _ in range(60)]
+    texts = [" ".join(rng.choice(bags[g]) for _ in range(rng.randrange(1, 6))) for g in langs]
+    idf = np.random.default_rng(15).uniform(1, 3, language_id.FEATURES)
+    model = language_id.fit([language_id.pack_counts(x) for x in texts[:40]], langs[:40], idf, ["de", "en"])
+    w = plain_ftrl(texts[:40], langs[:40], idf, ["de", "en"])
+    for (f, c), v in w.items():
+        got = model.bias[c] if f == "bias" else model.weights[f, c] / (idf[f] * language_id._SCALE)
+        assert got == pytest.approx(v, abs=2e-4)
+    logits = lambda t: [sum(float(model.weights[f, c]) for f in plain_grams(t)) / len(plain_grams(t)) + model.bias[c] for c in (0, 1)]
+    some = [*texts[40:], "日本", "x" * 3000]
+    assert np.allclose(model.logits(some), [logits(t) for t in some], atol=1e-3)
+    language_id.calibrate(model, [language_id.pack_counts(x) for x in texts[40:]], langs[40:])
+
+    def loss(t):
+        out = 0.0
+        for x, g in zip(texts[40:], langs[40:]):
+            v = [y / t for y in logits(x)]
+            out += math.log(sum(math.exp(y - max(v)) for y in v)) + max(v) - v[["de", "en"].index(g)]
+        return out
+
+    grid = np.geomspace(0.02, 20, 121).tolist()
+    assert loss(model.temperature) <= min(map(loss, grid)) + 1e-3
+    found, p = model.predict(some)
+    for x, g, s in zip(some, found, p):
+        v = [y / model.temperature for y in logits(x)]
+        assert g == ["de", "en"][int(v[1] > v[0])] and s == pytest.approx(1 / (1 + math.exp(-abs(v[0] - v[1]))), abs=1e-3)
+
+
+def test_language_id_samples_different_texts(spark):
+    """Copies of a text are one row of the sample: a bound of few rows still holds other texts."""
+    copies = [(i, "the same words again", "en") for i in range(500)]
+    rows = copies + [(1000 + i, f"word{i} other of and", "en") for i in range(20)] + [(2000 + i, f"wort{i} und nicht", "de") for i in range(20)]
+    df = spark.createDataFrame(rows, "doc_id long, text string, lang string")
+    model = language_id.learn(df, fit_rows=30, calibrate_rows=6)
+    got = {x.doc_id: x.lang_pred for x in language_id.predict(df, model).collect()}
+    assert all(got[i] == "en" for i in range(1000, 1020)) and all(got[i] == "de" for i in range(2000, 2020))
+    clash = df.withColumn("_read", df["doc_id"]).withColumn("lang_pred", df["lang"])
+    assert language_id.predict(clash, model).count() == len(rows)
+
+
 def brute_components(rows):
     def sets(t):
         w = (t or "").encode().lower().split()
