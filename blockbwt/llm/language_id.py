@@ -11,11 +11,15 @@ over the languages. A sampled text is read whole: its n-grams are counted where
 it is, and the driver gets counts of at most FEATURES buckets, packed. Document
 frequencies cover every training document.
 
+Text of no learned language is told by `known`, the share of its n-grams whose
+bucket has a weight: a probability among the learned languages can't tell it.
+
 A prediction reads every character of the text. Since a feature's value is
 linear in its count, a text's logits are a mean of per-n-gram weights: one
 gather and one segmented sum over a batch, whatever the texts' lengths.
 
-Defined results: a null text or one without a letter is `und` with score 1; a
+Defined results: a null text or one without a letter is `und` with score 1 and
+known 0; a
 null lang isn't learned from; without any labelled training document all other
 texts are `und` with score 0; with one language it's that one with score 1; rows
 that repeat are each predicted; an empty table gives no row.
@@ -108,22 +112,31 @@ class Model:
 
     def logits(self, texts: list[str]) -> np.ndarray:
         """weights has the idf and the gain in it already."""
-        out = np.empty((len(texts), len(self.langs)))
+        return self._read(texts)[0]
+
+    def _read(self, texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
+        """Logits, and the share of each text's n-grams that have a weight."""
+        out, known = np.empty((len(texts), len(self.langs))), np.empty(len(texts))
+        has = (self.weights != 0).any(1).astype(np.float32)
         for a, b in _blocks(texts):
             grams, starts = ngrams(texts[a:b])
             sums = np.zeros((b - a, len(self.langs)))
             for g in grams:
                 for c in range(len(self.langs)):
                     sums[:, c] += np.add.reduceat(self.weights[:, c][g], starts[:-1])
-            out[a:b] = sums / (np.diff(starts) * len(grams))[:, None] + self.bias
-        return out
-
-    def predict(self, texts: list[str]) -> tuple[list[str], np.ndarray]:
-        z = self.logits(texts) / self.temperature
+            n = np.diff(starts) * len(grams)
+            out[a:b] = sums / n[:, None] + self.bias
+            known[a:b] = sum(np.add.reduceat(has[g], starts[:-1], dtype=np.float64) for g in grams) / n
+        return out, known
+
+    def predict(self, texts: list[str]) -> tuple[list[str], np.ndarray, np.ndarray]:
+        """Languages, their probabilities, and the share of known n-grams."""
+        z, known = self._read(texts)
+        z = z / self.temperature
         p = np.exp(z - z.max(1, keepdims=True))
         p /= p.sum(1, keepdims=True)
         best = p.argmax(1)
-        return [self.langs[i] for i in best], p[np.arange(len(best)), best]
+        return [self.langs[i] for i in best], p[np.arange(len(best)), best], known
 
 
 def pack_counts(text: str) -> bytes:
@@ -229,7 +242,7 @@ def learn(df: DataFrame, text: str = "text", lang: str = "lang", order: Column |
 
 
 def predict(df: DataFrame, model: Model | None, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
-    """The columns `keep` with lang_pred and score, a row for each row of df."""
+    """The columns `keep` with lang_pred, score and known, a row for each row of df."""
     common.small_batches(df.sparkSession)
     sent = df.sparkSession.sparkContext.broadcast(model)  # FEATURES times the languages, whatever the input
 
@@ -240,21 +253,20 @@ def predict(df: DataFrame, model: Model | None, keep: tuple[str, ...] = ("doc_id
         for batch in (x for whole in batches for x in common.slices(whole, 0)):
             texts = batch.column(0).to_pylist()
             has = [i for i, x in enumerate(texts) if x and letter(x)]
-            langs, score = ["und"] * len(texts), np.ones(len(texts))
+            langs, score, known = ["und"] * len(texts), np.ones(len(texts)), np.zeros(len(texts))
             if model is None:
                 score[has] = 0.0
             elif has:
-                found, p = model.predict(_lower([texts[i] for i in has]))
-                score[has] = p
+                found, score[has], known[has] = model.predict(_lower([texts[i] for i in has]))
                 for i, x in zip(has, found):
                     langs[i] = x
-            yield pa.RecordBatch.from_arrays([*batch.columns[1:], pa.array(langs), pa.array(score)], names=[*names, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[1:], pa.array(langs), pa.array(score), pa.array(known)], names=[*names, "lang_pred", "score", "known"])
 
     kept = df.select(F.col(text).alias("_read"), *keep)
     names = kept.columns[1:]
     types = dict(kept.dtypes)
     schema = ", ".join(f"`{c}` {types[c]}" for c in names)
-    return kept.mapInArrow(common.trimmed(run), f"{schema}, lang_pred string, score double")
+    return kept.mapInArrow(common.trimmed(run), f"{schema}, lang_pred string, score double, known double")
 
 
 def remainder(doc_id: Column, k: int) -> Column:

@@ -517,7 +517,9 @@ def test_language_id_fit_logits_and_temperature():
 
     grid = np.geomspace(0.02, 20, 121).tolist()
     assert loss(model.temperature) <= min(map(loss, grid)) + 1e-3
-    found, p = model.predict(some)
+    found, p, known = model.predict(some)
+    has = {f for f, _ in w if f != "bias" and np.any(model.weights[f])}
+    assert np.allclose(known, [np.mean([f in has for f in plain_grams(x)]) for x in some]) and known[-2] < 0.5
     for x, g, s in zip(some, found, p):
         v = [y / model.temperature for y in logits(x)]
         assert g == ["de", "en"][int(v[1] > v[0])] and s == pytest.approx(1 / (1 + math.exp(-abs(v[0] - v[1]))), abs=1e-3)
