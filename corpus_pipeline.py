@@ -2,7 +2,17 @@
 
 Stages take (spark, docs, sf_dir) and return a DataFrame; `run` writes each one's
 result as Parquet to the shared folder and reads it again. All but the last
-return the columns of `documents`.
+return the columns of `documents`; further columns are dropped, whatever they're
+named.
+
+Defined results. Language ID drops null, empty and letterless texts, and those of
+which fewer than LEAST_KNOWN of the n-grams have a weight in the fitted model
+(other languages and scripts, encoded data); without any labelled document it
+drops all. Near-duplicates keep one row of each group, of the least id, null ids
+last; rows that repeat id and text are one; a text without a word stands alone.
+Mixing takes each row on its own, whatever its id; null sources are one source;
+what is taken of a row is whole copies and at most one cut to its first words.
+BPE gives one row for each row. Empty tables give no row in any stage.
 """
 
 from __future__ import annotations
@@ -13,8 +23,8 @@ from pyspark.sql import functions as F
 from blockbwt.llm import byte_bpe, common, language_id, lsh_forest, mixing
 
 COLUMNS = ("doc_id", "text", "lang", "source", "n_chars")
-#: A prediction below this calibrated probability is a rejection; a text without a letter always is.
-LEAST_SCORE = 0.3
+#: The least share of a text's n-grams that a text in a learned language has; see the README for figures.
+LEAST_KNOWN = 0.7
 
 
 def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -22,7 +32,7 @@ def identify_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Data
     kept = docs.select(*COLUMNS)
     model = language_id.learn(kept.where(language_id.remainder(F.col("doc_id"), 3) != 1))
     found = language_id.predict(kept, model, keep=("doc_id", "text", "source", "n_chars"))
-    sure = (F.col("lang_pred") != "und") & (F.col("score") >= LEAST_SCORE)
+    sure = (F.col("lang_pred") != "und") & (F.col("known") >= LEAST_KNOWN)
     return found.where(sure).select("doc_id", "text", F.col("lang_pred").alias("lang"), "source", "n_chars")
 
 
