@@ -16,7 +16,7 @@ from blockbwt.plans.planner import Budget, plan_ranges
 from blockbwt.storage import fresh_path, materialise
 
 from .collection import END, StringCollection, explicit_suffixes, ordered_ranks, positions, previous, suffixes
-from .sorters import sort_ranges
+from .sorters import by_partition, sort_ranges
 from .splitters import BROADCAST_BUCKETS, assign_bucket, partition_by_splitters, refine, sampled_splitters, size_table, with_base
 
 
@@ -85,8 +85,10 @@ class _Listing:
             return self.coll.df.sparkSession.createDataFrame([], "bwt_pos long, sid long, pos int, sym string")
         listed = self.rows(where)
         usual = listed.where(~F.col("huge")) if self.huge else listed
-        dealt = usual.repartitionById(self.ranges, F.col("small_range")) if self.budget.engine == "catalyst" else usual
-        out = sort_ranges(dealt, self.budget.engine, self.budget.digit_bits)
+        if self.budget.engine == "catalyst":
+            out = by_partition(usual.repartitionById(self.ranges, F.col("small_range")))
+        else:
+            out = sort_ranges(usual, self.budget.engine, self.budget.digit_bits)
         if self.huge:
             # equal suffixes of more strings than a task sorts: their ids alone order them
             found = ordered_ranks(listed.where("huge").select("base", "sid", "pos", "sym"), ["base", "sid"], "g")

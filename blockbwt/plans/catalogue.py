@@ -94,9 +94,9 @@ def whole_documents(spark: SparkSession, d: str) -> StringCollection:
 
 
 def budget(coll: StringCollection, **options) -> Budget:
-    """Capacities that make a dozen small ranges or more of any table here."""
+    """Capacities that make a dozen small ranges or more of any table here, and some for every core."""
     rows = coll.df.agg(F.sum(F.length("s") + 1)).first()[0] or 1
-    return Budget(**({"sort_rows": max(1000, rows // 12), "ell": 4} | options))
+    return Budget(**({"sort_rows": max(1000, rows // 12 if rows < 4_000_000 else rows // 40), "ell": 4} | options))
 
 
 def whole(coll: StringCollection, **options) -> DataFrame:

@@ -15,6 +15,12 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame) -> DataFrame:
+    """df over all cores where its scan has few splits, such as one file of one row group; a scan of many stays as it is. What follows makes a hundred rows of each string, so the texts' own exchange is small beside it."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df.repartition(2 * cores) if df._jdf.rdd().getNumPartitions() < 4 * cores else df
+
+
 def dna(text):
     return F.translate(F.regexp_replace(F.lower(text), "[^a-z]", ""), _LETTERS, _BASES)
 
@@ -22,7 +28,7 @@ def dna(text):
 def reads(spark: SparkSession, sf_dir: str, length: int = 100, stride: int | None = None, join: int = 1) -> StringCollection:
     """Windows of the documents' letters as bases; `join` neighbours of a document make one read, incomplete groups go."""
     stride = stride or length
-    whole = load(spark, sf_dir, "documents").select("doc_id", dna(F.col("text")).alias("t"))
+    whole = spread(load(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", dna(F.col("text")).alias("t"))
     size = length * join
     if length % stride or join > 1 and stride != length:
         number = F.when(F.length("t") >= length, F.floor((F.length("t") - length) / stride) + 1).otherwise(0)
@@ -33,12 +39,18 @@ def reads(spark: SparkSession, sf_dir: str, length: int = 100, stride: int | Non
     pieces = F.regexp_extract_all("t", F.lit(f".{{{stride}}}"), F.lit(0))
     cut = whole.select("doc_id", pieces.alias("p"))
     if join == 1 and length == stride:
-        return StringCollection(cut.select("doc_id", F.posexplode("p").alias("i", "s")).select(_read_id(F.col("i")).alias("sid"), "s"), DNA, size)
+        return _numbered(cut, F.col("p"), size)
     of = join if join > 1 else length // stride
     number = F.floor(F.size("p") / 4) * 4 / join if join > 1 else F.size("p") - of + 1
     first = (lambda i: i * join + 1) if join > 1 else (lambda i: i + 1)
     some = F.when(number >= 1, F.transform(F.sequence(F.lit(0), (number - 1).cast("int")), lambda i: F.array_join(F.slice("p", first(i), F.lit(of)), "")))
-    return StringCollection(cut.select("doc_id", F.posexplode(some).alias("i", "s")).select(_read_id(F.col("i")).alias("sid"), "s"), DNA, size)
+    return _numbered(cut, some, size)
+
+
+def _numbered(cut: DataFrame, pieces, size: int) -> StringCollection:
+    """A row for each piece. The outer form, since the plain one puts a filter on the array's size below it, which would cut every text three times."""
+    each = cut.select("doc_id", F.posexplode_outer(pieces).alias("i", "s")).where("s is not null")
+    return StringCollection(each.select(_read_id(F.col("i")).alias("sid"), "s"), DNA, size)
 
 
 #: Reads of one document have so many ids.
