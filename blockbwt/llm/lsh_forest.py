@@ -291,10 +291,10 @@ def _rest(nodes: DataFrame, sets: DataFrame) -> DataFrame:
     tokens = F.expr("transform(sequence(0, cast(octet_length(shingles) div 8 as int) - 1), i -> substring(shingles, 8 * i + 1, 8))")
     each = sets.join(members, "node").select("node", "root", "block", F.expr("cast(octet_length(shingles) div 8 as int)").alias("n"), F.explode(tokens).alias("s"))
     each = common.materialise(each, "shingles")
-    counts = each.groupBy("s").agg(F.count(F.lit(1)).alias("df")).where("df > 1")
+    counts = common.materialise(each.groupBy("s").agg(F.count(F.lit(1)).alias("df")).where("df > 1"), "counts")
     # shingles of one holder alone come first in a prefix and find nobody
-    alone = each.groupBy("node").agg(F.first("n").alias("size")).join(each.join(counts, "s", "left_semi").groupBy("node").agg(F.count(F.lit(1)).alias("held")), "node")
-    ranked = each.join(counts, "s").join(alone.select("node", (F.col("size") - F.col("held")).alias("skip")), "node")
+    alone = each.groupBy("node").agg(F.first("n").alias("size")).join(_with_counts(each, counts).groupBy("node").agg(F.count(F.lit(1)).alias("held")), "node")
+    ranked = _with_counts(each, counts).join(alone.select("node", (F.col("size") - F.col("held")).alias("skip")), "node")
     rank = F.row_number().over(Window.partitionBy("node").orderBy("df", "s")) + F.col("skip")
     longest = F.col("n") - F.ceil(F.col("n") * THRESHOLD[0] / float(THRESHOLD[1]) - 1e-9) + 1
     rare = common.materialise(ranked.withColumn("k", rank).where(F.col("k") <= longest).select("s", "node", "root", "block"), "rare")
@@ -311,6 +311,18 @@ def _rest(nodes: DataFrame, sets: DataFrame) -> DataFrame:
     return left.groupBy("block", "portion").cogroup(right.groupBy("block", "portion")).applyInArrow(_compare, "a binary, b binary").distinct()
 
 
+def _with_counts(each: DataFrame, counts: DataFrame, hot: int = 512, most: int = 100_000) -> DataFrame:
+    """each joined with counts (s, df) on s. Shingles of more than `hot` holders, a passage that many texts share, are looked up where their rows are if they are few, else dealt to several tasks."""
+    common_ones = counts.where(F.col("df") > hot)
+    n = common_ones.count()
+    if not n:
+        return each.join(counts, "s")
+    table = common_ones.select("s", F.col("df").alias("hot"))
+    marked = each.join(F.broadcast(table) if n <= most else table, "s", "left")
+    rare = marked.where("hot is null").drop("hot").join(counts.where(F.col("df") <= hot), "s")
+    return rare.unionByName(marked.where("hot is not null").withColumnRenamed("hot", "df").select(*rare.columns))
+
+
 def near_duplicates(df: DataFrame, doc_id: str = "doc_id", text: str = "text") -> DataFrame:
     """(doc_id, n_shingles, component_id, kept), a row for each row of df."""
     return _answer(*_grouped(df, doc_id, text))

@@ -585,6 +585,7 @@ def test_lsh_forest_dense_family(spark, monkeypatch):
     seen = []
     was = lsh_forest._rest
     monkeypatch.setattr(lsh_forest, "_rest", lambda *a: seen.append(1) or was(*a))
+    monkeypatch.setattr(lsh_forest._with_counts, "__defaults__", (20, 100_000))
     monkeypatch.setattr(lsh_forest, "BLOCK", 16)
     monkeypatch.setattr(lsh_forest, "ASKING", 8)
     got = lsh_forest.near_duplicates(spark.createDataFrame(rows, "doc_id long, text string")).collect()
