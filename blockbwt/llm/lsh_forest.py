@@ -318,7 +318,11 @@ def _with_counts(each: DataFrame, counts: DataFrame, hot: int = 512, most: int =
     if not n:
         return each.join(counts, "s")
     table = common_ones.select("s", F.col("df").alias("hot"))
-    marked = each.join(F.broadcast(table) if n <= most else table, "s", "left")
+    if n <= most:
+        marked = each.join(F.broadcast(table), "s", "left")
+    else:
+        copies = table.withColumn("salt", F.explode(F.array(*map(F.lit, range(16)))))
+        marked = each.withColumn("salt", F.pmod(F.xxhash64("node", F.lit(13)), F.lit(16)).cast("int")).join(copies, ["s", "salt"], "left").drop("salt")
     rare = marked.where("hot is null").drop("hot").join(counts.where(F.col("df") <= hot), "s")
     return rare.unionByName(marked.where("hot is not null").withColumnRenamed("hot", "df").select(*rare.columns))
 
