@@ -111,18 +111,27 @@ def _intervals(index: Index, patterns: DataFrame, every: int = 6) -> DataFrame:
     return done.select("pid", "pattern", "lo", "hi")
 
 
+def _searched(index: Index, patterns: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """(pid, pattern), and (pattern, lo, hi) of the different patterns that occur: equal ones are searched once."""
+    asked = materialise(patterns.select("pid", "pattern"), "patterns")
+    once = materialise(ordered_ranks(asked.select("pattern").distinct(), ["pattern"], "pid").select("pid", "pattern"), "patterns")
+    return asked, _intervals(index, once).select("pattern", "lo", "hi")
+
+
 def count_patterns(index: Index, patterns: DataFrame) -> DataFrame:
     """(pid, occurrences) of every pattern; those of an empty one are all suffixes."""
-    found = _intervals(index, patterns).select("pid", (F.col("hi") - F.col("lo")).alias("occurrences"))
-    return patterns.select("pid").join(found, "pid", "left").select("pid", F.coalesce("occurrences", F.lit(0)).cast("long").alias("occurrences"))
+    asked, found = _searched(index, patterns)
+    counted = asked.join(found, "pattern", "left")
+    return counted.select("pid", F.coalesce(F.col("hi") - F.col("lo"), F.lit(0)).cast("long").alias("occurrences"))
 
 
 def locate_patterns(index: Index, patterns: DataFrame) -> DataFrame:
     """(pid, sid, pos): intervals joined with the transform by blocks of places."""
-    spans = _intervals(index, patterns)
-    each = spans.select("pid", "lo", "hi", F.explode(F.sequence(F.floor(F.col("lo") / index.step), F.floor((F.col("hi") - 1) / index.step))).alias("block"))
+    asked, spans = _searched(index, patterns)
+    each = spans.select("pattern", "lo", "hi", F.explode(F.sequence(F.floor(F.col("lo") / index.step), F.floor((F.col("hi") - 1) / index.step))).alias("block"))
     rows = index.bwt.select("bwt_pos", "sid", "pos", F.floor(F.col("bwt_pos") / index.step).alias("block"))
-    return each.join(rows, "block").where("bwt_pos >= lo and bwt_pos < hi").select("pid", "sid", "pos")
+    places = each.join(rows, "block").where("bwt_pos >= lo and bwt_pos < hi").select("pattern", "sid", "pos")
+    return places.join(asked, "pattern").select("pid", "sid", "pos")
 
 
 def scan_patterns(coll: StringCollection, patterns: DataFrame) -> DataFrame:

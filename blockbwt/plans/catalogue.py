@@ -468,37 +468,41 @@ def invert_reads(spark, d):
     return fmindex.invert(materialise(whole(T.reads(spark, d)), "bwt"))
 
 
+_SIZES = (1, 4, 12, 30)
+
+
 def patterns(spark: SparkSession, d: str) -> DataFrame:
-    """Pieces of every read that begins a document, of 1 to 12 symbols, some that occur nowhere, and the empty one."""
-    first = T.reads(spark, d).df.where("sid % 100000 = 0")
-    some = first.select((F.col("sid") * 10).alias("pid"), F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.expr(f"substring(s, 11, {n})").alias("pattern")) for i, n in enumerate((1, 4, 12))])).alias("x"))
+    """Pieces of every read, of 1 to 30 symbols, some that occur nowhere, and the empty one."""
+    pieces = F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.expr(f"substring(s, 11, {n})").alias("pattern")) for i, n in enumerate(_SIZES)])).alias("x")
+    some = T.reads(spark, d).df.select((F.col("sid") * 10).alias("pid"), pieces)
     odd = spark.createDataFrame([(-1, ""), (-2, "ACGTACGTACGT"), (-3, "Z")], "pid long, pattern string")
     return some.select((F.col("pid") + F.col("x.i")).alias("pid"), "x.pattern").unionByName(odd)
 
 
-PATTERNS = f"SELECT sid * 10 + i AS pid, substr(s, 11, CASE i WHEN 0 THEN 1 WHEN 1 THEN 4 ELSE 12 END) AS pattern FROM ({READS}), (SELECT unnest(range(3)) AS i) WHERE sid % 100000 = 0 UNION ALL SELECT * FROM (VALUES (-1, ''), (-2, 'ACGTACGTACGT'), (-3, 'Z'))"
+PATTERNS = f"SELECT sid * 10 + i AS pid, substr(s, 11, CASE i WHEN 0 THEN 1 WHEN 1 THEN 4 WHEN 2 THEN 12 ELSE 30 END) AS pattern FROM ({READS}), (SELECT unnest(range(4)) AS i) UNION ALL SELECT * FROM (VALUES (-1, ''), (-2, 'ACGTACGTACGT'), (-3, 'Z'))"
 
 
 @query("count_patterns_reads", f"""WITH p AS (SELECT * FROM ({PATTERNS})), r AS (SELECT s, unnest(range(0, length(s) + 1)) AS q FROM ({READS})),
-    c AS (SELECT substr(s, q + 1, k) AS x, k, count(*) AS n FROM r, (SELECT unnest([0, 1, 4, 12]) AS k) WHERE length(substr(s, q + 1, k)) = k GROUP BY 1, 2)
+    c AS (SELECT substr(s, q + 1, k) AS x, k, count(*) AS n FROM r, (SELECT unnest([0, 1, 4, 12, 30]) AS k) WHERE length(substr(s, q + 1, k)) = k GROUP BY 1, 2)
     SELECT p.pid, CAST(coalesce(c.n, 0) AS BIGINT) AS occurrences FROM p LEFT JOIN c ON c.x = p.pattern AND c.k = length(p.pattern)""")
 def count_reads(spark, d):
     index = fmindex.build_index(whole(T.reads(spark, d)))
-    return fmindex.count_patterns(index, materialise(patterns(spark, d), "patterns"))
+    return fmindex.count_patterns(index, patterns(spark, d))
 
 
 def _long_patterns(spark, d):
-    return patterns(spark, d).where(F.length("pattern") == 12)
+    """The different patterns of 12 and 30 symbols of every read, under the least id of each; shorter ones stand nearly everywhere."""
+    return patterns(spark, d).where(F.length("pattern") >= 12).groupBy("pattern").agg(F.min("pid").alias("pid"))
 
 
-LONG = f"SELECT * FROM ({PATTERNS}) WHERE length(pattern) = 12"
-LOCATED = f"SELECT p.pid, r.sid, CAST(r.q AS INTEGER) AS pos FROM ({LONG}) p JOIN (SELECT sid, q, substr(s, q + 1, 12) AS x FROM (SELECT sid, s, unnest(range(0, length(s) + 1)) AS q FROM ({READS}))) r ON r.x = p.pattern"
+LONG = f"SELECT pattern, min(pid) AS pid FROM ({PATTERNS}) WHERE length(pattern) >= 12 GROUP BY pattern"
+LOCATED = f"SELECT p.pid, r.sid, CAST(r.q AS INTEGER) AS pos FROM ({LONG}) p JOIN (SELECT sid, q, substr(s, q + 1, k) AS x FROM (SELECT sid, s, unnest(range(0, length(s) + 1)) AS q FROM ({READS})), (SELECT unnest([12, 30]) AS k) WHERE q + k <= length(s)) r ON r.x = p.pattern"
 
 
 @query("locate_patterns_reads", LOCATED)
 def locate_reads(spark, d):
     index = fmindex.build_index(whole(T.reads(spark, d)))
-    return fmindex.locate_patterns(index, materialise(_long_patterns(spark, d), "patterns"))
+    return fmindex.locate_patterns(index, _long_patterns(spark, d))
 
 
 @query("scan_patterns_reads", LOCATED)

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
@@ -11,10 +12,12 @@ _own: dict[str, str] = {}
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """The cluster's shared folder as the session names it; a temporary one only where it names none."""
+    """The cluster's shared folder as the session names it; a temporary one only where it names none and is one process."""
     named = spark.sparkContext.getConf().get("spark.checkpoint.dir") or spark.conf.get("spark.checkpoint.dir", None)
     if named:
         return named.rstrip("/")
+    if not re.fullmatch(r"local(\[[^\]]*\])?", spark.sparkContext.master):
+        raise ValueError("a cluster has to name its shared folder in spark.checkpoint.dir")
     return _own.setdefault(spark.sparkContext.applicationId, tempfile.mkdtemp(prefix="blockbwt-core-"))
 
 
