@@ -26,7 +26,7 @@ def queries() -> dict:
 
 
 def oracle_sql() -> dict[str, str]:
-    found = {name: import_module(f"{__package__}.{_WHERE[name]}").SQL for name in ("op4_cover_tree", "op7_chat_format")}
+    found = {name: import_module(f"{__package__}.{_WHERE[name]}").SQL for name in ("op4_cover_tree", "op7_chat_format", "op9_lsh_forest")}
     if import_module("corpus_pipeline").ORACLE_SQL is not None:
         found["pipeline"] = import_module("corpus_pipeline").ORACLE_SQL
     return found

@@ -593,6 +593,15 @@ def test_lsh_forest_dense_family(spark, monkeypatch):
     assert collections.Counter((x.doc_id, x.n_shingles, x.component_id, x.kept) for x in got) == brute_components(rows)
 
 
+@pytest.mark.parametrize("name", ["op4_cover_tree", "op7_chat_format", "op9_lsh_forest"])
+def test_query_equals_sql(spark, name):
+    from harness import compare
+
+    from blockbwt.llm import queries
+
+    assert compare(spark, queries.queries()[name], queries.oracle_sql()[name], "/root/testdata/sf0.001") == ""
+
+
 def test_components(spark):
     links = [(b"a", b"b"), (b"b", b"c"), (b"x", b"y"), (b"z", b"y"), (b"m", b"m")] + [(f"p{i:03d}".encode(), f"p{i + 1:03d}".encode()) for i in range(40)]
     got = {bytes(x.node): bytes(x.root) for x in lsh_forest.components(spark.createDataFrame(links, "a binary, b binary")).collect()}
