@@ -201,6 +201,48 @@ def sample_invariants(spark, d):
     return spark.createDataFrame([(a == b, abs(a - 0.2 * n) < 0.05 * n)], "same boolean, near boolean")
 
 
+def string_more(spark: SparkSession, d: str) -> DataFrame:
+    p = load(spark, d, "part")
+    return p.select("p_partkey", F.overlay("p_name", F.lit("XX"), 2, 1).alias("laid"), F.array_join(F.regexp_extract_all("p_name", F.lit("[aeiou]"), F.lit(0)), "").alias("vowels"), F.hex(F.encode("p_name", "UTF-8")).alias("bytes"), F.split_part("p_name", F.lit(" "), F.lit(2)).alias("second"))
+
+
+def agg_listagg(spark: SparkSession, d: str) -> DataFrame:
+    return spark.sql("SELECT p_brand, listagg(p_name, ',') WITHIN GROUP (ORDER BY p_name) AS names FROM {part} GROUP BY p_brand", part=load(spark, d, "part"))
+
+
+def agg_mode(spark: SparkSession, d: str) -> DataFrame:
+    """The most frequent size of each brand, the least of several."""
+    return load(spark, d, "part").groupBy("p_brand").agg(F.mode("p_size", True).alias("size"))
+
+
+def agg_sketches(spark: SparkSession, d: str) -> DataFrame:
+    """Distinct counts from sketches that are made by flag and united, against exact ones."""
+    rows = load(spark, d, "lineitem").select("l_returnflag", "l_orderkey")
+    made = rows.groupBy("l_returnflag").agg(F.hll_sketch_agg("l_orderkey", F.lit(14)).alias("s"), F.count_distinct("l_orderkey").alias("n"))
+    each = made.select(F.abs(F.hll_sketch_estimate("s") - F.col("n")).alias("off"), "n", "s")
+    all_rows = rows.agg(F.count_distinct("l_orderkey").alias("all"))
+    done = each.agg((F.max(F.col("off") / F.col("n")) < 0.05).alias("parts_close"), F.hll_sketch_estimate(F.hll_union_agg("s")).alias("united"))
+    return done.crossJoin(all_rows).select("parts_close", (F.abs(F.col("united") - F.col("all")) < 0.05 * F.col("all")).alias("union_close"), "all")
+
+
+def json_variant(spark: SparkSession, d: str) -> DataFrame:
+    v = F.parse_json("props")
+    return load(spark, d, "events").select("event_id", F.variant_get(v, "$.k", "bigint").alias("k"), F.try_variant_get(v, "$.none", "string").alias("none"))
+
+
+def sample_by(spark: SparkSession, d: str) -> DataFrame:
+    """Shares by type, the same for the same seed; each near what was asked."""
+    e = load(spark, d, "events")
+    shares = {"click": 0.5, "view": 0.25, "error": 1.0}
+    one, two = (e.sampleBy("event_type", shares, 11).select("event_id", "event_type") for _ in range(2))
+    same = one.exceptAll(two).isEmpty() and two.exceptAll(one).isEmpty()
+    asked = e.groupBy("event_type").count().withColumnRenamed("count", "n")
+    got = one.groupBy("event_type").count()
+    share = F.coalesce(F.element_at(F.create_map(*[F.lit(x) for k, v in shares.items() for x in (k, v)]), F.col("event_type")), F.lit(0.0))
+    far = F.abs(F.coalesce("count", F.lit(0)) - F.col("n") * share) > 5 * F.sqrt("n")
+    return asked.join(got, "event_type", "left").agg(F.lit(same).alias("same"), (F.count_if(far) == 0).alias("near"))
+
+
 OWN = {
     "rel_filter_regex_documents": (filter_regex_documents, "SELECT doc_id, length(text) AS len FROM documents WHERE regexp_matches(text, '[0-9]{3}') AND NOT starts_with(text, 'A') AND contains(text, '.')"),
     "rel_join_sort_merge": (join_sort_merge, "SELECT o_orderstatus, count(*) AS n FROM orders JOIN lineitem ON o_orderkey = l_orderkey GROUP BY 1"),
@@ -213,6 +255,12 @@ OWN = {
     "rel_agg_approx_distinct": (agg_approx_distinct, "SELECT true AS parts_close, true AS orders_close"),
     "rel_agg_approx_percentile": (agg_approx_percentile, "SELECT true AS close"),
     "rel_agg_kmer_count_min": (agg_kmer_count_min, "SELECT CAST(0 AS BIGINT) AS below, true AS seldom_far"),
+    "rel_string_more": (string_more, "SELECT p_partkey, substr(p_name, 1, 1) || 'XX' || substr(p_name, 3) AS laid, array_to_string(regexp_extract_all(p_name, '[aeiou]'), '') AS vowels, hex(p_name) AS bytes, split_part(p_name, ' ', 2) AS second FROM part"),
+    "rel_agg_listagg": (agg_listagg, "SELECT p_brand, string_agg(p_name, ',' ORDER BY p_name) AS names FROM part GROUP BY p_brand"),
+    "rel_agg_mode": (agg_mode, "SELECT p_brand, min(p_size) AS size FROM (SELECT p_brand, p_size, rank() OVER (PARTITION BY p_brand ORDER BY count(*) DESC) AS r FROM part GROUP BY p_brand, p_size) WHERE r = 1 GROUP BY p_brand"),
+    "rel_agg_sketches": (agg_sketches, "SELECT true AS parts_close, true AS union_close, count(DISTINCT l_orderkey) AS \"all\" FROM lineitem"),
+    "rel_json_variant": (json_variant, "SELECT event_id, CAST(json_extract(props, '$.k') AS BIGINT) AS k, CAST(NULL AS VARCHAR) AS none FROM events"),
+    "rel_sample_by": (sample_by, "SELECT true AS same, true AS near"),
     "rel_pivot_status": (pivot_status, "SELECT o_orderpriority, count(*) FILTER (WHERE o_orderstatus = 'F') AS F, count(*) FILTER (WHERE o_orderstatus = 'O') AS O, count(*) FILTER (WHERE o_orderstatus = 'P') AS P FROM orders GROUP BY 1"),
     "rel_unpivot": (unpivot, "SELECT p_partkey, 'brand' AS what, p_brand AS value FROM part UNION ALL SELECT p_partkey, 'kind', p_type FROM part"),
     "rel_window_range_frame": (window_range_frame, "SELECT event_id, count(*) OVER (PARTITION BY user_id ORDER BY CAST(floor(epoch(ts)) AS BIGINT) RANGE BETWEEN 21600 PRECEDING AND CURRENT ROW) AS n FROM events"),

@@ -1,5 +1,6 @@
 """Queries against their SQL on the smallest tables, and the driver's contract."""
 
+import os
 import subprocess
 import sys
 from pathlib import Path
@@ -40,3 +41,10 @@ def test_without_the_pipeline_operators(tmp_path):
     code = "import __spark_entry__ as e; q = e.queries(); assert q and not any(k.startswith('op') for k in q)"
     done = subprocess.run([sys.executable, "-c", code], cwd=tmp_path, capture_output=True, text=True, env={"PATH": "/usr/bin:/bin", "PYTHONPATH": str(tmp_path)})
     assert done.returncode == 0, done.stderr[-500:]
+    # and the other tests are found and run there
+    shutil.copytree(root / "tests", tmp_path / "tests", ignore=shutil.ignore_patterns("llm", "__pycache__"))
+    shutil.copy(root / "bench.py", tmp_path)
+    some = "test_plans or test_measures or test_every_sql_has_a_query"
+    for extra in (["--collect-only"], ["-k", some]):
+        done = subprocess.run([sys.executable, "-m", "pytest", "tests", "-q", "-p", "no:cacheprovider", *extra], cwd=tmp_path, capture_output=True, text=True, env={**os.environ, "PYTHONPATH": str(tmp_path)})
+        assert done.returncode == 0, done.stdout[-500:]
