@@ -98,15 +98,15 @@ class Packing:
 def digit_words(s: Column, alphabet: tuple[str, ...], pos: Column, begin: int, symbols: int) -> Column:
     """Symbols of a suffix as one (sigma + 1)-ary integer, packed anew for each suffix; for checks of the shifted words."""
     chars, base = "".join(alphabet), len(alphabet) + 1
-    part = F.rpad(F.substring(s, pos + 1 + begin, F.lit(symbols)), symbols, " ")
-    return F.conv(F.translate(part, " " + chars, _DIGITS[:base]), base, 10).cast("long")
+    part = F.rpad(F.substring(s, pos + 1 + begin, F.lit(symbols)), symbols, F.lit("\0"))
+    return F.conv(F.translate(part, "\0" + chars, _DIGITS[:base]), base, 10).cast("long")
 
 
 def digit_keys(s: Column, alphabet: tuple[str, ...], pos: Column, longest: int) -> list[Column]:
     """Sort keys of a suffix as (sigma + 1)-ary integers, padding being 0: more symbols a word than whole bits hold, each packed anew."""
     if len(alphabet) >= len(_DIGITS):
         raise ValueError("an alphabet of at most 35 symbols")
-    k = int(62 / math.log2(len(alphabet) + 1))
+    k = int(62 / math.log2(max(2, len(alphabet) + 1)))
     n = max(1, -(-longest // k))
     out = [digit_words(s, alphabet, pos, j * k, k).alias(f"w{j}") for j in range(min(n, COLUMNS))]
     if n > COLUMNS:

@@ -43,13 +43,15 @@ def _places(live: DataFrame, starts: dict[str, int], step: int = 4096) -> DataFr
     return keyed.withColumn("inside", inside).join(before, ["block", "sym"]).withColumn("place", base + F.col("before") + F.col("inside")).drop("inside", "before", "block")
 
 
-def bwt_column_insertion(coll: StringCollection, mode: str = "rewrite", every: int = 6, checkpoint: str = "written", delta_limit: int = 5_000_000) -> DataFrame:
+def bwt_column_insertion(coll: StringCollection, mode: str = "rewrite", every: int = 1, checkpoint: str = "written", delta_limit: int = 5_000_000) -> DataFrame:
     """One string column an iteration: after step j the state is the transform of all suffixes of up to j symbols.
 
     `rewrite` sorts all rows stably by the symbol before them; `delta` computes
     the places of the n new rows alone and shifts the rest by a search in them
     (n 64-bit places a worker, so n is bounded). checkpoint says where the state
-    is cut: `written` to the shared folder or `none`, which keeps the lineage.
+    is cut: `written` to the shared folder each `every` iterations, or `none`, which
+    keeps the lineage and ranks each symbol's rows in one window, as a plan that
+    refers to the state more than once would grow with its power.
     """
     if mode not in ("rewrite", "delta"):
         raise ValueError(mode)
@@ -66,7 +68,11 @@ def bwt_column_insertion(coll: StringCollection, mode: str = "rewrite", every: i
             starts[c], at = at, at + totals[c]
         if not starts:
             break
-        placed = _places(live, starts)
+        if checkpoint == "written" and (mode == "delta" or every == 1):
+            placed = _places(live, starts)
+        else:
+            base = F.element_at(F.create_map(*[F.lit(x) for k, v in starts.items() for x in (k, v)]), F.col("sym"))
+            placed = live.withColumn("place", base + F.row_number().over(Window.partitionBy("sym").orderBy("rank")) - 1)
         if mode == "rewrite":
             moved = placed.select(F.col("place").alias("rank"), "sid", (F.col("pos") - 1).alias("pos")).join(strings, "sid")
             new = state.join(strings.select("sid", F.length("s").alias("m")), "sid").where("pos = m").select("rank", "sid", "pos", "sym")

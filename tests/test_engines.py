@@ -70,6 +70,10 @@ def test_long_and_single_symbol(spark, build):
 def test_column_insertion(spark, mode):
     rows = random_rows("ACGT", 15, 7)
     assert sorted(map(tuple, baselines.bwt_column_insertion(collection(spark, rows), mode).collect())) == brute(rows)
+    if mode == "rewrite":
+        for options in ({"every": 3}, {"checkpoint": "none"}):
+            some = [(i, s[:3]) for i, s in rows[:6]]
+            assert sorted(map(tuple, baselines.bwt_column_insertion(collection(spark, some), mode, **options).collect())) == brute(some)
 
 
 def test_worked_example_and_forms(spark):
