@@ -79,24 +79,25 @@ def _events(spark: SparkSession, sf_dir: str, files: int = 3, closing: bool = Fa
 
 
 #: Events without an id only close windows.
-_REAL = F.count("event_id").alias("n")
+def _real():
+    return F.count("event_id").alias("n")
 
 
 def tumbling(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events of each day by type."""
-    w = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day"), "event_type").agg(_REAL)
+    w = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day").groupBy(F.window("ts", "1 day"), "event_type").agg(_real())
     return finish(w, "append").where("n > 0").select(F.col("window.start").alias("day"), "event_type", "n")
 
 
 def sliding(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Events of each two days, every day."""
-    w = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day").groupBy(F.window("ts", "2 days", "1 day")).agg(_REAL)
+    w = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day").groupBy(F.window("ts", "2 days", "1 day")).agg(_real())
     return finish(w, "append").where("n > 0").select(F.col("window.start").alias("begin"), "n")
 
 
 def sessions(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each user's sessions, two hours apart."""
-    w = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day").groupBy("user_id", F.session_window("ts", "2 hours")).agg(_REAL)
+    w = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day").groupBy("user_id", F.session_window("ts", "2 hours")).agg(_real())
     return finish(w, "append").where("n > 0").select("user_id", F.col("session_window.start").alias("begin"), "n")
 
 
@@ -104,7 +105,7 @@ def window_strings(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Each user's event types of a day as a string, in order of time: what a window holds is bounded by its day."""
     e = _events(spark, sf_dir, closing=True).withWatermark("ts", "1 day")
     said = F.collect_list(F.struct("ts", "event_id", F.substring("event_type", 1, 1).alias("c")))
-    done = finish(e.groupBy("user_id", F.window("ts", "1 day")).agg(said.alias("said"), _REAL), "append").where("n > 0")
+    done = finish(e.groupBy("user_id", F.window("ts", "1 day")).agg(said.alias("said"), _real()), "append").where("n > 0")
     return done.select("user_id", F.col("window.start").alias("day"), F.array_join(F.transform(F.array_sort("said"), lambda x: x["c"]), "").alias("s"))
 
 
