@@ -60,7 +60,7 @@ READ_IDS = 100_000
 def _read_id(i):
     """The i-th read's id; a document of more reads than it has ids for is an error, since they would be those of the next."""
     too_many = F.raise_error(F.concat(F.lit("a document has more reads than ids: "), F.col("doc_id").cast("string"))).cast("bigint")
-    return F.when(i < READ_IDS, F.col("doc_id") * READ_IDS + i).otherwise(too_many)
+    return F.when(i >= READ_IDS, too_many).otherwise(F.col("doc_id") * READ_IDS + i)
 
 
 def reads_sql(length: int = 100, stride: int | None = None, join: int = 1) -> str:
