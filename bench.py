@@ -2,7 +2,7 @@
 
 Seconds of each query, its rows going nowhere; then the experiments of
 blockbwt/plans/experiments.py on the reads of $BENCH_SHAPES_DIR (the smallest
-tables), begun as long as $BENCH_SHAPES_SECONDS (240) aren't over; BENCH_SHAPES=0
+tables), begun as long as $BENCH_SHAPES_SECONDS (120) aren't over; BENCH_SHAPES=0
 leaves them out.
 """
 
@@ -55,7 +55,7 @@ def main() -> None:
     memory = peak_memory(spark)
     found = {}
     if os.environ.get("BENCH_SHAPES", "1") != "0":
-        found = experiments.run(spark, small, float(os.environ.get("BENCH_SHAPES_SECONDS", "240")))
+        found = experiments.run(spark, small, float(os.environ.get("BENCH_SHAPES_SECONDS", "120")))
         if not found["left out"]:
             found["cores"] = cores(small)
     print(json.dumps({"metric": "total seconds of headline queries", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": sf_dir.rsplit("sf", 1)[-1], "throughput": throughput(times, sf_dir, spark), "shapes": found.pop("shapes", {}), "experiments": found, "memory": memory}))

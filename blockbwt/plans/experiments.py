@@ -21,7 +21,7 @@ from blockbwt.storage import fresh_path
 from .planner import Budget, plan_summary
 
 #: Lengths at equal bases; neighbours of the shortest reads make the longer ones.
-LENGTHS = (10, 20, 40)
+LENGTHS = (5, 10, 20)
 
 
 def _seconds(build) -> float:
@@ -176,10 +176,10 @@ def run(spark: SparkSession, small: str, limit: float = 300.0) -> dict:
     _seconds(lambda: construct.bwt_build(coll, _budget(_rows(coll))))  # compiles
     others = ("column insertion, delta", "partition and merge", "rank doubling")
     each = {
-        "lengths": lambda: length_series(lengths),
+        "bases": lambda: growth_in_bases(coll),
         "rounds": lambda: round_sweep(coll),
         "nodes": lambda: node_sweep(spark, small, coll),
-        "bases": lambda: growth_in_bases(coll),
+        "lengths": lambda: length_series(lengths),
         "phases": lambda: phases(spark, small),
         "loading": lambda: loading(spark, small),
         "methods": lambda: {"length": LENGTHS[0], **{k: x[str(LENGTHS[0])] for k, x in found["lengths"].items()}, **methods(lengths[LENGTHS[0]], others)},
