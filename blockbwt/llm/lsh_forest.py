@@ -236,15 +236,24 @@ def _orders(nodes: DataFrame) -> DataFrame:
 
 
 def _leaves(rows: DataFrame, most: int) -> DataFrame:
-    """rows (region, key, node, root) with `leaf`: the least depth at which at most `most` of them share the key's prefix, or a run of those that share all of it."""
-    depths = list(range(MIN_DEPTH + 1, DEPTH + 1))
-    deeper = F.explode(F.array(*[F.struct(F.lit(d).alias("depth"), F.xxhash64("region", _prefix(d)).alias("leaf")) for d in depths])).alias("at")
-    each = rows.select("region", "key", "node", "root", deeper).select("region", "key", "node", "root", "at.*")
-    counts = each.groupBy("leaf").agg(F.count(F.lit(1)).alias("c"))
-    fits = (F.col("c") <= most) | (F.col("depth") == DEPTH)
-    best = _spread_join(each, counts, "leaf").where(fits).groupBy("region", "node").agg(F.min(F.struct("depth", "leaf", "c")).alias("b"), F.first("root").alias("root"))
-    run = F.when(F.col("b.c") > most, F.pmod(F.xxhash64("node", "region"), F.ceil(F.col("b.c") / most))).otherwise(0)
-    return best.select("node", "root", F.xxhash64("b.leaf", run).alias("leaf"))
+    """rows (region, key, node, root) with `leaf`: the least depth at which at most `most` of them share the key's prefix, or a run of those that share all of it.
+
+    Depth by depth: rows that share a prefix settle together, so those that go on
+    are whole groups. Each depth is written, since what settles and what goes on
+    are read from it.
+    """
+    out, left = None, rows.select("region", "key", "node", "root")
+    for d in range(MIN_DEPTH + 1, DEPTH + 1):
+        each = left.withColumn("leaf", F.xxhash64("region", _prefix(d)))
+        counts = each.groupBy("leaf").agg(F.count(F.lit(1)).alias("c"))
+        placed = common.materialise(_spread_join(each, counts, "leaf").select("region", "key", "node", "root", "leaf", "c"), "leaves")
+        run = F.when(F.col("c") > most, F.pmod(F.xxhash64("node", "region"), F.ceil(F.col("c") / most))).otherwise(0)
+        settled = (placed if d == DEPTH else placed.where(F.col("c") <= most)).select("node", "root", F.xxhash64("leaf", run).alias("leaf"))
+        out = settled if out is None else out.unionByName(settled)
+        left = placed.where(F.col("c") > most).drop("leaf", "c")
+        if d < DEPTH and left.isEmpty():
+            break
+    return out
 
 
 def _across(rows: DataFrame, by: str) -> DataFrame:
