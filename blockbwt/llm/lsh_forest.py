@@ -42,6 +42,8 @@ WORDS, THRESHOLD = 5, (75, 100)
 TREES, DEPTH, MIN_DEPTH, LEAF = 20, 8, 3, 12
 #: Nodes that a block holds and that one comparison takes, about.
 BLOCK, ASKING = 512, 2048
+#: Rows of one key that a task of a join takes as they are; more are dealt to so many tasks.
+HOT, SALTS = 512, 16
 _STORE = 250_000
 
 _SEEDS = np.random.default_rng(90_001)
@@ -246,7 +248,7 @@ def _leaves(rows: DataFrame, most: int) -> DataFrame:
     for d in range(MIN_DEPTH + 1, DEPTH + 1):
         each = left.withColumn("leaf", F.xxhash64("region", _prefix(d)))
         counts = each.groupBy("leaf").agg(F.count(F.lit(1)).alias("c"))
-        placed = common.materialise(_spread_join(each, counts, "leaf").select("region", "key", "node", "root", "leaf", "c"), "leaves")
+        placed = common.materialise(_spread_join(each, counts, "leaf", "c").select("region", "key", "node", "root", "leaf", "c"), "leaves")
         run = F.when(F.col("c") > most, F.pmod(F.xxhash64("node", "region"), F.ceil(F.col("c") / most))).otherwise(0)
         settled = (placed if d == DEPTH else placed.where(F.col("c") <= most)).select("node", "root", F.xxhash64("leaf", run).alias("leaf"))
         out = settled if out is None else out.unionByName(settled)
@@ -383,13 +385,29 @@ def _open(rows: DataFrame, roots: DataFrame) -> DataFrame:
     """rows (region, key, node) of the regions that hold nodes of different components, with `root` and the region's number of nodes."""
     placed = rows.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
     state = placed.groupBy("region").agg(F.min("root").alias("lo"), F.max("root").alias("hi"), F.count(F.lit(1)).alias("n")).where("lo <> hi").select("region", "n")
-    return _spread_join(placed, state, "region").select("region", "key", "node", "root", "n")
+    return _spread_join(placed, state, "region", "n").select("region", "key", "node", "root", "n")
 
 
-def _spread_join(rows: DataFrame, table: DataFrame, by: str, salts: int = 16) -> DataFrame:
-    """An inner join with a table of one row a key, copied to so many tasks as one key's rows are dealt to."""
-    copies = table.withColumn("salt", F.explode(F.array(*map(F.lit, range(salts)))))
-    return rows.withColumn("salt", F.pmod(F.xxhash64("node", F.lit(13)), F.lit(salts)).cast("int")).join(copies, [by, "salt"]).drop("salt")
+def _spread_join(rows: DataFrame, table: DataFrame, by: str, size: str, most: int = 100_000) -> DataFrame:
+    """An inner join with a table of one row a key, which has the key's number of rows in `size`. Rows of a key with more than HOT of them are dealt to SALTS tasks; no other key is copied."""
+    table = common.materialise(table, "keys")
+    many = table.where(F.col(size) > HOT).select(by, F.lit(True).alias("hot"))
+    n = many.count()
+    if not n:
+        return rows.join(table, by)
+    dealt = rows.withColumn("salt", F.pmod(F.xxhash64("node", F.lit(13)), F.lit(SALTS)).cast("int"))
+    if n <= most:
+        marked = dealt.join(F.broadcast(many), by, "left")
+    else:
+        marked = dealt.join(many.withColumn("salt", F.explode(F.array(*map(F.lit, range(SALTS))))), [by, "salt"], "left")
+    placed = marked.withColumn("salt", F.when(F.col("hot"), F.col("salt")).otherwise(0)).drop("hot")
+    return placed.join(_copies(table, size), [by, "salt"]).drop("salt")
+
+
+def _copies(table: DataFrame, size: str) -> DataFrame:
+    """table with `salt`: a row for each of SALTS tasks where a key's size is above HOT, so less than one for each row of such a key; 0 elsewhere."""
+    salts = F.when(F.col(size) > HOT, F.array(*map(F.lit, range(SALTS)))).otherwise(F.array(F.lit(0)))
+    return table.withColumn("salt", F.explode(salts))
 
 
 def _answer(docs: DataFrame, nodes: DataFrame, roots: DataFrame) -> DataFrame:

@@ -26,3 +26,15 @@ def test_leaves_by_depth_make_no_row_a_depth(spark):
                 break
     for leaf in got.values():
         assert all(set(leaf) == set(want[i]) if len(want[i]) <= 8 else set(leaf) <= set(want[i]) for i in leaf)
+
+
+def test_only_hot_keys_are_copied(spark, monkeypatch):
+    """A key of few rows has one row in the join's table, and every row finds its key however keys are marked."""
+    monkeypatch.setattr(lsh, "HOT", 50)
+    rows = [(k, bytearray(b"%d-%d" % (k, i))) for k in range(300) for i in range(2 if k > 3 else 200)]
+    df = spark.createDataFrame(rows, "region long, node binary")
+    table = df.groupBy("region").count().where("region <> 7")
+    assert lsh._copies(table, "count").count() == 295 + 4 * lsh.SALTS
+    for most in (100_000, 0):
+        got = sorted((x.region, bytes(x.node), x["count"]) for x in lsh._spread_join(df, table, "region", "count", most).collect())
+        assert got == sorted((k, bytes(n), 2 if k > 3 else 200) for k, n in rows if k != 7)
