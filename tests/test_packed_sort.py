@@ -58,3 +58,10 @@ def test_no_row_for_each_suffix_is_shuffled(spark, name):
     plan = catalogue.QUERIES[name](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString()
     assert "Generate" not in plan and "MapInArrow" in plan
     assert "Repartition" not in plan.replace("Repartition 1, false", "")
+
+
+def test_a_string_without_an_id_stays(spark):
+    """Ids of packed strings are plain integers, so such a collection is listed row by row, whole."""
+    coll = StringCollection(spark.createDataFrame([(1, "ACG"), (None, "GA"), (2, "")], "sid long, s string"), DNA)
+    assert packedsort.bwt_packed(coll, Budget(sort_rows=100)).count() == 8
+    assert packedsort.planned_sampled(coll, Budget(sort_rows=100), ["C"]) is None
