@@ -65,3 +65,16 @@ def test_a_string_without_an_id_stays(spark):
     coll = StringCollection(spark.createDataFrame([(1, "ACG"), (None, "GA"), (2, "")], "sid long, s string"), DNA)
     assert packedsort.bwt_packed(coll, Budget(sort_rows=100)).count() == 8
     assert packedsort.planned_sampled(coll, Budget(sort_rows=100), ["C"]) is None
+
+
+def test_doubled_prefixes(strings):
+    coll, want = strings
+    assert sorted(tuple(x) for x in packedsort.bwt_packed(coll, Budget(sort_rows=800, engine="doubling")).collect()) == want
+
+
+def test_rank_doubling_of_reads_moves_no_suffix(spark):
+    """Before, each doubling joined a row for each suffix with another."""
+    from blockbwt.plans import catalogue
+
+    plan = catalogue.QUERIES["bwt_reads_rank_doubling"](spark, "/root/testdata/sf0.001")._jdf.queryExecution().optimizedPlan().toString()
+    assert "MapInArrow" in plan and "Generate" not in plan and "Join" not in plan
