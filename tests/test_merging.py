@@ -5,7 +5,7 @@ import random
 import numpy as np
 import pytest
 
-from blockbwt.operators import baselines, construct
+from blockbwt.operators import baselines, construct, incremental
 from blockbwt.operators.collection import StringCollection
 from blockbwt.operators.incremental import Counts, merge, smaller_in
 from blockbwt.storage import materialise
@@ -37,6 +37,29 @@ def test_parts_above_the_limit_are_merged(spark):
     assert sorted(map(tuple, baselines.bwt_partition_merge(coll, 2, 1).collect())) == sorted(map(tuple, construct.bwt_build(coll).collect()))
 
 
+def test_the_driver_gets_no_symbols(spark, monkeypatch):
+    """Neither blocks nor ids of a transform are collected or broadcast."""
+    from pyspark import SparkContext
+
+    a, b = (StringCollection(spark.createDataFrame(some_strings("ACGT", 30, 9, i, i), "sid long, s string"), tuple("ACGT")) for i in (1, 2))
+    bwt = materialise(construct.bwt_build(b))
+    monkeypatch.setattr(SparkContext, "broadcast", lambda *_: pytest.fail("a broadcast"))
+    monkeypatch.setattr(type(a.df), "toArrow", lambda *_: pytest.fail("rows on the driver"))
+    assert smaller_in(a, b, bwt).count() == sum(len(x.s) + 1 for x in a.df.collect())
+
+
+@pytest.mark.parametrize("walked", [4_000_000, 20])
+def test_tasks_walk_shares_of_the_strings(spark, monkeypatch, walked):
+    """However many tasks they're dealt to; none, where there are no strings or nothing to walk through."""
+    monkeypatch.setattr(incremental, "_WALKED", walked)
+    a, b = some_strings("ACGT", 40, 12, 1, 0), some_strings("AC", 30, 9, 2, 3)
+    for rows, others in ((a, b), ([], b), (a, [])):
+        one, two = (StringCollection(spark.createDataFrame(x, "sid long, s string"), tuple("ACGT")) for x in (rows, others))
+        got = sorted((x.sid, x.pos, x.before) for x in smaller_in(one, two, materialise(construct.bwt_build(two))).collect())
+        theirs = [(t[q:], j) for j, t in others for q in range(len(t) + 1)]
+        assert got == sorted((i, p, sum(x < (s[p:], i) for x in theirs)) for i, s in rows for p in range(len(s) + 1))
+
+
 def test_counts_take_few_bytes():
     n, points = 1_000_000, np.frombuffer("0123456789#Custome r".encode("utf-32-le"), np.uint32)
     symbols = np.unique(points)
