@@ -48,6 +48,16 @@ def test_the_driver_gets_no_symbols(spark, monkeypatch):
     assert smaller_in(a, b, bwt).count() == sum(len(x.s) + 1 for x in a.df.collect())
 
 
+def test_arrivals_are_merged_without_the_driver(spark, monkeypatch):
+    """Nor does the stream's index take a transform there."""
+    from pyspark import SparkContext
+
+    from blockbwt.streaming import streams
+
+    monkeypatch.setattr(SparkContext, "broadcast", lambda *_: pytest.fail("a broadcast"))
+    assert streams.incremental_index(spark, "/root/testdata/sf0.001").agg({"bwt_pos": "max"}).first()[0] > 0
+
+
 @pytest.mark.parametrize("walked", [4_000_000, 20])
 def test_tasks_walk_shares_of_the_strings(spark, monkeypatch, walked):
     """However many tasks they're dealt to; none, where there are no strings or nothing to walk through."""
